@@ -126,7 +126,7 @@ def classes(docs: DataFrame, *, words_in_shingle: int = 3, paired: int = PAIRED)
     """
     rows = cut(fingerprints(docs, words_in_shingle=words_in_shingle))
     distinct = cut(rows.groupBy("fp").agg(F.min("doc_id").alias("first")))
-    joined = components(near_links(distinct.select("fp"), paired)).select(F.col("id").alias("fp"), "component")
+    joined = components(cut(near_links(distinct.select("fp"), paired))).select(F.col("id").alias("fp"), "component")
     named = cut(distinct.join(joined, "fp", "left").select("fp", "first", F.coalesce("component", "fp").alias("component")))
     smallest = named.groupBy("component").agg(F.min("first").alias("component_id"))
     return rows.join(named.join(smallest, "component").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
