@@ -29,7 +29,7 @@ from momenttree.llm.runtime import ship, text_batches
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Every Unicode version agrees on the classes of the code points below this one.
 SETTLED = 0x500
-CACHE_ENTRIES = 300_000
+CACHE_ENTRIES = 700_000
 CACHED_PIECE = 48
 
 
