@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momenttree.llm import bpe, licences, minhash, quality, secrets, simhash, token_counts, toxicity, urls
+from momenttree.llm import bpe, decontaminate, licences, minhash, quality, secrets, simhash, token_counts, toxicity, urls
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,6 +34,10 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op6_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -52,7 +56,7 @@ def op10_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_bpe, op2_token_counts, op3_urls, op4_toxicity, op5_licences, op7_quality, op8_simhash, op9_secrets, op10_minhash)}
+    return {f.__name__: f for f in (op1_bpe, op2_token_counts, op3_urls, op4_toxicity, op5_licences, op6_decontaminate, op7_quality, op8_simhash, op9_secrets, op10_minhash)}
 
 
 def oracle_sql() -> dict[str, str]:
