@@ -1,0 +1 @@
+"""Topic trees from word co-occurrence moments, on Spark."""
