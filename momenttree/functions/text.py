@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.ml.feature import StopWordsRemover
+import glob
+import os
+import zipfile
+
+import pyspark
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -20,8 +24,11 @@ def sentences(text: Column) -> Column:
 
 
 def stop_list(languages: tuple[str, ...] = LANGUAGES) -> list[str]:
-    """Spark's own stop lists, reduced to what words() can give."""
-    found = {w.lower() for language in languages for w in StopWordsRemover.loadDefaultStopWords(language)}
+    """Spark's own stop lists, reduced to what words() can give; read from its library, so no session is needed."""
+    home = os.environ.get("SPARK_HOME") or os.path.dirname(pyspark.__file__)
+    jar = glob.glob(f"{home}/jars/spark-mllib_*.jar") or glob.glob(f"{os.path.dirname(pyspark.__file__)}/jars/spark-mllib_*.jar")
+    with zipfile.ZipFile(jar[0]) as library:
+        found = {w.lower() for language in languages for w in library.read(f"org/apache/spark/ml/feature/stopwords/{language}.txt").decode("utf-8").split()}
     return sorted(w for w in found if w.isalpha())
 
 

@@ -10,14 +10,20 @@ from momenttree.functions import tensor as X
 from momenttree.operators import moments
 
 
-def suggest_width(values: np.ndarray, most: int = 10, rule: str = "gap", least_share: float = 0.05) -> int:
-    """From eigenvalues of E2, descending: before the largest ratio between neighbours, or those above a share of the first."""
+def suggest_width(values: np.ndarray, most: int = 10, rule: str = "gap", least_share: float = 0.05, least_ratio: float = 1.5) -> int:
+    """From eigenvalues of E2, descending.
+
+    gap: before the last fall by least_ratio or more, where the level tail of noise begins (the largest fall if none is
+    so large); threshold: those above a share of the first.
+    """
     values = values[values > 0][: most + 1]
     if len(values) < 2:
         return len(values)
     if rule == "threshold":
         return int((values[:most] >= least_share * values[0]).sum())
-    return int(np.argmax(values[:-1] / values[1:])) + 1
+    falls = values[:-1] / values[1:]
+    steep = np.flatnonzero(falls >= least_ratio)
+    return int(steep[-1] if len(steep) else np.argmax(falls)) + 1
 
 
 def suggest_alpha0(bags: DataFrame, v: int, k: int, grid: tuple[float, ...] = (0.01, 0.03, 0.1, 0.3, 1.0, 3.0), *, min_len: float = moments.MIN_LEN, seed: int = 0) -> tuple[float, list[tuple[float, float, float]]]:
