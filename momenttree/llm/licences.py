@@ -36,7 +36,8 @@ FILE_SHARE = 0.5
 
 
 def _words(text: Column) -> Column:
-    return F.filter(F.split(F.lower(text), r"[^a-z0-9.+-]+|[.,](?=\s|$)"), lambda w: F.length(F.translate(w, ".+-", "")) > 0)
+    """Runs of letters and digits, held together by single inner dots, plus signs and hyphens."""
+    return F.regexp_extract_all(F.lower(text), F.lit("[a-z0-9]+(?:[.+-][a-z0-9]+)*"), F.lit(0))
 
 
 def default_path() -> Column:

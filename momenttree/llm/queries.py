@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from momenttree.llm import bpe, decontaminate, licences, minhash, quality, secrets, simhash, token_counts, toxicity, urls
+from momenttree.llm import bpe, decontaminate, licences, minhash, oracles, quality, secrets, simhash, token_counts, toxicity, urls
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -60,4 +60,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """Twins where SQL can express the operator; the others are tested against libraries, brute force and held-out labels."""
+    return {"op3_urls": oracles.url_rules(), "op5_licences": oracles.licence_scan(), "op9_secrets": oracles.secret_scan()}
