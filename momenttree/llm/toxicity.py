@@ -34,7 +34,7 @@ STEMS = (6, 5, 4)
 TRAINING_ROWS = 10_000
 #: Weight of the prior as a share of the tokens counted.
 PRIOR_SHARE = 0.02
-Z_LEAST = 2.5
+Z_LEAST = 1.8
 #: A form has to occur in so many toxic rows of the sample.
 ROWS_LEAST = 5
 PENALTY = 0.15
