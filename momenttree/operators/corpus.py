@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from momenttree.functions import text as T
+from momenttree.runtime import stored
 
 BAG = "doc_id bigint, len double, terms array<int>, counts array<double>"
 
@@ -25,18 +26,40 @@ def long_counts(tokenised: DataFrame) -> DataFrame:
     return tokenised.select("doc_id", F.explode("words").alias("term")).groupBy("doc_id", "term").agg(F.count("*").alias("c"))
 
 
+#: Up to so many rows are numbered by one window in one task; more are sorted and numbered in ranges.
+NUMBERED_AT_ONCE = 100_000
+
+
+def numbered(rows: DataFrame, order: list[Column], name: str) -> DataFrame:
+    """rows with their place in a total order, from 0, without a task that sees them all.
+
+    Sorted once by ranges and stored; each range is numbered on its own, and the sizes of the ranges before it, a table
+    of one row a range, are added.
+    """
+    ranges = stored(rows.orderBy(*order).withColumn("_range", F.spark_partition_id()), "numbered")
+    sizes = ranges.groupBy("_range").agg(F.count("*").alias("_n"))
+    before = sizes.select("_range", (F.sum("_n").over(Window.orderBy("_range")) - F.col("_n")).alias("_before"))
+    within = F.row_number().over(Window.partitionBy("_range").orderBy(*order)) - 1
+    return ranges.withColumn("_at", within).join(F.broadcast(before), "_range").withColumn(name, (F.col("_before") + F.col("_at")).cast("int")).drop("_range", "_before", "_at")
+
+
 def vocabulary(tokenised: DataFrame, *, min_df: int = 1, max_df: int | None = None, top: int | None = None) -> DataFrame:
     """term, term_id, df, tf: ids run from 0 by descending document frequency, then by term, so they do not depend on partitions.
 
-    The numbering is a global order: its single-partition window sees only terms that pass min_df (and `top` of them
-    after a distributed top-n), the size of the vocabulary, never of the corpus.
+    Counting is two aggregations with partial sums.  A bounded vocabulary (top of at most NUMBERED_AT_ONCE) is a
+    distributed top-n and numbered by a window over those rows; an unbounded one is numbered in sorted ranges.
     """
     counted = tokenised.select("doc_id", F.explode("words").alias("term")).groupBy("term", "doc_id").agg(F.count("*").alias("c")).groupBy("term").agg(F.count("*").alias("df"), F.sum("c").alias("tf")).where(F.col("df") >= min_df)
     if max_df is not None:
         counted = counted.where(F.col("df") <= max_df)
+    order = [F.col("df").desc(), F.col("term")]
     if top is not None:
-        counted = counted.orderBy(F.col("df").desc(), "term").limit(top)
-    return counted.withColumn("term_id", F.row_number().over(Window.orderBy(F.col("df").desc(), "term")) - 1).select("term", "term_id", "df", "tf")
+        counted = counted.orderBy(*order).limit(top)
+    if top is not None and top <= NUMBERED_AT_ONCE:
+        counted = counted.withColumn("term_id", F.row_number().over(Window.orderBy(*order)) - 1)
+    else:
+        counted = numbered(counted, order, "term_id")
+    return counted.select("term", "term_id", "df", "tf")
 
 
 #: A vocabulary of at most so many terms is broadcast (about 100 bytes each); a larger one is joined by shuffle.
