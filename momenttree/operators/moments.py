@@ -83,6 +83,26 @@ def self_pairs(chunk: Chunk, how: str) -> np.ndarray:
     return chunk.counts * chunk.omega if how == "thinned" else chunk.counts
 
 
+def add_pairs(block: np.ndarray, chunk: Chunk, scale: np.ndarray, self_pair: str) -> None:
+    """Adds a chunk's scaled pair counts to a dense block: document by document where they are sparse, else as one product."""
+    v = len(block)
+    value = chunk.counts * np.sqrt(scale)[chunk.owner]
+    sizes = np.bincount(chunk.owner, minlength=chunk.n).astype(float)
+    if 2e-5 * chunk.n + 4e-9 * (sizes**2).sum() < 2e-10 * chunk.n * v * v:
+        edges = np.concatenate([[0], np.cumsum(sizes)]).astype(int)
+        flat = block.reshape(-1)
+        for d in range(chunk.n):
+            own = slice(edges[d], edges[d + 1])
+            t, c = chunk.terms[own].astype(np.int64), value[own]
+            flat[(t[:, None] * v + t).ravel()] += np.outer(c, c).ravel()
+    else:
+        matrix = np.zeros((chunk.n, v))
+        matrix[chunk.owner, chunk.terms] = value
+        block += matrix.T @ matrix
+    at = np.arange(v)
+    block[at, at] -= chunk.by_term(self_pairs(chunk, self_pair) * scale[chunk.owner], v)
+
+
 def level_moments(bags: DataFrame, v: int, weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain", pairs: bool = True) -> DataFrame:
     """path, x1, x2, total: unnormalised sums.
 
@@ -125,11 +145,7 @@ def level_moments(bags: DataFrame, v: int, weights: Weights | None = None, *, mi
                     continue
                 scale = 1 / (chunk.length * (chunk.length - 1))
                 if dense:
-                    matrix = np.zeros((chunk.n, v))
-                    matrix[chunk.owner, chunk.terms] = chunk.counts * np.sqrt(scale)[chunk.owner]
-                    block[path] += matrix.T @ matrix
-                    at = np.arange(v)
-                    block[path][at, at] -= chunk.by_term(self_pairs(chunk, self_pair) * scale[chunk.owner], v)
+                    add_pairs(block[path], chunk, scale, self_pair)
                 else:
                     edges = np.searchsorted(chunk.owner, np.arange(chunk.n + 1))
                     off = self_pairs(chunk, self_pair)
@@ -191,23 +207,77 @@ def second_moment_sql(long_bags: DataFrame, *, min_len: float = MIN_LEN) -> Data
     return pairs.where("total > 0").crossJoin(F.broadcast(lengths.agg(F.count("*").alias("d")))).select("x1", "x2", (F.col("total") / F.col("d")).alias("v"))
 
 
-def moments_of(bags: DataFrame, v: int, weights: Weights | None = None, **options) -> dict[str, NodeMoments]:
-    """Every node's moments on the driver, E2 dense: for vocabularies whose v * v block is small."""
-    if len(weights or {"o": None}) * v * v * 8 > 4 * BLOCK_BYTES:
-        raise MemoryError(f"{v} words give dense second moments beyond {4 * BLOCK_BYTES} bytes; use the implicit engine")
-    found = level_moments(bags, v, weights, **options).toPandas()
-    out = {}
-    for path, own in found.groupby("path"):
-        x1, x2, total = own["x1"].to_numpy(), own["x2"].to_numpy(), own["total"].to_numpy()
-        d = total[x1 == -1][0]
-        m1, e2 = np.zeros(v), np.zeros((v, v))
-        one, two = (x1 >= 0) & (x2 == -1), x2 >= 0
-        m1[x1[one]] = total[one] / d
-        e2[x1[two], x2[two]] = total[two] / d
-        out[path] = NodeMoments(float(d), m1, e2 + np.triu(e2, 1).T)
+#: Rows of a dense second moment that travel together.
+ROWS_TOGETHER = 64
+
+
+def moments_of(bags: DataFrame, v: int, weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain") -> dict[str, NodeMoments]:
+    """Every node's moments on the driver, E2 dense: for vocabularies whose v * v block is small.
+
+    Tasks hand on blocks of rows of their dense sums as bytes, keyed by node and block; the receiving tasks add them up
+    in numpy and the driver gets each block once.
+    """
+    weights = {"o": None} if weights is None else weights
+    if v * v * 8 > BLOCK_BYTES:
+        raise MemoryError(f"{v} words give dense second moments beyond {BLOCK_BYTES} bytes; use the implicit engine")
+    together = max(1, int(4 * BLOCK_BYTES // (v * v * 8)))
+    out: dict[str, NodeMoments] = {}
+    names = list(weights)
+    for at in range(0, len(names), together):  # nodes beyond what a task and the driver may hold at once take another scan
+        out |= _moments_at_once(bags, v, {p: weights[p] for p in names[at : at + together]}, min_len, self_pair)
     return out
 
 
+def _moments_at_once(bags: DataFrame, v: int, weights: Weights, min_len: float, self_pair: str) -> dict[str, NodeMoments]:
+    sent = bags.sparkSession.sparkContext.broadcast(weights)
+    names = ["path", "part", "payload"]
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = sent.value
+        head = {p: np.zeros(v + 1) for p in known}
+        block = {p: np.zeros((v, v)) for p in known}
+        for _, owner, terms, counts in flat_chunks(batches):
+            for path, omega in known.items():
+                chunk = node_chunk(owner, terms, counts, omega, min_len)
+                if chunk.n:
+                    head[path][v] += chunk.n
+                    head[path][:v] += chunk.by_term(chunk.counts / chunk.length[chunk.owner], v)
+                    add_pairs(block[path], chunk, 1 / (chunk.length * (chunk.length - 1)), self_pair)
+        for path in known:
+            if head[path][v]:
+                yield pa.RecordBatch.from_arrays([pa.array([path]), pa.array([-1]), pa.array([head[path].tobytes()])], names)
+                for k in range(0, v, ROWS_TOGETHER):
+                    yield pa.RecordBatch.from_arrays([pa.array([path]), pa.array([k]), pa.array([block[path][k : k + ROWS_TOGETHER, k:].tobytes()])], names)
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[tuple[str, int], np.ndarray] = {}
+        for b in batches:
+            for path, part, payload in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
+                own = np.frombuffer(payload.as_buffer(), np.float64)
+                if (path, part) in sums:
+                    sums[path, part] += own
+                else:
+                    sums[path, part] = own.copy()
+        for (path, part), total in sums.items():
+            yield pa.RecordBatch.from_arrays([pa.array([path]), pa.array([part]), pa.array([total.tobytes()])], names)
+
+    ddl = "path string, part bigint, payload binary"
+    rows = _scan(bags, kernel, ddl).repartition("path", "part").mapInArrow(add, ddl).collect()
+    found: dict[str, NodeMoments] = {}
+    for r in rows:
+        if r.part == -1:
+            head = np.frombuffer(r.payload)
+            found[r.path] = NodeMoments(float(head[v]), head[:v] / head[v], np.zeros((v, v)))
+    for r in rows:
+        if r.part >= 0:
+            n = min(ROWS_TOGETHER, v - r.part)
+            found[r.path].e2[r.part : r.part + n, r.part :] = np.frombuffer(r.payload).reshape(n, v - r.part) / found[r.path].n_docs
+    for m in found.values():
+        upper = np.triu(m.e2)
+        m.e2 = upper + np.triu(upper, 1).T
+    return found
+
+
 def second_moment_apply(bags: DataFrame, v: int, q: dict[str, np.ndarray], weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain") -> DataFrame:
     """path, x, y (array): E2 times Q for every node in one scan; no pair is ever formed.  x = -1 carries the documents."""
     weights = dict.fromkeys(q) if weights is None else weights

@@ -72,6 +72,14 @@ def test_exact_moments_give_the_model_back():
     assert np.allclose(X.u_terms(lean.w, m1, 1.0), X.u_terms(lean.w, m1, 1.0, e2))
 
 
+def test_few_eigenpairs_of_a_large_matrix():
+    r = np.random.default_rng(9)
+    a = r.random((500, 60))
+    m = a @ np.diag(r.normal(size=60)) @ a.T
+    values, vectors = X.largest_eigs(m, 5)
+    assert np.allclose(values, np.linalg.eigvalsh(m)[::-1][:5]) and np.allclose(m @ vectors, vectors * values, atol=1e-6)
+
+
 def test_conditioning_exact_parent_gives_the_child():
     r = np.random.default_rng(3)
     alpha, phi = np.array([0.4, 0.6]), r.dirichlet(np.full(8, 0.5), 2).T
