@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from momenttree.functions import text as T
-from momenttree.runtime import stored
+from momenttree.runtime import ship, stored
 
 BAG = "doc_id bigint, len double, terms array<int>, counts array<double>"
 
@@ -62,26 +67,62 @@ def vocabulary(tokenised: DataFrame, *, min_df: int = 1, max_df: int | None = No
     return counted.select("term", "term_id", "df", "tf")
 
 
-#: A vocabulary of at most so many terms is broadcast (about 100 bytes each); a larger one is joined by shuffle.
+#: A vocabulary of at most so many terms is sent to the workers (about 20 bytes each); a larger one is joined by shuffle.
 VOCABULARY_BROADCAST = 1_000_000
 
 
-def long_bags(tokenised: DataFrame, vocab: DataFrame, size: int | None = None) -> DataFrame:
-    """doc_id, term_id, c for words of the vocabulary."""
-    known = vocab.select("term", "term_id")
-    if size is not None and size <= VOCABULARY_BROADCAST:
-        known = F.broadcast(known)
-    words = tokenised.select("doc_id", F.explode("words").alias("term")).join(known, "term")
-    return words.groupBy("doc_id", "term_id").agg(F.count("*").alias("c"))
-
-
 def bags(tokenised: DataFrame, vocab: DataFrame, *, min_len: float = 3, size: int | None = None) -> DataFrame:
-    """doc_id, len, terms, counts: one row for each document of at least min_len known words, terms ascending."""
-    pairs = F.array_sort(F.collect_list(F.struct("term_id", F.col("c").cast("double").alias("c"))))
-    made = long_bags(tokenised, vocab, size).groupBy("doc_id").agg(F.sum("c").cast("double").alias("len"), pairs.alias("pairs"))
+    """doc_id, len, terms, counts: one row for each row of at least min_len known words, terms ascending.
+
+    With a vocabulary whose checked size allows sending it, every row is counted where it is, in vectorised Arrow and
+    numpy steps, without any shuffle.  Otherwise words are joined to ids and gathered by doc_id.
+    """
+    if (vocab.count() if size is None else size) > VOCABULARY_BROADCAST:
+        return _shuffled_bags(tokenised, vocab, min_len)
+    spark = tokenised.sparkSession
+    ship(spark)
+    terms = [r.term for r in vocab.select("term", "term_id").orderBy("term_id").collect()]
+    sent = spark.sparkContext.broadcast(terms)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = pa.array(sent.value, pa.string())
+        v = max(len(known), 1)
+        for batch in batches:
+            words = batch.column(1)
+            sizes = np.diff(words.offsets.to_numpy())
+            owner = np.repeat(np.arange(batch.num_rows), sizes)
+            found = pc.index_in(words.flatten(), value_set=known).to_numpy(zero_copy_only=False)
+            there = ~np.isnan(found) if found.dtype.kind == "f" else np.ones(len(found), bool)
+            key, count = np.unique(owner[there].astype(np.int64) * v + found[there].astype(np.int64), return_counts=True)
+            row = key // v
+            length = np.bincount(row, count, batch.num_rows)
+            kept = length >= min_len
+            at = kept[row]
+            offsets = np.concatenate([[0], np.cumsum(np.bincount(row[at], minlength=batch.num_rows)[kept])]).astype(np.int32)
+            lists = [pa.ListArray.from_arrays(pa.array(offsets), pa.array(x)) for x in ((key[at] % v).astype(np.int32), count[at].astype(np.float64))]
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(kept)), pa.array(length[kept]), *lists], ["doc_id", "len", "terms", "counts"])
+
+    return tokenised.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("words", F.array().cast("array<string>")).alias("words")).mapInArrow(run, BAG)
+
+
+def _shuffled_bags(tokenised: DataFrame, vocab: DataFrame, min_len: float) -> DataFrame:
+    words = tokenised.select("doc_id", F.explode("words").alias("term")).join(vocab.select("term", "term_id"), "term")
+    counted = words.groupBy("doc_id", "term_id").agg(F.count("*").cast("double").alias("c"))
+    pairs = F.array_sort(F.collect_list(F.struct("term_id", "c")))
+    made = counted.groupBy("doc_id").agg(F.sum("c").alias("len"), pairs.alias("pairs"))
     return made.where(F.col("len") >= min_len).select("doc_id", "len", F.col("pairs.term_id").alias("terms"), F.col("pairs.c").alias("counts"))
 
 
+def long_of(bag_rows: DataFrame) -> DataFrame:
+    """doc_id, term_id, c of bags."""
+    return bag_rows.select("doc_id", F.explode(F.arrays_zip("terms", "counts")).alias("t")).select("doc_id", F.col("t.terms").alias("term_id"), F.col("t.counts").cast("bigint").alias("c"))
+
+
+def long_bags(tokenised: DataFrame, vocab: DataFrame, size: int | None = None) -> DataFrame:
+    """doc_id, term_id, c for words of the vocabulary, of rows of any length."""
+    return long_of(bags(tokenised, vocab, min_len=1, size=size))
+
+
 def dedupe(docs: DataFrame) -> DataFrame:
     """One row, the smallest doc_id, of each text."""
     keep = docs.groupBy(F.sha2(F.col("text").cast("binary"), 256).alias("h")).agg(F.min("doc_id").alias("doc_id")).select("doc_id")

@@ -21,25 +21,39 @@ def _runs(n: int) -> Column:
     return F.transform(F.sequence(F.lit(1), F.size("words") - n + 1), lambda i: F.array_join(F.slice("words", i, n), " "))
 
 
+#: Phrases up to this length are counted from the sentences again; longer ones from carried positions.
+RESCANNED = 4
+
+
 def mine_phrases(sentences: DataFrame, min_support: int, max_len: int | None = None) -> DataFrame:
     """phrase, n, support of every contiguous pattern that occurs min_support times.
 
-    A run of n words is a candidate only if both of its runs of n - 1 words are frequent.  Positions of frequent runs
-    are carried from length to length, so each length costs one aggregation and one semi-join, and ends when none is left.
+    A run of n words is a candidate only if both of its runs of n - 1 words are frequent.  While runs are short and
+    the frequent ones few enough to be sent to all tasks, each length rescans the sentences: two broadcast semi-joins
+    and one aggregation with partial sums, nothing else is shuffled.  Afterwards the positions of frequent runs, by
+    then few, are carried from length to length, and the loop ends when none is left.
     """
-    here = grams(sentences, 1)
-    out, n = None, 1
+    out, here, last, n = None, grams(sentences, 1), None, 1
+    carried = False
     while True:
         counted = cut(here.groupBy("phrase").agg(F.count("*").alias("support")).where(F.col("support") >= min_support).select("phrase", F.lit(n).alias("n"), "support"))
-        if counted.isEmpty():
+        found = counted.count()
+        if not found:
             break
         out = counted if out is None else out.union(counted)
         n += 1
         if max_len is not None and n > max_len:
             break
-        kept = cut(here.join(counted.select("phrase"), "phrase", "left_semi"))
-        later = kept.select("doc_id", "sent_no", (F.col("pos") - 1).alias("pos"), F.substring_index("phrase", " ", -1).alias("last"))
-        here = kept.join(later, ["doc_id", "sent_no", "pos"]).select("doc_id", "sent_no", "pos", F.concat_ws(" ", "phrase", "last").alias("phrase"))
+        last = counted.select("phrase")
+        if not carried and n <= RESCANNED and found <= PHRASES_BROADCAST:
+            known = F.broadcast(last)
+            runs = grams(sentences, n).select("phrase", "doc_id", "sent_no", "pos", F.regexp_replace("phrase", " [^ ]*$", "").alias("head"), F.regexp_replace("phrase", "^[^ ]* ", "").alias("tail"))
+            here = runs.join(known.toDF("head"), "head", "left_semi").join(known.toDF("tail"), "tail", "left_semi").select("doc_id", "sent_no", "pos", "phrase")
+        else:
+            carried = True
+            kept = cut(here.join(last, "phrase", "left_semi"))
+            later = kept.select("doc_id", "sent_no", (F.col("pos") - 1).alias("pos"), F.substring_index("phrase", " ", -1).alias("last"))
+            here = kept.join(later, ["doc_id", "sent_no", "pos"]).select("doc_id", "sent_no", "pos", F.concat_ws(" ", "phrase", "last").alias("phrase"))
     return out if out is not None else here.limit(0).select("phrase", F.lit(1).alias("n"), F.lit(0).cast("bigint").alias("support"))
 
 
