@@ -8,10 +8,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from momenttree.llm import bpe, decontaminate, licences, minhash, oracles, quality, secrets, simhash, token_counts, toxicity, urls
+from momenttree.llm.runtime import spread
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return spread(spark.read.parquet(f"{sf_dir}/{name}.parquet"))
 
 
 def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

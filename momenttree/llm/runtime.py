@@ -65,3 +65,16 @@ def text_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Array,
         for at in range(0, whole.num_rows, BATCH_ROWS):
             batch = whole.slice(at, BATCH_ROWS)
             yield batch.column(0), [x or "" for x in batch.column(1).to_pylist()]
+
+
+FEW_SPLITS = 32
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """df dealt to all cores if its files make fewer scan tasks than there are cores: small tables in one row group.
+
+    Only up to FEW_SPLITS splits: what has more is left as it is, however many cores there are.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < min(cores, FEW_SPLITS) else df
+
