@@ -51,10 +51,13 @@ def numbered(rows: DataFrame, order: list[Column], name: str) -> DataFrame:
 def vocabulary(tokenised: DataFrame, *, min_df: int = 1, max_df: int | None = None, top: int | None = None) -> DataFrame:
     """term, term_id, df, tf: ids run from 0 by descending document frequency, then by term, so they do not depend on partitions.
 
-    Counting is two aggregations with partial sums.  A bounded vocabulary (top of at most NUMBERED_AT_ONCE) is a
+    Each row is a document, so its distinct words are found in place and one aggregation with partial sums counts both
+    occurrences and documents: what is shuffled is a row for each word and task.  A bounded vocabulary (top of at most NUMBERED_AT_ONCE) is a
     distributed top-n and numbered by a window over those rows; an unbounded one is numbered in sorted ranges.
     """
-    counted = tokenised.select("doc_id", F.explode("words").alias("term")).groupBy("term", "doc_id").agg(F.count("*").alias("c")).groupBy("term").agg(F.count("*").alias("df"), F.sum("c").alias("tf")).where(F.col("df") >= min_df)
+    tagged = lambda words, tag: F.transform(words, lambda w: F.struct(w.alias("term"), F.lit(tag).alias("is_doc")))
+    both = tokenised.select(F.explode(F.concat(tagged("words", 0), tagged(F.array_distinct("words"), 1))).alias("t")).select("t.term", "t.is_doc")
+    counted = both.groupBy("term").agg(F.sum("is_doc").alias("df"), F.sum(1 - F.col("is_doc")).alias("tf")).where(F.col("df") >= min_df)
     if max_df is not None:
         counted = counted.where(F.col("df") <= max_df)
     order = [F.col("df").desc(), F.col("term")]

@@ -10,7 +10,7 @@ from momenttree.operators import phrases as P
 from momenttree.queries import query
 from momenttree.queries.corpus import SENT
 from momenttree.queries.shared import documents, r6, r6_sql
-from momenttree.runtime import cut
+from momenttree.runtime import cut, stored
 
 SUPPORT = 40
 MOST = 3
@@ -20,7 +20,7 @@ MINED = f"{SENT}, grams AS ({_GRAMS}), phr AS (SELECT phrase, n, count(*) AS sup
 
 
 def _mined(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    sentences = C.sentence_rows(documents(spark, sf))
+    sentences = stored(C.sentence_rows(documents(spark, sf)), "sentences")  # scanned for every length
     return sentences, P.mine_phrases(sentences, SUPPORT, MOST)
 
 

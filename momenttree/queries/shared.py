@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from momenttree.operators import corpus as C
+from momenttree.runtime import spread
 from momenttree.sources.tables import read_table
 
 WORDS = r"regexp_extract_all(lower(coalesce(text, '')), '\p{L}+')"
@@ -38,7 +39,7 @@ def r6_sql(c: str, scale: float = 1.0) -> str:
 
 
 def documents(spark: SparkSession, sf: str) -> DataFrame:
-    return read_table(spark, sf, "documents")
+    return spread(read_table(spark, sf, "documents"))
 
 
 def tokens(spark: SparkSession, sf: str) -> DataFrame:

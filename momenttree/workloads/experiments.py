@@ -24,7 +24,7 @@ from momenttree.operators import moments as M
 from momenttree.operators import phrases as P
 from momenttree.operators.tree import TopicTree
 from momenttree.plans import build as B
-from momenttree.runtime import cut, stored
+from momenttree.runtime import cut, spread, stored
 from momenttree.sources import tables
 
 SWEEPS = 5
@@ -67,7 +67,7 @@ class Corpus:
 def prepare(spark: SparkSession, sf: str, name: str, *, top: int = 1_000, stop: bool = True) -> Corpus:
     """Stop words out, documents under three tokens out; the largest corpus is stemmed."""
     docs = CORPORA[name](spark, sf)
-    tok = stored(C.tokens(docs, stop=T.stop_list() if stop else None, stems=name == "everything"), name)
+    tok = stored(C.tokens(spread(docs), stop=T.stop_list() if stop else None, stems=name == "everything"), name)
     vocab = stored(C.vocabulary(tok, top=top), "vocab")
     v = vocab.count()
     bags = stored(C.bags(tok, vocab, size=v), "bags")
@@ -161,7 +161,7 @@ def iteration_sweep(corpus: Corpus, *, values: tuple[int, ...] = (1, 2, 5, 10, 2
 def ranked_phrases(spark: SparkSession, sf: str, corpus: Corpus, tree: TopicTree, *, min_support: int = 20, max_len: int = 3, top: int = 10) -> dict[str, list[str]]:
     """The best phrases of every node, level by level under each parent."""
     docs = CORPORA[corpus.name](spark, sf)
-    sentences = stored(C.sentence_rows(docs), "sentences")
+    sentences = stored(C.sentence_rows(spread(docs)), "sentences")
     known = P.mine_phrases(sentences, min_support, max_len)
     counts = cut(P.phrase_counts(sentences, known, max_len))
     n_docs = docs.count()
