@@ -180,9 +180,10 @@ def _bands(signature_col: Column, rows: int, bands: int) -> Column:
 def near_classes(docs: DataFrame, *, similarity: float = SIMILARITY, words: int = WORDS, bands: int = BANDS) -> DataFrame:
     """doc_id, component_id (smallest doc_id of the class), for rows with a doc_id.
 
-    Documents with equal signatures and texts first become one row.  In each band members are tied to its smallest
-    member, never to each other, and a tie counts if the exact Jaccard similarity of the two shingle sets reaches
-    `similarity`; members that fail against the smallest are tied anew among themselves until none is left.
+    Equal texts first become one row.  In each band members are tied to its smallest member, and a tie counts if the exact
+    Jaccard similarity of the two shingle sets reaches `similarity`.  That joins a group of near copies without its pairs.
+    Then members of one band that are still in different classes are compared with each other, so no link that the bands
+    can show is lost; pairs within a class are never formed.
     """
     ship(docs.sparkSession)
     rows = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
@@ -191,8 +192,7 @@ def near_classes(docs: DataFrame, *, similarity: float = SIMILARITY, words: int
     members = keyed.join(heads, "same").select("doc_id", "head")
     texts = cut(rows.dropDuplicates(["doc_id"]).join(heads.select(F.col("head").alias("doc_id")), "doc_id"))
     banded = signatures(texts, words=words).select("doc_id", _bands(F.col("signature"), PERMUTATIONS // bands, bands).alias("b")).select("doc_id", "b.band", "b.key")
-    left = cut(banded)
-    found = []
+    banded = cut(banded)
 
     def jaccard(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -202,20 +202,18 @@ def near_classes(docs: DataFrame, *, similarity: float = SIMILARITY, words: int
                 values.append(len(a & b) / len(a | b) if a | b else 1.0)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(values, pa.float64())], ["a", "b", "jaccard"])
 
-    while True:
-        smallest = left.groupBy("band", "key").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
-        ties = cut(left.join(smallest, ["band", "key"]).where("a <> doc_id").select("band", "key", "a", F.col("doc_id").alias("b")))
-        if ties.isEmpty():
-            break
-        pairs = ties.select("a", "b").distinct()
+    def verified(pairs: DataFrame) -> DataFrame:
+        """Links (a, b) among distinct candidate pairs."""
         sides = pairs.join(texts.toDF("a", "text_a"), "a").join(texts.toDF("b", "text_b"), "b").select("a", "b", "text_a", "text_b")
-        judged = cut(sides.mapInArrow(jaccard, "a bigint, b bigint, jaccard double"))
-        found.append(judged.where(F.col("jaccard") >= similarity).select("a", "b"))
-        left = cut(ties.join(judged.where(F.col("jaccard") < similarity), ["a", "b"], "left_semi").select(F.col("b").alias("doc_id"), "band", "key"))
-    if not found:
-        return members.select("doc_id", F.col("head").alias("component_id"))
-    links = found[0]
-    for more in found[1:]:
-        links = links.union(more)
-    joined = components(cut(links)).select(F.col("id").alias("head"), "component")
+        return cut(sides.mapInArrow(jaccard, "a bigint, b bigint, jaccard double").where(F.col("jaccard") >= similarity).select("a", "b"))
+
+    smallest = banded.groupBy("band", "key").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
+    ties = verified(banded.join(smallest, ["band", "key"]).where("a <> doc_id").select("a", F.col("doc_id").alias("b")).distinct())
+    first = components(ties).select(F.col("id").alias("doc_id"), "component")
+    classed = banded.join(first, "doc_id", "left").select("band", "key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
+    mixed = classed.groupBy("band", "key").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "key")
+    open_ = cut(classed.join(mixed, ["band", "key"], "left_semi"))
+    x, y = open_.toDF("band", "key", "a", "ca"), open_.toDF("band", "key", "b", "cb")
+    across = verified(x.join(y, ["band", "key"]).where("a < b and ca <> cb").select("a", "b").distinct())
+    joined = components(ties.union(across)).select(F.col("id").alias("head"), "component")
     return members.join(joined, "head", "left").select("doc_id", F.coalesce("component", "head").alias("component_id"))

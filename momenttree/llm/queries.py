@@ -56,8 +56,13 @@ def op10_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.with_edited(table(spark, sf_dir, "documents"))
 
 
+def minhash_near_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicate classes by bands of the signatures, Jaccard of five-word shingles verified."""
+    return minhash.near_classes(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_bpe, op2_token_counts, op3_urls, op4_toxicity, op5_licences, op6_decontaminate, op7_quality, op8_simhash, op9_secrets, op10_minhash)}
+    return {f.__name__: f for f in (op1_bpe, op2_token_counts, op3_urls, op4_toxicity, op5_licences, op6_decontaminate, op7_quality, op8_simhash, op9_secrets, op10_minhash, minhash_near_classes)}
 
 
 def oracle_sql() -> dict[str, str]:
