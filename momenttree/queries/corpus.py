@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -28,7 +28,7 @@ def scan_documents(spark: SparkSession, sf: str) -> DataFrame:
 def scan_formats(spark: SparkSession, sf: str) -> DataFrame:
     """Written to each format in shared storage and read again with a fixed schema."""
     rows = tables.read_table(spark, sf, "labels").select("doc_id", "quality", "toxic")
-    base = f"{shared_dir(spark).rstrip('/')}/formats_{next(tempfile._get_candidate_names())}"
+    base = f"{shared_dir(spark).rstrip('/')}/formats_{uuid.uuid4().hex}"
     out = None
     for fmt in ("csv", "json", "orc", "parquet"):
         rows.write.format(fmt).save(f"{base}/{fmt}")

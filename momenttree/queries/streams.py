@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from momenttree.queries import query
-from momenttree.runtime import shared_dir
+from momenttree.runtime import stored
 from momenttree.sources.tables import read_table
 from momenttree.streaming import moments as S
 
@@ -55,7 +55,5 @@ def stream_stateful_bags(spark: SparkSession, sf: str) -> DataFrame:
 def stream_static_join(spark: SparkSession, sf: str) -> DataFrame:
     """Events weighted on the fly by a fixed table of word weights."""
     static = S.word_of(read_table(spark, sf, "events")).groupBy("word").agg((1.0 / F.count("*")).alias("weight"))
-    base = f"{shared_dir(spark).rstrip('/')}/static"
-    static.write.mode("overwrite").parquet(base)
-    table = spark.read.schema("word string, weight double").parquet(base)
-    return S.run_to_table(_words(spark, sf).join(F.broadcast(table), "word").select("event_id", F.round("weight", 9).alias("weight")), "joined")
+    # a row for each word of a fixed vocabulary of event types and buckets: bounded
+    return S.run_to_table(_words(spark, sf).join(F.broadcast(stored(static, "static")), "word").select("event_id", F.round("weight", 9).alias("weight")), "joined")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -204,7 +206,7 @@ def suggest(spark: SparkSession, sf: str) -> DataFrame:
 @query("SELECT true AS same_nodes, 0.0 AS gap")
 def tree_round_trip(spark: SparkSession, sf: str) -> DataFrame:
     tree = sampler.sample_tree((2, 3), 40, seed=2)
-    where = f"{shared_dir(spark).rstrip('/')}/saved_tree"
+    where = f"{shared_dir(spark).rstrip('/')}/saved_tree_{uuid.uuid4().hex}"
     TT.save_tree(tree, spark, where)
     again = TT.load_tree(spark, where)
     return _rows(spark, [(sorted(tree.nodes) == sorted(again.nodes), float(max(np.abs(tree.nodes[p].phi - again.nodes[p].phi).max() for p in tree.nodes)))], "same_nodes boolean, gap double")

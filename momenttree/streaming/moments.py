@@ -49,6 +49,11 @@ def run_to_table(stream: DataFrame, name: str, mode: str = "append", transform:
     return transform(out) if transform else out
 
 
+def late_rows(query) -> int:
+    """Rows that a finished streaming query left out because they came behind its watermark."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for progress in query.recentProgress for op in progress["stateOperators"])
+
+
 def word_of(events: DataFrame) -> DataFrame:
     """event_id, ts, user_id, word: event type with a bucket of its property."""
     bucket = F.floor(F.get_json_object("props", "$.k").cast("int") / 10)

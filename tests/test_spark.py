@@ -224,14 +224,17 @@ def test_late_events_are_left_out_and_restarts_agree(spark, tmp_path):
     rows = [[(1, "2024-01-01 00:10:00", 1, "view", 1.0, '{"k": 5}'), (2, "2024-01-01 00:20:00", 1, "view", 1.0, '{"k": 5}')], [(3, "2024-01-03 00:00:00", 1, "view", 1.0, '{"k": 15}')], [(4, "2024-01-01 00:30:00", 1, "view", 1.0, '{"k": 5}'), (5, "2024-01-03 00:05:00", 1, "view", 1.0, '{"k": 15}')]]
     ddl = S.EVENTS.replace("ts timestamp", "ts string")
     out, log = str(tmp_path / "out"), str(tmp_path / "log")
-    for k, part in enumerate(rows):
+    late = []
+    for part in rows:
         spark.createDataFrame(part, ddl).withColumn("ts", F.to_timestamp("ts")).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
         stream = spark.readStream.schema(S.EVENTS).parquet(str(tmp_path / "in"))
         counted = S.tumbling_numerators(S.word_of(stream))
-        counted.writeStream.outputMode("append").option("checkpointLocation", log).trigger(availableNow=True).format("parquet").option("path", out).start().awaitTermination()
-        del k
+        query = counted.writeStream.outputMode("append").option("checkpointLocation", log).trigger(availableNow=True).format("parquet").option("path", out).start()
+        query.awaitTermination()
+        late.append(S.late_rows(query))
     got = {(str(r.start), r.word): r.n for r in spark.read.parquet(out).collect()}
     assert got == {("2024-01-01 00:00:00", "view_0"): 2}
+    assert late == [0, 0, 1]
 
 
 def test_plans(spark):
