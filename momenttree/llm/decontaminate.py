@@ -10,9 +10,14 @@ Windows begin at every STRIDE-th word.  Each item is entered once for each of 2
 alignment has two windows that begin at exactly such a word: the stride costs no recall.  Walks are prefix-closed, so
 one walk over a window serves items of all lengths.
 
+Scattered wrong letters spoil most words, and a missing head moves the start, so characters are a second entry: runs
+of 5 to 8 characters that document and item share are counted along diagonals, over the whole item.  A stretch with
+enough of them near one diagonal is a candidate too, and the same edit distance decides.
+
 Items are the query set: their keys are sent to the workers ITEMS_AT_ONCE at a time, one pass over the documents each.
 
-Defined results: null texts count as empty; items of fewer than LEAST_WORDS words match nothing; words are lower-cased
+Defined results: null texts count as empty; items of fewer than LEAST_WORDS words match nothing unless
+one of their words has UNSPACED characters; words are lower-cased
 runs of letters, digits and non-ASCII characters; repeated items and rows are matched alike; a document matches an item
 once, at its best place (the first of equals); empty tables give no rows.  Other input columns are ignored.
 """
@@ -34,6 +39,8 @@ from momenttree.llm.runtime import ship
 
 SIMILARITY = 0.8
 LEAST_WORDS = 5
+#: An item of fewer words enters, by characters only, if one of them is so long: it is written without spaces.
+UNSPACED = 15
 STRIDE = 4
 WALKS = 2
 REPEATS = 16
@@ -45,6 +52,13 @@ TABLE_BITS = 22
 DOCS_AT_ONCE = 400
 #: Fewest words of each length class; the first class has windows at every word and leaves nothing out.
 CLASSES = (5, 12, 18, 28, 42, 64, 96)
+#: Character entry: from so many characters of an item on, the gram length and the share of the item's grams that have to lie near one diagonal.
+GRAMS = ((0, 5, 0.12), (70, 7, 0.10), (130, 8, 0.08))
+#: Width in characters of a band of diagonals; two adjacent bands count together.
+BAND = 32
+#: Before the exact check, a stretch has to hold so large a share of the item's distinct runs of CHECKED characters; items under CHECKED_FROM characters pass.
+CHECKED, CHECKED_SHARE, CHECKED_FROM = 6, 0.12, 100
+_BASE = 0x01000193
 _WORDS = re.compile(rb"[0-9A-Za-z\x80-\xff]+").findall
 
 
@@ -127,6 +141,62 @@ def edit_distance_within(item: str, text: str) -> tuple[int, int]:
     return best, end
 
 
+def gram_hashes(codes: np.ndarray, q: int) -> np.ndarray:
+    """32-bit hash of the q characters from each place on."""
+    if len(codes) < q:
+        return np.empty(0, np.uint32)
+    powers = [np.uint32(pow(_BASE, k, 1 << 32)) for k in range(q)]
+    size, made, whole, left = 1, codes, None, q
+    while True:  # runs of 1, 2, 4, ... characters; those that the bits of q name are put together
+        if left & 1:
+            whole, done = (made, size) if whole is None else (made[: len(made) - done] * powers[done] + whole[size:], size + done)
+        left >>= 1
+        if not left:
+            return (whole ^ (whole >> np.uint32(15))) * np.uint32(0x85EBCA6B)
+        made, size = made[:-size] * powers[size] + made[size:], 2 * size
+
+
+def characters(text: str) -> np.ndarray:
+    return np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
+
+
+@dataclass
+class GramEntry:
+    """The grams of all items of one length class, in sorted order, with item and place."""
+
+    q: int
+    known: np.ndarray
+    items: np.ndarray
+    places: np.ndarray
+    table: np.ndarray
+
+    @classmethod
+    def build(cls, texts: list[str], chosen: list[int], q: int) -> GramEntry:
+        made = [gram_hashes(characters(texts[k]), q) for k in chosen]
+        sizes = [len(x) for x in made]
+        known = np.concatenate(made)
+        order = np.argsort(known, kind="stable")
+        table = np.zeros(1 << TABLE_BITS, bool)
+        table[known >> np.uint32(32 - TABLE_BITS)] = True
+        return cls(q, known[order], np.repeat(np.array(chosen, np.int64), sizes)[order], np.concatenate([np.arange(n) for n in sizes])[order], table)
+
+    def candidates(self, codes: np.ndarray, firsts: np.ndarray, least: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Document, item and character at which the item would begin, of bands with at least least[item] equal grams."""
+        made = gram_hashes(codes, self.q)
+        at = np.flatnonzero(self.table[made >> np.uint32(32 - TABLE_BITS)])
+        low = np.searchsorted(self.known, made[at], "left")
+        n = np.searchsorted(self.known, made[at], "right") - low
+        entry = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(low, n)
+        doc = np.searchsorted(firsts, at, "right") - 1
+        begin = np.repeat(at - firsts[doc], n) - self.places[entry]
+        reach = int(self.places.max(initial=0)) // BAND + 2
+        band, counts = np.unique((np.repeat(doc, n) * len(least) + self.items[entry] << 27) + begin // BAND + reach, return_counts=True)
+        after = np.append(np.where(np.diff(band) == 1, counts[1:], 0), 0) if len(band) else counts
+        band = band[counts + after >= least[(band >> 27) % len(least)]]
+        doc, item = np.divmod(band >> 27, len(least))
+        return doc, item, ((band & (1 << 27) - 1) - reach) * BAND
+
+
 @dataclass
 class ItemIndex:
     """Sampled keys of all items with what they stand for."""
@@ -140,23 +210,27 @@ class ItemIndex:
     arrivals: dict[tuple[int, int], np.ndarray] = field(default_factory=dict)  # same, whether the pointer has just come to the word
     found: dict[tuple[int, int, int], tuple[np.ndarray, np.ndarray]] = field(default_factory=dict)  # (class, walk, repeat) -> sorted keys, their entries
     table: np.ndarray | None = None
+    grams: list[GramEntry] = field(default_factory=list)
+    runs: list[np.ndarray] = field(default_factory=list)  # of each item, hashes of its runs of CHECKED characters, sorted
+    least: np.ndarray | None = None  # equal grams that the character entry asks for, by item
 
     @classmethod
     def build(cls, items: list[tuple[int, str]]) -> ItemIndex:
-        kept = [(i, w) for i, t in items if len(w := words_of(t or "")) >= LEAST_WORDS]
+        kept = [(i, w) for i, t in items if len(w := words_of(t or "")) >= LEAST_WORDS or any(len(x.decode("utf-8", "replace")) >= UNSPACED for x in w)]
         index = cls([i for i, _ in kept], [b" ".join(w).decode("utf-8", "replace") for _, w in kept], [len(w) for _, w in kept])
         flat, starts, owners = [], [], []
         at = 0
         for k, (_, w) in enumerate(kept):
             class_no = sum(len(w) >= c for c in CLASSES) - 1
             flat += [hashed(w), np.zeros(1, np.uint32)]
-            for left_out in range(left_outs(class_no)):
+            for left_out in range(left_outs(class_no) if class_no >= 0 else 0):
                 starts.append(at + left_out)
                 owners.append((class_no, k, left_out))
             at += len(w) + 1
         index.table = np.zeros(1 << TABLE_BITS, bool)
         if not kept:
             return index
+        index.enter_grams()
         index.classes = sorted({c for c, _, _ in owners})
         flat, starts, of_class = np.concatenate(flat), np.array(starts, np.int64), np.array([c for c, _, _ in owners])
         for class_no in index.classes:
@@ -173,6 +247,35 @@ class ItemIndex:
                     index.found[class_no, walk, repeat] = made[order], order
         return index
 
+    def enter_grams(self) -> None:
+        lengths = np.array([len(t) for t in self.texts])
+        rule = np.searchsorted([low for low, _, _ in GRAMS], lengths, "right") - 1
+        self.least = np.maximum(2, np.array([GRAMS[r][2] for r in rule]) * lengths).astype(np.int64)
+        self.runs = [np.unique(gram_hashes(characters(t if len(t) >= CHECKED_FROM else ""), CHECKED)) for t in self.texts]
+        self.grams = [GramEntry.build(self.texts, np.flatnonzero(rule == r).tolist(), q) for r, (_, q, _) in enumerate(GRAMS) if (rule == r).any()]
+
+    def by_characters(self, words: list[list[bytes]]) -> Iterator[tuple[int, int, int, str]]:
+        """(document, item, first character, text) of stretches that share enough grams with an item near one diagonal."""
+        plain = [b" ".join(w).decode("utf-8", "replace") for w in words]
+        firsts = np.cumsum([0, *(len(t) + 1 for t in plain)])[:-1]
+        codes = characters("\n".join(plain))
+        runs = gram_hashes(codes, CHECKED)
+        for entry in self.grams:
+            last = (-1, -1, 0)
+            for doc, item, begin in zip(*(x.tolist() for x in entry.candidates(codes, firsts, self.least)), strict=True):
+                margin = len(self.texts[item]) // 4 + BAND
+                low, high = max(0, begin - margin), max(0, begin + 2 * BAND + len(self.texts[item]) + margin)
+                if last == (doc, item, begin - BAND):  # the band before has been looked at, with more text around than this one needs
+                    last = (-1, -1, 0)
+                    continue
+                last = (doc, item, begin)
+                if len(own := self.runs[item]):
+                    here = runs[firsts[doc] + low : firsts[doc] + min(high, len(plain[doc]))]
+                    at = own.searchsorted(here)
+                    if len(set(at[own.take(at, mode="clip") == here].tolist())) < CHECKED_SHARE * len(own):
+                        continue
+                yield doc, item, low, plain[doc][low:high]
+
     @staticmethod
     def salt(class_no: int, walk: int, repeat: int) -> int:
         return (class_no * 8191 + walk * 131 + repeat * 7 + 1) * 0x9E3779B1 & 0xFFFFFFFF
@@ -216,7 +319,7 @@ class ItemIndex:
         sizes = np.array([len(w) for w in words], np.int64)
         firsts = np.cumsum(sizes + 1) - sizes - 1
         out: list[dict[int, tuple[int, int]]] = [{} for _ in texts]
-        if not len(texts) or not self.classes:
+        if not len(texts) or not self.texts:
             return out
         stop = np.zeros(1, np.uint32)
         flat = np.concatenate([x for w in words for x in (hashed(w), stop)])
@@ -229,6 +332,14 @@ class ItemIndex:
             distance, _ = edit_distance_within(self.texts[item], around)
             if distance <= (1 - similarity) * len(self.texts[item]) and (known is None or distance < known[0]):
                 out[doc][item] = distance, begin
+        for doc, item, low, around in self.by_characters(words):
+            known = out[doc].get(item)
+            if known is not None and known[0] == 0:
+                continue
+            distance, end = edit_distance_within(self.texts[item], around)
+            if distance <= (1 - similarity) * len(self.texts[item]) and (known is None or distance < known[0]):
+                begin = b" ".join(words[doc]).decode("utf-8", "replace")[: max(0, low + end - len(self.texts[item]))].count(" ")
+                out[doc][item] = distance, begin
         return out
 
 
