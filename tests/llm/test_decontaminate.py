@@ -33,3 +33,25 @@ def test_short_items_with_another_first_word(n_words):
     items = [(k, t) for k, t in items_of(n_words) if len(t.split()[0]) <= 0.2 * len(t)]
     assert len(items) > 20
     assert recall(items, lambda r, t: " ".join(["q" * len(t.split()[0]), *t.split()[1:]])) == 1
+
+
+def edited(r, text, share):
+    out = list(text)
+    for at in sorted(r.sample(range(len(out)), int(share * len(out))), reverse=True):
+        kind = r.random()
+        out[at : at + 1] = [r.choice(LETTERS)] if kind < 0.6 else [] if kind < 0.8 else [r.choice(LETTERS), out[at]]
+    return "".join(out)
+
+
+@pytest.mark.parametrize("n_words", [5, 8, 15, 20, 40, 58, 150])
+@pytest.mark.parametrize("share", [0.05, 0.1, 0.15, 0.19])
+def test_items_with_scattered_wrong_letters(n_words, share):
+    """Target recall: 0.99 up to 15 % of the letters, 0.95 just within the similarity."""
+    assert recall(items_of(n_words), lambda r, t: edited(r, t, share)) >= (0.99 if share <= 0.15 else 0.95)
+
+
+def test_items_without_spaces():
+    r = random.Random(3)
+    items = [(k, "".join(chr(r.randrange(0x4E00, 0x5200)) for _ in range(60))) for k in range(40)]
+    assert recall(items, lambda r, t: t[:20] + "x" + t[23:]) == 1
+    assert not any(decontaminate.ItemIndex.build([(1, "two words")]).matches(["two words"], 0.8))
