@@ -57,6 +57,11 @@ def mine_phrases(sentences: DataFrame, min_support: int, max_len: int | None = N
     return out if out is not None else here.limit(0).select("phrase", F.lit(1).alias("n"), F.lit(0).cast("bigint").alias("support"))
 
 
+def longest(phrases: DataFrame) -> int:
+    """Words of the longest phrase, 1 without any."""
+    return phrases.agg(F.max("n")).first()[0] or 1
+
+
 def complete_ratio(phrases: DataFrame) -> DataFrame:
     """phrase, n, support, ratio: the largest support among phrases one word longer that begin or end with it, over its own."""
     longer = phrases.where("n > 1").select(F.col("n").alias("m"), F.col("support").alias("s"), F.explode(F.array(F.regexp_replace("phrase", " [^ ]*$", ""), F.regexp_replace("phrase", "^[^ ]* ", ""))).alias("phrase"))

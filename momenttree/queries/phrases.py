@@ -13,15 +13,16 @@ from momenttree.queries.shared import documents, r6, r6_sql
 from momenttree.runtime import cut, stored
 
 SUPPORT = 40
+#: Length that the SQL twins reach; the queries named ..._whole have no cap and no twin.
 MOST = 3
 
 _GRAMS = " UNION ALL ".join(f"SELECT doc_id, array_to_string(list_slice(words, i, i + {n - 1}), ' ') AS phrase, {n} AS n FROM (SELECT doc_id, words, unnest(range(1, len(words) - {n - 2})) AS i FROM sent WHERE len(words) >= {n})" for n in range(1, MOST + 1))
 MINED = f"{SENT}, grams AS ({_GRAMS}), phr AS (SELECT phrase, n, count(*) AS support FROM grams GROUP BY ALL HAVING count(*) >= {SUPPORT})"
 
 
-def _mined(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+def _mined(spark: SparkSession, sf: str, most: int | None = MOST) -> tuple[DataFrame, DataFrame]:
     sentences = stored(C.sentence_rows(documents(spark, sf)), "sentences")  # scanned for every length
-    return sentences, P.mine_phrases(sentences, SUPPORT, MOST)
+    return sentences, P.mine_phrases(sentences, SUPPORT, most)
 
 
 @query(f"WITH {MINED} SELECT phrase, n, support FROM phr")
@@ -29,19 +30,45 @@ def frequent_phrases(spark: SparkSession, sf: str) -> DataFrame:
     return _mined(spark, sf)[1]
 
 
+@query()
+def frequent_phrases_whole(spark: SparkSession, sf: str) -> DataFrame:
+    """Phrases of any length."""
+    return _mined(spark, sf, None)[1]
+
+
 _RATIO = "longer AS (SELECT unnest([regexp_replace(phrase, ' [^ ]*$', ''), regexp_replace(phrase, '^[^ ]* ', '')]) AS phrase, support AS s FROM phr WHERE n > 1), ratios AS (SELECT p.phrase, n, support, coalesce(max(s), 0) * 1.0 / support AS ratio FROM phr p LEFT JOIN longer l ON l.phrase = p.phrase GROUP BY p.phrase, n, support)"
 
 
 @query(f"WITH {MINED}, {_RATIO} SELECT phrase, {r6_sql('ratio')} AS ratio FROM ratios WHERE ratio < 0.9")
 def complete_phrases(spark: SparkSession, sf: str) -> DataFrame:
-    return P.complete_ratio(_mined(spark, sf)[1]).where("ratio < 0.9").select("phrase", r6("ratio").alias("ratio"))
+    return _complete(_mined(spark, sf)[1])
+
+
+@query()
+def complete_phrases_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _complete(_mined(spark, sf, None)[1])
+
+
+def _complete(phrases: DataFrame) -> DataFrame:
+    return P.complete_ratio(phrases).where("ratio < 0.9").select("phrase", r6("ratio").alias("ratio"))
 
 
 @query(f"WITH {MINED}, total AS (SELECT CAST(sum(len(words)) AS DOUBLE) AS t FROM sent), w AS (SELECT phrase, n, support, string_split(phrase, ' ') AS parts FROM phr WHERE n > 1), s AS (SELECT phrase, support, array_to_string(list_slice(parts, 1, k), ' ') AS a, array_to_string(list_slice(parts, k + 1, n), ' ') AS b FROM (SELECT *, unnest(range(1, n)) AS k FROM w)) SELECT s.phrase, {r6_sql('min((s.support - x.support * y.support / t) / sqrt(s.support))')} AS z FROM s JOIN phr x ON x.phrase = a JOIN phr y ON y.phrase = b CROSS JOIN total GROUP BY s.phrase")
 def phraseness(spark: SparkSession, sf: str) -> DataFrame:
-    sentences, phrases = _mined(spark, sf)
-    n = sentences.agg(F.sum(F.size("words"))).first()[0] or 0
-    return P.phraseness(phrases, max(n, 1)).select("phrase", r6("z").alias("z"))
+    return _phraseness(*_mined(spark, sf))
+
+
+@query()
+def phraseness_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _phraseness(*_mined(spark, sf, None))
+
+
+def _n_tokens(sentences: DataFrame) -> int:
+    return max(sentences.agg(F.sum(F.size("words"))).first()[0] or 0, 1)
+
+
+def _phraseness(sentences: DataFrame, phrases: DataFrame) -> DataFrame:
+    return P.phraseness(phrases, _n_tokens(sentences)).select("phrase", r6("z").alias("z"))
 
 
 _COUNTS = "counts AS (SELECT doc_id, phrase, count(*) AS c FROM grams JOIN phr USING (phrase) GROUP BY ALL)"
@@ -53,6 +80,12 @@ def phrase_counts(spark: SparkSession, sf: str) -> DataFrame:
     return P.phrase_counts(sentences, phrases, MOST)
 
 
+@query()
+def phrase_counts_whole(spark: SparkSession, sf: str) -> DataFrame:
+    sentences, phrases = _mined(spark, sf, None)
+    return P.phrase_counts(sentences, phrases, P.longest(phrases))
+
+
 #: Topics: languages; words: the frequent single words by their share in each.
 _TOPICS = "nd AS (SELECT lang, 'o/' || CAST(row_number() OVER (ORDER BY lang) AS VARCHAR) AS path, count(*) * 1.0 / (SELECT count(*) FROM documents WHERE lang IS NOT NULL) AS alpha FROM documents WHERE lang IS NOT NULL GROUP BY lang), wd AS (SELECT path, phrase AS term, CAST(sum(c) AS DOUBLE) / sum(sum(c)) OVER (PARTITION BY path) AS phi FROM counts JOIN phr USING (phrase) JOIN documents USING (doc_id) JOIN nd USING (lang) WHERE n = 1 GROUP BY path, phrase)"
 _POST = "pw AS (SELECT phrase, n, unnest(string_split(phrase, ' ')) AS term FROM phr), lp AS (SELECT phrase, path, sum(ln(phi)) + ln(any_value(alpha)) AS lp FROM pw JOIN wd USING (term) JOIN nd USING (path) GROUP BY phrase, path, n HAVING count(*) = n), post AS (SELECT phrase, path, exp(lp - m) / sum(exp(lp - m)) OVER (PARTITION BY phrase) AS share FROM (SELECT *, max(lp) OVER (PARTITION BY phrase) AS m FROM lp))"

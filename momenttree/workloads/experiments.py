@@ -158,12 +158,12 @@ def iteration_sweep(corpus: Corpus, *, values: tuple[int, ...] = (1, 2, 5, 10, 2
     return rows
 
 
-def ranked_phrases(spark: SparkSession, sf: str, corpus: Corpus, tree: TopicTree, *, min_support: int = 20, max_len: int = 3, top: int = 10) -> dict[str, list[str]]:
+def ranked_phrases(spark: SparkSession, sf: str, corpus: Corpus, tree: TopicTree, *, min_support: int = 20, max_len: int | None = None, top: int = 10) -> dict[str, list[str]]:
     """The best phrases of every node, level by level under each parent."""
     docs = CORPORA[corpus.name](spark, sf)
     sentences = stored(C.sentence_rows(spread(docs)), "sentences")
     known = P.mine_phrases(sentences, min_support, max_len)
-    counts = cut(P.phrase_counts(sentences, known, max_len))
+    counts = cut(P.phrase_counts(sentences, known, P.longest(known)))
     n_docs = docs.count()
     nodes = tree.nodes_df(spark)
     words = tree.words_df(spark, 1e-12).join(F.broadcast(corpus.vocab.select("term_id", "term")), "term_id").select("path", "term", "phi")
