@@ -85,6 +85,16 @@ def phraseness(phrases: DataFrame, n_tokens: float) -> DataFrame:
     return joined.groupBy("phrase", "n", "support").agg(F.min((F.col("support") - expected) / F.sqrt("support")).alias("z"))
 
 
+#: Own choice, since the method leaves the test open: standard deviations above what independent parts would give.
+SIGNIFICANT = 3.0
+
+
+def quality(phrases: DataFrame, n_tokens: float, gamma: float = 0.9, least: float = SIGNIFICANT) -> DataFrame:
+    """phrase, n, support of the complete phrases; those of several words also have a phraseness of at least least."""
+    chance = phraseness(phrases, n_tokens).where(F.col("z") < least).select("phrase")
+    return complete(phrases, gamma).join(chance, "phrase", "left_anti").select("phrase", "n", "support")
+
+
 def phrase_counts(sentences: DataFrame, phrases: DataFrame, max_len: int, small: bool = True) -> DataFrame:
     """doc_id, phrase, c: all occurrences, overlapping ones too."""
     known = F.broadcast(phrases.select("phrase")) if small else phrases.select("phrase")

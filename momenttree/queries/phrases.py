@@ -94,28 +94,32 @@ _PROB = "tt AS (SELECT doc_id, path, sum(c) AS total FROM tc GROUP BY ALL HAVING
 _BASE = f"{MINED}, {_COUNTS}, {_TOPICS}, {_POST}, {_TOPICAL}, {_PROB}"
 
 
-def _topics(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
-    """phrases, counts, nodes, words (all cut: each is used several times)."""
+def _topics(spark: SparkSession, sf: str, whole: bool = False) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """phrases, counts, nodes, words (all cut: each is used several times).
+
+    whole: phrases of any length, of these the complete and significant ones; words are of all frequent single words still.
+    """
     from pyspark.sql import Window
 
-    sentences, phrases = _mined(spark, sf)
-    counts = cut(P.phrase_counts(sentences, phrases, MOST))
+    sentences, mined = _mined(spark, sf, None if whole else MOST)
+    phrases = cut(P.quality(mined, _n_tokens(sentences))) if whole else mined
+    counts = cut(P.phrase_counts(sentences, phrases, P.longest(phrases) if whole else MOST))
     docs = documents(spark, sf).where("lang is not null").select("doc_id", "lang")
     sizes = docs.groupBy("lang").agg(F.count("*").alias("n"))
     nodes = cut(sizes.select(F.concat(F.lit("o/"), F.row_number().over(Window.orderBy("lang")).cast("string")).alias("path"), F.lit("o").alias("parent"), "lang", (F.col("n") / F.sum("n").over(Window.partitionBy())).alias("alpha")))
-    singles = phrases.where("n = 1").select("phrase")
-    by_lang = counts.join(singles, "phrase").join(docs, "doc_id").groupBy("lang", "phrase").agg(F.sum("c").alias("c")).join(F.broadcast(nodes), "lang")
+    singles = mined.where("n = 1").select("phrase")
+    by_lang = (P.phrase_counts(sentences, singles, 1) if whole else counts.join(singles, "phrase")).join(docs, "doc_id").groupBy("lang", "phrase").agg(F.sum("c").alias("c")).join(F.broadcast(nodes), "lang")
     words = cut(by_lang.select("path", F.col("phrase").alias("term"), (F.col("c") / F.sum("c").over(Window.partitionBy("path"))).alias("phi")))
     return phrases, counts, nodes, words
 
 
-def _topical(spark: SparkSession, sf: str) -> DataFrame:
-    phrases, counts, nodes, words = _topics(spark, sf)
+def _topical(spark: SparkSession, sf: str, whole: bool = False) -> DataFrame:
+    phrases, counts, nodes, words = _topics(spark, sf, whole)
     return P.topical_phrase_counts(counts, cut(P.phrase_posterior(phrases, words, nodes)))
 
 
-def _probability(spark: SparkSession, sf: str) -> DataFrame:
-    return cut(P.phrase_probability(cut(_topical(spark, sf)), documents(spark, sf).count()))
+def _probability(spark: SparkSession, sf: str, whole: bool = False) -> DataFrame:
+    return cut(P.phrase_probability(cut(_topical(spark, sf, whole)), documents(spark, sf).count()))
 
 
 @query(f"WITH {_BASE} SELECT doc_id, path, phrase, {r6_sql('c')} AS c FROM tc")
@@ -135,8 +139,8 @@ def _ranked_sql(score: str) -> str:
 _SELECT = f"SELECT path, rank, phrase, {r6_sql('p_topic', 1e4)} AS p_topic, {r6_sql('p_parent', 1e4)} AS p_parent, {r6_sql('score', 1e4)} AS score FROM rk WHERE rank <= 20"
 
 
-def _ranked(spark: SparkSession, sf: str, by: str) -> DataFrame:
-    ranked = P.rank_phrases(_probability(spark, sf), 20, by)
+def _ranked(spark: SparkSession, sf: str, by: str, whole: bool = False) -> DataFrame:
+    ranked = P.rank_phrases(_probability(spark, sf, whole), 20, by)
     return ranked.select("path", "rank", "phrase", r6("p_topic", 1e4).alias("p_topic"), r6("p_parent", 1e4).alias("p_parent"), r6("score", 1e4).alias("score"))
 
 
@@ -158,3 +162,33 @@ def phrase_ranking_ratio(spark: SparkSession, sf: str) -> DataFrame:
 @query(f"{_ranked_sql('a.p * ln(a.p / b.p)')}, pl AS (SELECT *, row_number() OVER (PARTITION BY path, regexp_replace(phrase, 's$', '') ORDER BY rank) AS k FROM rk) SELECT path, CAST(row_number() OVER (PARTITION BY path ORDER BY rank) AS INT) AS rank, phrase FROM pl WHERE k = 1")
 def plural_collapsed(spark: SparkSession, sf: str) -> DataFrame:
     return P.collapse_plurals(P.rank_phrases(_probability(spark, sf))).select("path", "rank", "phrase")
+
+
+@query()
+def topical_phrase_counts_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _topical(spark, sf, True).select("doc_id", "path", "phrase", r6("c").alias("c"))
+
+
+@query()
+def phrase_probability_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _probability(spark, sf, True).select("path", "phrase", r6("p", 1e4).alias("p"))
+
+
+@query()
+def phrase_ranking_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _ranked(spark, sf, "both", True)
+
+
+@query()
+def phrase_ranking_popularity_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _ranked(spark, sf, "popularity", True)
+
+
+@query()
+def phrase_ranking_ratio_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _ranked(spark, sf, "ratio", True)
+
+
+@query()
+def plural_collapsed_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return P.collapse_plurals(P.rank_phrases(_probability(spark, sf, True))).select("path", "rank", "phrase")

@@ -162,7 +162,8 @@ def ranked_phrases(spark: SparkSession, sf: str, corpus: Corpus, tree: TopicTree
     """The best phrases of every node, level by level under each parent."""
     docs = CORPORA[corpus.name](spark, sf)
     sentences = stored(C.sentence_rows(spread(docs)), "sentences")
-    known = P.mine_phrases(sentences, min_support, max_len)
+    n_tokens = sentences.agg(F.sum(F.size("words"))).first()[0] or 0
+    known = cut(P.quality(P.mine_phrases(sentences, min_support, max_len), max(n_tokens, 1)))
     counts = cut(P.phrase_counts(sentences, known, P.longest(known)))
     n_docs = docs.count()
     nodes = tree.nodes_df(spark)

@@ -4,6 +4,7 @@ from collections import Counter
 
 import pytest
 
+from momenttree.operators import phrases as P
 from momenttree.queries import QUERIES, load
 
 load()
@@ -28,3 +29,13 @@ def test_phrases_of_any_length(spark, small):
     assert {r.phrase for r in run("complete_phrases_whole")} == {LONG, "red green"}
     assert {r.phrase for r in run("phraseness_whole")} == {p for p in want if " " in p}
     assert {(r.doc_id, r.phrase, r.c) for r in run("phrase_counts_whole")} == {(k, p, c) for k, g in enumerate(grams) for p, c in Counter(g).items() if p in want}
+
+
+def test_only_complete_and_significant_phrases_are_ranked(spark, small):
+    path, grams = small
+    counts = QUERIES["topical_phrase_counts_whole"](spark, path).where("path = 'o'").collect()
+    assert {(r.doc_id, r.phrase, r.c) for r in counts} == {(k, p, float(c)) for k, g in enumerate(grams) for p, c in Counter(g).items() if p in (LONG, "red green")}
+    assert {r.phrase for r in QUERIES["phrase_ranking_whole"](spark, path).collect()} == {LONG, "red green"}
+    assert {r.phrase for r in QUERIES["plural_collapsed_whole"](spark, path).collect()} == {LONG, "red green"}
+    chance = spark.createDataFrame([("a", 1, 900), ("b", 1, 900), ("c", 1, 60), ("d", 1, 60), ("a b", 2, 50), ("c d", 2, 50)], "phrase string, n int, support bigint")
+    assert {r.phrase for r in P.quality(chance, 10_000).collect()} == {"a", "b", "c", "d", "c d"}
