@@ -2,7 +2,7 @@
 
 A url's own rule decides it.  Urls without a rule take the decision of their aliases: urls with the same normal form
 (scheme, query, fragment, a leading www. or m., a trailing slash and .html dropped) and urls tied to them by canonical
-links or redirects found in the pages, through connected components.  If any alias is allowed by a rule the class is
+links or redirects found in the pages (all of a page, relative ones resolved against its url), through connected components.  If any alias is allowed by a rule the class is
 allowed, else if any is blocked it is blocked, else it is allowed.
 
 Defined results: a null url or one without :// has empty host and path, no alias, and verdict allow unless a rule
@@ -44,6 +44,18 @@ def normal_form(url: Column) -> Column:
     return F.when(name != "", F.concat(name, F.regexp_replace(path(url), r"(/|\.html)$", "")))
 
 
+def resolved(target: Column, base: Column) -> Column:
+    """Target of a link in the page at base, as a url with ://; null for an empty one or another kind of scheme."""
+    plain = F.regexp_extract(target, r"^[^?#]*", 0)
+    folder = F.concat(F.lit("/"), F.regexp_extract(path(base), r"^/(.*/)?[^/]*$", 1))
+    whole = F.when(plain == "", path(base)).when(plain.startswith("/"), plain).otherwise(F.concat(folder, plain))
+    above = lambda kept: F.slice(kept, F.lit(1), F.greatest(F.size(kept) - 1, F.lit(1)))
+    steps = F.aggregate(F.split(whole, "/"), F.array().cast("array<string>"), lambda kept, x: F.when(x == "..", above(kept)).when(x == ".", kept).otherwise(F.concat(kept, F.array(x))))
+    local = F.concat(F.lit("x://"), host(base), F.array_join(steps, "/"))
+    scheme = "^[A-Za-z][A-Za-z0-9+.-]*:"
+    return F.when(target.rlike(scheme + "//"), target).when(target.startswith("//"), F.concat(F.lit("x:"), target)).when((target != "") & ~target.rlike(scheme), local)
+
+
 def rule_of(name: Column, where: Column, rules: list[tuple[str, str, str]]) -> Column:
     """Struct (length, allows, rule, verdict) of the longest rule that fits, null without one; of equal ones an allowing one."""
     if len(rules) > RULES_MOST:
@@ -54,13 +66,15 @@ def rule_of(name: Column, where: Column, rules: list[tuple[str, str, str]]) -> C
 
 
 def page_links(pages: DataFrame) -> DataFrame:
-    """a, b: normal forms of a page's url and of its canonical link or redirect target, where these differ."""
+    """a, b: normal forms of a page's url and of each of its canonical links and redirect targets, where these differ."""
     html = F.col("html")
-    canonical = F.regexp_extract(html, r"""(?i)<link\b[^>]*\brel=["']?canonical["']?[^>]*>""", 0)
-    refresh = F.regexp_extract(html, r"""(?i)<meta\b[^>]*\bhttp-equiv=["']?refresh["']?[^>]*>""", 0)
-    to = F.array(F.regexp_extract(canonical, r"""(?i)\bhref=["']?([^"'\s>]+)""", 1), F.regexp_extract(refresh, r"""(?i)\burl=["']?([^"'\s>]+)""", 1))
+    canonical = F.regexp_extract_all(html, F.lit(r"""(?i)<link\b[^>]*\brel=["']?canonical["']?[^>]*>"""), F.lit(0))
+    refresh = F.regexp_extract_all(html, F.lit(r"""(?i)<meta\b[^>]*\bhttp-equiv=["']?refresh["']?[^>]*>"""), F.lit(0))
+    href = F.transform(canonical, lambda x: F.regexp_extract(x, r"""(?i)\bhref=["']?([^"'\s>]+)""", 1))
+    to = F.concat(href, F.transform(refresh, lambda x: F.regexp_extract(x, r"""(?i)\burl=["']?([^"'\s>]+)""", 1)))
     hinted = pages.where(html.rlike("(?i)canonical|http-equiv"))
-    return hinted.select(normal_form(F.col("url")).alias("a"), F.explode(to).alias("to")).select("a", normal_form(F.col("to")).alias("b")).where("a <> b")
+    targets = hinted.select("url", F.explode(to).alias("to"))
+    return targets.select(normal_form(F.col("url")).alias("a"), normal_form(resolved(F.col("to"), F.col("url"))).alias("b")).where("a <> b")
 
 
 def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, links: DataFrame | None = None) -> DataFrame:
