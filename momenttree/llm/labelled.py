@@ -15,9 +15,11 @@ def sample(docs: DataFrame, labels: DataFrame, label: str, teaches: Column, boun
     """doc_id, text, n_chars (null where docs has none) and y of at most `bound` labelled ids that may teach.
 
     The ids with the smallest hashes are taken, so the choice does not depend on partitions; null labels and ids
-    teach nothing, and an id with several labels has the largest.  The id list is bounded, hence broadcast.
+    teach nothing, an id with several labels has the largest, and of rows with one id the smallest text teaches.  The id
+    list is bounded, hence broadcast.
     """
     known = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull()).where(teaches).groupBy("doc_id").agg(F.max(label).cast("int").alias("y"))
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound)
     n_chars = F.col("n_chars").cast("double") if "n_chars" in docs.columns else F.lit(None).cast("double")
-    return docs.select("doc_id", F.col("text").cast("string").alias("text"), n_chars.alias("n_chars")).join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])
+    rows = docs.select("doc_id", F.col("text").cast("string").alias("text"), n_chars.alias("n_chars")).join(F.broadcast(chosen), "doc_id")
+    return rows.groupBy("doc_id").agg(F.min(F.struct("text", "n_chars")).alias("r"), F.first("y").alias("y")).select("doc_id", "r.text", "r.n_chars", "y")

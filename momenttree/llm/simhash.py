@@ -1,15 +1,19 @@
 """SimHash near-duplicates by meet-in-the-middle ball hashing.
 
-Fingerprints link at RADIUS = 3 or fewer differing bits.  Every distinct fingerprint emits all 65 variants
-within one bit, half the radius rounded down, and the variants meet in a shuffle:
+Fingerprints link at RADIUS = 3 or fewer differing bits, so two that link have a common variant: one flips at most
+one bit (65 variants), the other at most two.  Of any three bits two lie in the same 32-bit half, so the second one
+needs only the pairs of one half (992 variants).  Every distinct fingerprint emits its variants, they meet in a
+shuffle, and colliding pairs are de-duplicated and verified:
 
-* two fingerprints that share a variant differ in at most two bits, so the (at most 65) members of a variant
-  are linked to the smallest of them, without pairs and without a check;
-* two fingerprints three bits apart own variants that differ in exactly one bit.  That bit lies in one 32-bit
-  half, so the other halves of those variants meet in a second shuffle: each fingerprint emits its variants'
-  halves, and colliding pairs are verified and de-duplicated.  A half met by more than PAIRED fingerprints is
-  not paired: its members emit the ball of radius two instead, whose members (at most 2081 for each variant)
-  again need no pairs.  No link is lost either way.
+* variants within one bit meet as they are: fingerprints that share one differ in at most two bits, so the (at most
+  65) members of a variant are linked to the smallest of them, without pairs and without a check;
+* variants with two flips in one half all keep the other half as it was.  They travel together as one row of that half
+  instead of 496 rows, and meet the halves of the others' variants within one bit.  Which of them agree in the whole is
+  the same as a distance of three, which is checked on each colliding pair.
+
+A half met by more than PAIRED fingerprints has more pairs to check than its members have variants (16 checks cost
+about one shuffled row); its members emit each variant as a row of its own, and again need no pairs.  No link is lost
+either way, and nothing is capped.
 
 Classes are connected components over both kinds of link, computed on distinct fingerprints, so thousands of
 exact copies weigh as one row.
@@ -28,9 +32,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from momenttree.llm.components import components
-from momenttree.llm.runtime import cut, ship, text_batches
+from momenttree.llm.runtime import BATCH_ROWS, cut, ship
 
 RADIUS = 3
+#: Fingerprints that meet at one half: up to here pairs are checked, beyond variants are shuffled.
 PAIRED = 256
 WORDS = re.compile(rb"[^\x20\x09-\x0D]+").findall
 UPPER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
@@ -55,17 +60,20 @@ def fingerprint_of(text: str, words_in_shingle: int = 3) -> int:
 
 def _fingerprint_rows(words_in_shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for keys, texts in text_batches(batches):
-            values = np.array([fingerprint_of(t, words_in_shingle) for t in texts], dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([keys, pa.array(values)], ["doc_id", "fp"])
+        for whole in batches:
+            for at in range(0, whole.num_rows, BATCH_ROWS):
+                batch = whole.slice(at, BATCH_ROWS)
+                values = np.array([fingerprint_of(t or "", words_in_shingle) for t in batch.column(1).to_pylist()], dtype=np.uint64).view(np.int64)
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values), batch.column(2)], ["doc_id", "fp", "text_hash"])
 
     return run
 
 
 def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", words_in_shingle: int = 3) -> DataFrame:
-    """doc_id, fp (the 64 bits as a signed long).  Null and wordless texts have fingerprint zero."""
+    """doc_id, fp (the 64 bits as a signed long), text_hash.  Null and wordless texts have fingerprint zero."""
     ship(docs.sparkSession)
-    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(_fingerprint_rows(words_in_shingle), "doc_id bigint, fp bigint")
+    chosen = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text")).withColumn("text_hash", F.xxhash64("text"))
+    return chosen.mapInArrow(_fingerprint_rows(words_in_shingle), "doc_id bigint, fp bigint, text_hash bigint")
 
 
 def flips(bits: range, width: int) -> list[int]:
@@ -110,26 +118,32 @@ def _meeting() -> Column:
 
 
 def _wide_links(members: DataFrame) -> DataFrame:
-    """Links of members three bits apart without pairs: at each variant, all within two bits join the smallest within one bit."""
-    near, wide = flips(range(64), 1), flips(range(64), 2)
+    """Links of members three bits apart without pairs: at each variant, all with two flips in one half join the smallest within one bit."""
+    near = flips(range(64), 1)
+    wide = near + [m for half in (range(32), range(32, 64)) for m in flips(half, 2)[33:]]
     masks = F.array(*(F.struct(F.lit(m).alias("mask"), F.lit(k < len(near)).alias("near")) for k, m in enumerate(wide)))
     ball = members.select("fp", F.explode(masks).alias("m")).select("fp", "m.near", F.col("fp").bitwiseXOR(F.col("m.mask")).alias("variant"))
     first = F.min(F.when(F.col("near"), F.col("fp"))).over(Window.partitionBy("variant"))
     return ball.select(first.alias("a"), F.col("fp").alias("b")).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
+def _classed(docs: DataFrame, words_in_shingle: int, paired: int) -> DataFrame:
+    """doc_id, fp, text_hash, class (its smallest fingerprint), component_id."""
+    rows = cut(fingerprints(docs, words_in_shingle=words_in_shingle))
+    distinct = cut(rows.groupBy("fp").agg(F.min("doc_id").alias("first")))
+    joined = components(cut(near_links(distinct.select("fp"), paired))).select(F.col("id").alias("fp"), "component")
+    named = cut(distinct.join(joined, "fp", "left").select("fp", "first", F.coalesce("component", "fp").alias("class")))
+    smallest = named.groupBy("class").agg(F.min("first").alias("component_id"))
+    return rows.join(named.join(smallest, "class").select("fp", "class", "component_id"), "fp")
+
+
 def classes(docs: DataFrame, *, words_in_shingle: int = 3, paired: int = PAIRED) -> DataFrame:
     """doc_id, fp, component_id (the smallest doc_id of the class) for every row of docs.
 
     Rows with a null doc_id belong to their fingerprint's class but never name it (a class of such rows only has a null
     component_id); repeated rows give repeated results; equal texts always share a class; an empty table gives none.
     """
-    rows = cut(fingerprints(docs, words_in_shingle=words_in_shingle))
-    distinct = cut(rows.groupBy("fp").agg(F.min("doc_id").alias("first")))
-    joined = components(cut(near_links(distinct.select("fp"), paired))).select(F.col("id").alias("fp"), "component")
-    named = cut(distinct.join(joined, "fp", "left").select("fp", "first", F.coalesce("component", "fp").alias("component")))
-    smallest = named.groupBy("component").agg(F.min("first").alias("component_id"))
-    return rows.join(named.join(smallest, "component").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
+    return _classed(docs, words_in_shingle, paired).select("doc_id", "fp", "component_id")
 
 
 def as_hex(fp: Column) -> Column:
@@ -137,7 +151,16 @@ def as_hex(fp: Column) -> Column:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of docs that name their class; of repeated rows with one doc_id, one stays.  Rows without a doc_id stay."""
-    kept = classes(docs).where("doc_id = component_id").select("doc_id").distinct()
-    named = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.select(docs.columns).union(docs.where("doc_id is null"))
+    """One row of docs for each class: of those with its smallest doc_id the one with the smallest text hash.
+
+    Of rows equal in id and text the one smallest in all columns stays, so the columns have to be orderable.  Rows
+    without a doc_id stay.
+    """
+    named = _classed(docs, 3, PAIRED).where("doc_id = component_id").groupBy("class").agg(F.min(F.struct("doc_id", "text_hash")).alias("k"))
+    chosen = cut(named.select("k.*").distinct())
+    mark = "__text_hash"
+    marked = docs.where("doc_id is not null").withColumn(mark, F.xxhash64(F.col("text").cast("string")))
+    kept = marked.join(chosen.toDF("__id", "__hash"), (F.col("doc_id") == F.col("__id")) & (F.col(mark) == F.col("__hash")), "left_semi")
+    whole = F.struct(*(F.col(f"`{c}`") for c in docs.columns))
+    single = kept.groupBy("doc_id", mark).agg(F.min(whole).alias("w")).select("w.*")
+    return single.select(docs.columns).union(docs.where("doc_id is null"))
