@@ -2,7 +2,7 @@
 
 A text's shingles are its runs of WORDS lower-cased words (fewer words: the whole sequence; none: no shingle).  Word
 hashes combine into shingle hashes by a fixed linear form, and PERMUTATIONS universal hashes a*x + b mod 2**32 keep
-their minima, all in vectorised numpy.  near_pairs bands the signatures, links equal bands through their smallest
+their minima, all in vectorised numpy.  near_classes bands the signatures, links equal bands through their smallest
 member and verifies links by the exact Jaccard similarity of the shingle sets.
 
 Defined results: null text counts as empty; texts without words have the signature of all ones and equal only each
@@ -27,7 +27,10 @@ from momenttree.llm.runtime import cut, ship, stored, text_batches
 
 WORDS = 5
 PERMUTATIONS = 128
-BANDS = 16
+#: Bands of five minima: a pair at a similarity of 0.8 shares none with a probability of 5e-5.
+BANDS = 25
+#: Members in different classes that one band may compare with one another; in larger bands rare shingles choose the pairs.
+PAIRED = 64
 SIMILARITY = 0.8
 _BLOCK = 2_048
 _TOKENS = re.compile(rb"[^\x00-\x20]+").findall
@@ -139,13 +142,13 @@ def with_edited(docs: DataFrame, partitions: int | None = None) -> DataFrame:
 
     Texts are dealt once, by ranges of doc_id, and sorted; a document's successor is the next row of its partition.
     Only the first and the last row of each partition meet their neighbours in a second small stage, so what is
-    gathered there counts partitions, not documents.  Rows without a doc_id come first, rows of equal ids in any order.
+    gathered there counts partitions, not documents.  Rows without a doc_id come first, rows of equal ids in order of their texts.
     """
     spark = docs.sparkSession
     ship(spark)
     chosen = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
     dealt = chosen.repartitionByRange(partitions, "doc_id") if partitions else chosen.repartitionByRange("doc_id")
-    done = stored(dealt.sortWithinPartitions("doc_id").select("doc_id", "text").mapInArrow(_sorted_runs, _DDL + ", edge string, edge_id bigint, edge_text string"), "minhash")
+    done = stored(dealt.sortWithinPartitions("doc_id", "text").select("doc_id", "text").mapInArrow(_sorted_runs, _DDL + ", edge string, edge_id bigint, edge_text string"), "minhash")
     inner = done.where("edge is null").select(RESULT.names)
     ends = done.where("edge is not null")
     # One first and one last row for each non-empty partition: in order of the id, a last row is followed by the next first row.
@@ -161,7 +164,7 @@ def with_edited(docs: DataFrame, partitions: int | None = None) -> DataFrame:
     return inner.union(outer)
 
 
-def signatures(docs: DataFrame, *, words: int = WORDS) -> DataFrame:
+def signatures(docs: DataFrame, *, words: int = WORDS, id_type: str = "bigint") -> DataFrame:
     """doc_id, signature (array of PERMUTATIONS longs), n_shingles."""
     ship(docs.sparkSession)
 
@@ -170,29 +173,35 @@ def signatures(docs: DataFrame, *, words: int = WORDS) -> DataFrame:
             made = [shingles(t, words) for t in texts]
             yield pa.RecordBatch.from_arrays([keys, pa.array([signature(h).astype(np.int64) for h in made], pa.list_(pa.int64())), pa.array([len(h) for h in made], pa.int64())], ["doc_id", "signature", "n_shingles"])
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id bigint, signature array<bigint>, n_shingles bigint")
+    return docs.select(F.col("doc_id").cast(id_type).alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, f"doc_id {id_type}, signature array<bigint>, n_shingles bigint")
 
 
 def _bands(signature_col: Column, rows: int, bands: int) -> Column:
     return F.explode(F.array(*(F.struct(F.lit(b).alias("band"), F.xxhash64(F.slice(signature_col, 1 + b * rows, rows)).alias("key")) for b in range(bands))))
 
 
-def near_classes(docs: DataFrame, *, similarity: float = SIMILARITY, words: int = WORDS, bands: int = BANDS) -> DataFrame:
-    """doc_id, component_id (smallest doc_id of the class), for rows with a doc_id.
+def near_classes(docs: DataFrame, *, similarity: float = SIMILARITY, words: int = WORDS, bands: int = BANDS, paired: int = PAIRED) -> DataFrame:
+    """doc_id, component_id (smallest doc_id of the class), one row for each row of docs.
 
-    Equal texts first become one row.  In each band members are tied to its smallest member, and a tie counts if the exact
-    Jaccard similarity of the two shingle sets reaches `similarity`.  That joins a group of near copies without its pairs.
-    Then members of one band that are still in different classes are compared with each other, so no link that the bands
-    can show is lost; pairs within a class are never formed.
+    Equal texts first become one vertex, named by a hash of the text.  In each band members are tied to its smallest
+    member, and a tie counts if the exact Jaccard similarity of the two shingle sets reaches `similarity`.  That joins a
+    group of near copies without its pairs.  Then members of one band that are still in different classes are compared
+    with one another, so no link that the bands can show is lost.  In a band with over `paired` such members pairs are
+    chosen by rare shingles instead: two sets of a similarity of s share one of the 1 - s rarest of either, so this
+    loses none, and a common line that many documents have makes no pairs of all of them.
+
+    Rows with a null doc_id belong to their text's class but never name it (a class of such rows only has a null
+    component_id); null and wordless texts are one class; repeated rows give repeated results; an empty table gives none.
     """
     ship(docs.sparkSession)
-    rows = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    keyed = cut(rows.select("doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("same")))
-    heads = keyed.groupBy("same").agg(F.min("doc_id").alias("head"))
-    members = keyed.join(heads, "same").select("doc_id", "head")
-    texts = cut(rows.dropDuplicates(["doc_id"]).join(heads.select(F.col("head").alias("doc_id")), "doc_id"))
-    banded = signatures(texts, words=words).select("doc_id", _bands(F.col("signature"), PERMUTATIONS // bands, bands).alias("b")).select("doc_id", "b.band", "b.key")
-    banded = cut(banded)
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    name = F.substring(F.sha2(F.col("text").cast("binary"), 256), 1, 32)
+    keyed = cut(rows.select("doc_id", name.alias("same")))
+    heads = cut(keyed.groupBy("same").agg(F.min("doc_id").alias("head")))
+    first = rows.withColumn("same", name).join(heads.toDF("s", "head"), (F.col("same") == F.col("s")) & F.col("doc_id").eqNullSafe(F.col("head")), "left_semi")
+    texts = stored(first.dropDuplicates(["same"]).select("same", "text"), "texts")
+    made = signatures(texts.select(F.col("same").alias("doc_id"), "text"), words=words, id_type="string")
+    banded = stored(made.select(F.col("doc_id").alias("same"), _bands(F.col("signature"), PERMUTATIONS // bands, bands).alias("b")).select("same", "b.band", "b.key"), "banded")
 
     def jaccard(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -205,15 +214,44 @@ def near_classes(docs: DataFrame, *, similarity: float = SIMILARITY, words: int
     def verified(pairs: DataFrame) -> DataFrame:
         """Links (a, b) among distinct candidate pairs."""
         sides = pairs.join(texts.toDF("a", "text_a"), "a").join(texts.toDF("b", "text_b"), "b").select("a", "b", "text_a", "text_b")
-        return cut(sides.mapInArrow(jaccard, "a bigint, b bigint, jaccard double").where(F.col("jaccard") >= similarity).select("a", "b"))
-
-    smallest = banded.groupBy("band", "key").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
-    ties = verified(banded.join(smallest, ["band", "key"]).where("a <> doc_id").select("a", F.col("doc_id").alias("b")).distinct())
-    first = components(ties).select(F.col("id").alias("doc_id"), "component")
-    classed = banded.join(first, "doc_id", "left").select("band", "key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
-    mixed = classed.groupBy("band", "key").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "key")
-    open_ = cut(classed.join(mixed, ["band", "key"], "left_semi"))
-    x, y = open_.toDF("band", "key", "a", "ca"), open_.toDF("band", "key", "b", "cb")
-    across = verified(x.join(y, ["band", "key"]).where("a < b and ca <> cb").select("a", "b").distinct())
-    joined = components(ties.union(across)).select(F.col("id").alias("head"), "component")
-    return members.join(joined, "head", "left").select("doc_id", F.coalesce("component", "head").alias("component_id"))
+        return cut(sides.mapInArrow(jaccard, "a string, b string, jaccard double").where(F.col("jaccard") >= similarity).select("a", "b"))
+
+    smallest = banded.groupBy("band", "key").agg(F.min("same").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
+    ties = verified(banded.join(smallest, ["band", "key"]).where("a <> same").select("a", F.col("same").alias("b")).distinct())
+    classed = banded.join(components(ties).select(F.col("id").alias("same"), "component"), "same", "left").select("band", "key", "same", F.coalesce("component", "same").alias("c"))
+    mixed = classed.groupBy("band", "key").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.count("*").alias("n")).where("low <> high").select("band", "key", "n")
+    open_ = cut(classed.join(mixed, ["band", "key"]))
+    few = open_.where(F.col("n") <= paired).drop("n")
+    x, y = few.toDF("band", "key", "a", "ca"), few.toDF("band", "key", "b", "cb")
+    pairs = x.join(y, ["band", "key"]).where("a < b and ca <> cb").select("a", "b")
+    crowd = cut(open_.where(F.col("n") > paired).select("same", "c").distinct())
+    if not crowd.isEmpty():
+        pairs = pairs.union(_rare_pairs(texts.join(crowd.select("same"), "same", "left_semi"), crowd, similarity, words))
+    joined = components(ties.union(verified(pairs.distinct())))
+    named = heads.join(joined.select(F.col("id").alias("same"), "component"), "same", "left").select("same", "head", F.coalesce("component", "same").alias("component"))
+    smallest_id = named.groupBy("component").agg(F.min("head").alias("component_id"))
+    return keyed.join(named.join(smallest_id, "component").select("same", "component_id"), "same").select("doc_id", "component_id")
+
+
+def _rare_pairs(texts: DataFrame, classed: DataFrame, similarity: float, words: int) -> DataFrame:
+    """Pairs (a, b) of members in different classes that share one of their rarest shingles and whose sizes allow the similarity.
+
+    Of n shingles the n - ceil(s n) + 1 rarest are looked at, in one order for all: sets that miss each other there
+    share fewer than s n.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for keys, found in text_batches(batches):
+            yield pa.RecordBatch.from_arrays([keys, pa.array([np.unique(shingles(t, words)).astype(np.int64) for t in found], pa.list_(pa.int64()))], ["same", "shingles"])
+
+    sets = texts.select("same", "text").mapInArrow(run, "same string, shingles array<bigint>")
+    each = cut(sets.select("same", F.size("shingles").alias("n"), F.explode("shingles").alias("shingle")))
+    rarity = each.groupBy("shingle").agg(F.count("*").alias("f")).where("f > 1")
+    own = each.join(rarity, "shingle", "left").groupBy("same", "n").agg(F.array_sort(F.collect_list(F.struct(F.coalesce("f", F.lit(1)).alias("f"), "shingle"))).alias("s"))
+    prefix = F.slice("s", F.lit(1), (F.col("n") - F.ceil(F.col("n") * similarity - 1e-9) + 1).cast("int"))
+    entries = own.select("same", "n", F.explode(prefix).alias("e")).where("e.f > 1").select("same", "n", "e.shingle").join(classed, "same")
+    mixed = entries.groupBy("shingle").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("shingle")
+    entries = cut(entries.join(mixed, "shingle", "left_semi"))
+    x, y = entries.toDF("shingle", "a", "na", "ca"), entries.toDF("shingle", "b", "nb", "cb")
+    fits = (F.least("na", "nb") >= F.greatest("na", "nb") * similarity - 1e-9) & (F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb"))
+    return x.join(y, "shingle").where(fits).select("a", "b")
