@@ -3,7 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
-from momenttree.llm import bpe, decontaminate, licences, minhash, quality, secrets, simhash, token_counts, toxicity, urls
+from momenttree.llm import bpe, decontaminate, labelled, licences, minhash, quality, secrets, simhash, token_counts, toxicity, urls
 
 DDL = "doc_id bigint, text string, lang string, source string, n_chars bigint"
 LONG = "the quick brown fox " * 30_000
@@ -51,6 +51,7 @@ OPERATORS = {
     "simhash": lambda d, labels, items: simhash.classes(d),
     "secrets": lambda d, labels, items: secrets.report(d),
     "minhash": lambda d, labels, items: minhash.with_edited(d),
+    "near_classes": lambda d, labels, items: minhash.near_classes(d),
 }
 
 
@@ -66,7 +67,7 @@ def test_one_row_for_each_document(name, docs, none, labels, items):
 
 
 def test_equal_rows_are_treated_alike(docs, labels, items):
-    for name in ("bpe", "toxicity", "quality", "simhash"):
+    for name in ("bpe", "toxicity", "quality", "simhash", "licences", "secrets", "near_classes"):
         rows = [tuple(r) for r in OPERATORS[name](docs, labels, items).collect() if r.doc_id == 1]
         assert len(rows) == 2 and rows[0] == rows[1], name
 
@@ -99,6 +100,17 @@ def test_stages_keep_columns(docs, none, spark):
     assert [r.text for r in secrets.redact(docs).where("doc_id is null").collect()] == ["[secret]"]
 
 
+def test_rows_of_one_id_and_different_texts(spark):
+    """Each text's class keeps its own row; the choice does not depend on the order of rows."""
+    rows = [(1, "one two three four five", "en", "a", 1), (1, "six seven eight nine ten", "en", "a", 2), (2, "one two three four five", "en", "a", 3), (1, "one two three four five", "en", "a", 4)]
+    for order in (rows, rows[::-1]):
+        kept = simhash.keep_one(spark.createDataFrame(order, DDL).repartition(3))
+        assert sorted(tuple(r) for r in kept.collect()) == sorted([rows[0], rows[1]])
+        taught = labelled.sample(spark.createDataFrame(order, DDL), spark.createDataFrame([(1, 1)], "doc_id bigint, quality int"), "quality", F.lit(True), 10)
+        assert [(r.doc_id, r.text, r.y) for r in taught.collect()] == [(1, rows[0][1], 1)]
+        assert sorted(tuple(r) for r in minhash.near_classes(spark.createDataFrame(order, DDL)).collect()) == [(1, 1), (1, 1), (1, 1), (2, 1)]
+
+
 def test_urls(spark):
     rows = [(1, "http://A.example.org/en/1?x", None), (1, "http://A.example.org/en/1?x", None), (2, None, "<html>"), (3, "no scheme", ""), (None, "ftp://com", None), (4, "http://x.com/de/", "<link rel=canonical href='http://y.net/z'>"), (5, "https://www.y.net/z/", None), (6, "http://q.net/", None)]
     pages = spark.createDataFrame(rows, "page_id bigint, url string, html string").withColumns({c: F.lit("clash") for c in CLASH + ["host", "rule", "verdict"]})
