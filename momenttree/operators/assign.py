@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -12,8 +13,11 @@ from momenttree.plans.build import word_weights
 
 def weights_df(spark: SparkSession, tree: TopicTree, least: float = 1e-6) -> DataFrame:
     """path, term_id, omega of every node but the root; bounded by vocabulary times nodes."""
-    rows = [(p, int(x), float(w[x])) for p, w in word_weights(tree).items() if w is not None for x in np.flatnonzero(w > least)]
-    return spark.createDataFrame(rows, "path string, term_id int, omega double")
+    own = {p: (np.flatnonzero(w > least), w) for p, w in word_weights(tree).items() if w is not None}
+    names = pa.array([p for p, (x, _) in own.items() for _ in x], pa.string())
+    terms = pa.array(np.concatenate([np.zeros(0, np.int32), *(x.astype(np.int32) for x, _ in own.values())]))
+    omega = pa.array(np.concatenate([np.zeros(0), *(w[x] for x, w in own.values())]))
+    return spark.createDataFrame(pa.table([names, terms, omega], ["path", "term_id", "omega"]))
 
 
 def topical_counts(long_bags: DataFrame, weights: DataFrame) -> DataFrame:

@@ -48,16 +48,28 @@ def numbered(rows: DataFrame, order: list[Column], name: str) -> DataFrame:
     return ranges.withColumn("_at", within).join(F.broadcast(before), "_range").withColumn(name, (F.col("_before") + F.col("_at")).cast("int")).drop("_range", "_before", "_at")
 
 
+def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(term, rows that hold it, occurrences) of each batch."""
+    for batch in batches:
+        words = batch.column(0)
+        owner = np.repeat(np.arange(batch.num_rows), np.diff(words.offsets.to_numpy()))
+        found = pc.dictionary_encode(words.flatten())
+        code, v = found.indices.to_numpy(zero_copy_only=False).astype(np.int64), len(found.dictionary)
+        if v:
+            rows = np.unique(owner * v + code) % v
+            yield pa.RecordBatch.from_arrays([found.dictionary, pa.array(np.bincount(rows, minlength=v)), pa.array(np.bincount(code, minlength=v))], ["term", "df", "tf"])
+
+
 def vocabulary(tokenised: DataFrame, *, min_df: int = 1, max_df: int | None = None, top: int | None = None) -> DataFrame:
     """term, term_id, df, tf: ids run from 0 by descending document frequency, then by term, so they do not depend on partitions.
 
-    Each row is a document, so its distinct words are found in place and one aggregation with partial sums counts both
-    occurrences and documents: what is shuffled is a row for each word and task.  A bounded vocabulary (top of at most NUMBERED_AT_ONCE) is a
+    Each row is a document, so occurrences and documents are counted in place, a batch at a time in Arrow and numpy, and one
+    aggregation adds the batches up: no word occurrence becomes a row.  A bounded vocabulary (top of at most NUMBERED_AT_ONCE) is a
     distributed top-n and numbered by a window over those rows; an unbounded one is numbered in sorted ranges.
     """
-    tagged = lambda words, tag: F.transform(words, lambda w: F.struct(w.alias("term"), F.lit(tag).alias("is_doc")))
-    both = tokenised.select(F.explode(F.concat(tagged("words", 0), tagged(F.array_distinct("words"), 1))).alias("t")).select("t.term", "t.is_doc")
-    counted = both.groupBy("term").agg(F.sum("is_doc").alias("df"), F.sum(1 - F.col("is_doc")).alias("tf")).where(F.col("df") >= min_df)
+    ship(tokenised.sparkSession)
+    parts = tokenised.select(F.coalesce("words", F.array().cast("array<string>")).alias("words")).mapInArrow(_count_batches, "term string, df bigint, tf bigint")
+    counted = parts.groupBy("term").agg(F.sum("df").alias("df"), F.sum("tf").alias("tf")).where(F.col("df") >= min_df)
     if max_df is not None:
         counted = counted.where(F.col("df") <= max_df)
     order = [F.col("df").desc(), F.col("term")]
@@ -78,7 +90,7 @@ def bags(tokenised: DataFrame, vocab: DataFrame, *, min_len: float = 3, size: in
     """doc_id, len, terms, counts: one row for each row of at least min_len known words, terms ascending.
 
     With a vocabulary whose checked size allows sending it, every row is counted where it is, in vectorised Arrow and
-    numpy steps, without any shuffle.  Otherwise words are joined to ids and gathered by doc_id.
+    numpy steps, without any shuffle.  Otherwise words are joined to ids and gathered by row.  Both give the same bags.
     """
     if (vocab.count() if size is None else size) > VOCABULARY_BROADCAST:
         return _shuffled_bags(tokenised, vocab, min_len)
@@ -109,10 +121,12 @@ def bags(tokenised: DataFrame, vocab: DataFrame, *, min_len: float = 3, size: in
 
 
 def _shuffled_bags(tokenised: DataFrame, vocab: DataFrame, min_len: float) -> DataFrame:
-    words = tokenised.select("doc_id", F.explode("words").alias("term")).join(vocab.select("term", "term_id"), "term")
-    counted = words.groupBy("doc_id", "term_id").agg(F.count("*").cast("double").alias("c"))
+    """Rows are told apart by a key of their own, so rows of one doc_id stay different bags here too."""
+    keyed = tokenised.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("bigint").alias("doc_id"), "words")
+    words = keyed.select("row", "doc_id", F.explode("words").alias("term")).join(vocab.select("term", "term_id"), "term")
+    counted = words.groupBy("row", "doc_id", "term_id").agg(F.count("*").cast("double").alias("c"))
     pairs = F.array_sort(F.collect_list(F.struct("term_id", "c")))
-    made = counted.groupBy("doc_id").agg(F.sum("c").alias("len"), pairs.alias("pairs"))
+    made = counted.groupBy("row", "doc_id").agg(F.sum("c").alias("len"), pairs.alias("pairs"))
     return made.where(F.col("len") >= min_len).select("doc_id", "len", F.col("pairs.term_id").alias("terms"), F.col("pairs.c").alias("counts"))
 
 

@@ -9,13 +9,14 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from momenttree.runtime import ship
+from momenttree.runtime import group_nodes, ship
 
 MIN_LEN = 3.0
 #: A task's dense pair block may take so many bytes; a larger vocabulary is summed sparsely.
@@ -103,12 +104,19 @@ def add_pairs(block: np.ndarray, chunk: Chunk, scale: np.ndarray, self_pair: str
     block[at, at] -= chunk.by_term(self_pairs(chunk, self_pair) * scale[chunk.owner], v)
 
 
-def level_moments(bags: DataFrame, v: int, weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain", pairs: bool = True) -> DataFrame:
-    """path, x1, x2, total: unnormalised sums.
+def level_moments(bags: DataFrame, v: int, weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain", pairs: bool = True, ledger=None) -> DataFrame:
+    """path, x1, x2, total: unnormalised sums; one scan for as many nodes as BLOCK_BYTES of weights allow.
 
     x1 <= x2: second-moment numerators.  x2 = -1: first-moment numerators.  x1 = x2 = -1: the number of documents.
     """
     weights = {"o": None} if weights is None else weights
+    groups = group_nodes(list(weights), 8 * v, BLOCK_BYTES)
+    if ledger is not None:
+        ledger.scans += len(groups)
+    return reduce(DataFrame.union, [_level_moments(bags, v, {p: weights[p] for p in names}, min_len, self_pair, pairs) for names in groups])
+
+
+def _level_moments(bags: DataFrame, v: int, weights: Weights, min_len: float, self_pair: str, pairs: bool) -> DataFrame:
     sent = bags.sparkSession.sparkContext.broadcast(weights)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -179,8 +187,7 @@ class NodeMoments:
 
     n_docs: float
     m1: np.ndarray
-    e2: np.ndarray | None = None  # dense and symmetric, small vocabularies
-    edges: DataFrame | None = None  # x1 <= x2, v: large vocabularies
+    e2: np.ndarray  # dense and symmetric
 
 
 def first_moment(bags: DataFrame, v: int, weights: Weights | None = None, **options) -> DataFrame:
@@ -211,20 +218,19 @@ def second_moment_sql(long_bags: DataFrame, *, min_len: float = MIN_LEN) -> Data
 ROWS_TOGETHER = 64
 
 
-def moments_of(bags: DataFrame, v: int, weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain") -> dict[str, NodeMoments]:
+def moments_of(bags: DataFrame, v: int, weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain", ledger=None) -> dict[str, NodeMoments]:
     """Every node's moments on the driver, E2 dense: for vocabularies whose v * v block is small.
 
     Tasks hand on blocks of rows of their dense sums as bytes, keyed by node and block; the receiving tasks add them up
     in numpy and the driver gets each block once.
     """
     weights = {"o": None} if weights is None else weights
-    if v * v * 8 > BLOCK_BYTES:
-        raise MemoryError(f"{v} words give dense second moments beyond {BLOCK_BYTES} bytes; use the implicit engine")
-    together = max(1, int(4 * BLOCK_BYTES // (v * v * 8)))
+    guard(v, 2, int((BLOCK_BYTES / 8) ** 0.5))
     out: dict[str, NodeMoments] = {}
-    names = list(weights)
-    for at in range(0, len(names), together):  # nodes beyond what a task and the driver may hold at once take another scan
-        out |= _moments_at_once(bags, v, {p: weights[p] for p in names[at : at + together]}, min_len, self_pair)
+    for names in group_nodes(list(weights), 8 * v * v, 4 * BLOCK_BYTES):  # nodes beyond what a task and the driver may hold at once take another scan
+        if ledger is not None:
+            ledger.scans += 1
+        out |= _moments_at_once(bags, v, {p: weights[p] for p in names}, min_len, self_pair)
     return out
 
 
@@ -377,9 +383,18 @@ class CoreParts:
     g: np.ndarray
 
 
-def project_third(bags: DataFrame, v: int, w: dict[str, np.ndarray], weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain") -> dict[str, CoreParts]:
-    """One scan for all nodes: their k^3 sums and per-word sums; time is linear in tokens, the shuffle carries k^3 + V sums."""
+def project_third(bags: DataFrame, v: int, w: dict[str, np.ndarray], weights: Weights | None = None, *, min_len: float = MIN_LEN, self_pair: str = "plain", ledger=None) -> dict[str, CoreParts]:
+    """One scan for all nodes (that BLOCK_BYTES of maps allow): their k^3 sums and per-word sums; time is linear in tokens, the shuffle carries k^3 + V sums."""
     weights = dict.fromkeys(w) if weights is None else weights
+    out: dict[str, CoreParts] = {}
+    for names in group_nodes(list(w), 8 * v * (1 + max(m.shape[1] for m in w.values())), BLOCK_BYTES):
+        if ledger is not None:
+            ledger.scans += 1
+        out |= _project_third(bags, v, {p: w[p] for p in names}, {p: weights[p] for p in names}, min_len, self_pair)
+    return out
+
+
+def _project_third(bags: DataFrame, v: int, w: dict[str, np.ndarray], weights: Weights, min_len: float, self_pair: str) -> dict[str, CoreParts]:
     sent = bags.sparkSession.sparkContext.broadcast((w, weights))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from momenttree.functions import paths
-from momenttree.runtime import cut
+from momenttree.runtime import cut, stored
 
 #: A phrase table of at most so many rows is broadcast; a larger one is joined by shuffle.
 PHRASES_BROADCAST = 1_000_000
@@ -31,7 +31,8 @@ def mine_phrases(sentences: DataFrame, min_support: int, max_len: int | None = N
     A run of n words is a candidate only if both of its runs of n - 1 words are frequent.  While runs are short and
     the frequent ones few enough to be sent to all tasks, each length rescans the sentences: two broadcast semi-joins
     and one aggregation with partial sums, nothing else is shuffled.  Afterwards the positions of frequent runs, by
-    then few, are carried from length to length, and the loop ends when none is left.
+    then few, are carried from length to length under a key of each sentence's row (repeated rows stay apart), and the
+    loop ends when none is left.
     """
     out, here, last, n = None, grams(sentences, 1), None, 1
     carried = False
@@ -47,13 +48,16 @@ def mine_phrases(sentences: DataFrame, min_support: int, max_len: int | None = N
         last = counted.select("phrase")
         if not carried and n <= RESCANNED and found <= PHRASES_BROADCAST:
             known = F.broadcast(last)
-            runs = grams(sentences, n).select("phrase", "doc_id", "sent_no", "pos", F.regexp_replace("phrase", " [^ ]*$", "").alias("head"), F.regexp_replace("phrase", "^[^ ]* ", "").alias("tail"))
-            here = runs.join(known.toDF("head"), "head", "left_semi").join(known.toDF("tail"), "tail", "left_semi").select("doc_id", "sent_no", "pos", "phrase")
+            runs = grams(sentences, n).select("phrase", F.regexp_replace("phrase", " [^ ]*$", "").alias("head"), F.regexp_replace("phrase", "^[^ ]* ", "").alias("tail"))
+            here = runs.join(known.toDF("head"), "head", "left_semi").join(known.toDF("tail"), "tail", "left_semi").select("phrase")
         else:
-            carried = True
+            if not carried:
+                carried = True
+                rows = stored(sentences.select(F.monotonically_increasing_id().alias("row"), "words"), "sentence_rows")
+                here = rows.where(F.size("words") >= n - 1).select("row", F.posexplode(_runs(n - 1)).alias("pos", "phrase"))
             kept = cut(here.join(last, "phrase", "left_semi"))
-            later = kept.select("doc_id", "sent_no", (F.col("pos") - 1).alias("pos"), F.substring_index("phrase", " ", -1).alias("last"))
-            here = kept.join(later, ["doc_id", "sent_no", "pos"]).select("doc_id", "sent_no", "pos", F.concat_ws(" ", "phrase", "last").alias("phrase"))
+            later = kept.select("row", (F.col("pos") - 1).alias("pos"), F.substring_index("phrase", " ", -1).alias("last"))
+            here = kept.join(later, ["row", "pos"]).select("row", "pos", F.concat_ws(" ", "phrase", "last").alias("phrase"))
     return out if out is not None else here.limit(0).select("phrase", F.lit(1).alias("n"), F.lit(0).cast("bigint").alias("support"))
 
 
@@ -95,39 +99,52 @@ def quality(phrases: DataFrame, n_tokens: float, gamma: float = 0.9, least: floa
     return complete(phrases, gamma).join(chance, "phrase", "left_anti").select("phrase", "n", "support")
 
 
-def phrase_counts(sentences: DataFrame, phrases: DataFrame, max_len: int, small: bool = True) -> DataFrame:
-    """doc_id, phrase, c: all occurrences, overlapping ones too."""
-    known = F.broadcast(phrases.select("phrase")) if small else phrases.select("phrase")
+def phrase_counts(sentences: DataFrame, phrases: DataFrame, max_len: int) -> DataFrame:
+    """doc_id, phrase, c: all occurrences, overlapping ones too.  phrases is sent to all tasks if its checked size allows."""
+    known = phrases.select("phrase")
+    if known.limit(PHRASES_BROADCAST + 1).count() <= PHRASES_BROADCAST:
+        known = F.broadcast(known)
     runs = [F.when(F.size("words") >= n, _runs(n)).otherwise(F.array().cast("array<string>")) for n in range(1, max_len + 1)]
     return sentences.select("doc_id", F.explode(F.concat(*runs)).alias("phrase")).join(known, "phrase", "left_semi").groupBy("doc_id", "phrase").agg(F.count("*").alias("c"))
 
 
 def phrase_posterior(phrases: DataFrame, words: DataFrame, nodes: DataFrame) -> DataFrame:
-    """phrase, path, share: the posterior over the root's children of a whole phrase, by the product of its words' probabilities.
+    """phrase, path, share: the posterior over each parent's children of a whole phrase, by the product of its words' probabilities.
 
     words: path, term, phi; nodes: path, parent, alpha of one level.  It does not depend on the document, so it is
     computed once for each phrase.  Products are sums of logarithms; a word that a topic lacks rules the topic out.
     """
     terms = phrases.select("phrase", F.posexplode(F.split("phrase", " ")).alias("at", "term"))
-    topics = F.broadcast(nodes.select("path", "alpha"))
+    topics = F.broadcast(nodes.select("path", "parent", "alpha"))  # a row for each node
     scored = terms.join(words.where("phi > 0").select("path", "term", "phi"), "term").groupBy("phrase", "path").agg(F.sum(F.log("phi")).alias("lp"), F.count("*").alias("found"))
     sizes = phrases.select("phrase", F.size(F.split("phrase", " ")).alias("size"))
     possible = scored.join(sizes, "phrase").where("found = size").join(topics, "path").withColumn("lp", F.col("lp") + F.log("alpha"))
-    own = Window.partitionBy("phrase")
+    own = Window.partitionBy("phrase", "parent")
     weight = F.exp(F.col("lp") - F.max("lp").over(own))
     return possible.withColumn("weight", weight).select("phrase", "path", (F.col("weight") / F.sum("weight").over(own)).alias("share"))
 
 
-def topical_phrase_counts(counts: DataFrame, posterior: DataFrame) -> DataFrame:
-    """doc_id, path, phrase, c for the root (plain counts) and its children (counts times posterior)."""
-    below = counts.join(posterior, "phrase").select("doc_id", "path", "phrase", (F.col("c") * F.col("share")).alias("c"))
+def path_shares(posterior: DataFrame, height: int) -> DataFrame:
+    """phrase, path, share of every node but the root: the product of the posteriors along its path."""
+    level = paths.level(F.col("path"))
+    out = last = posterior.where(level == 1)
+    for k in range(2, height + 1):
+        above = last.select("phrase", F.col("path").alias("parent"), F.col("share").alias("above"))
+        last = posterior.where(level == k).withColumn("parent", paths.parent(F.col("path"))).join(above, ["phrase", "parent"]).select("phrase", "path", (F.col("share") * F.col("above")).alias("share"))
+        out = out.union(last)
+    return out
+
+
+def topical_phrase_counts(counts: DataFrame, posterior: DataFrame, height: int = 1) -> DataFrame:
+    """doc_id, path, phrase, c for the root (plain counts) and the nodes below it (counts times the posteriors along the path)."""
+    below = counts.join(path_shares(posterior, height), "phrase").select("doc_id", "path", "phrase", (F.col("c") * F.col("share")).alias("c"))
     return counts.select("doc_id", F.lit(paths.ROOT).alias("path"), "phrase", F.col("c").cast("double").alias("c")).union(below)
 
 
 def phrase_probability(topical: DataFrame, n_docs: int) -> DataFrame:
     """path, phrase, p: the mean over all documents of a phrase's share of the topic's phrases; documents without any add 0."""
-    totals = topical.groupBy("doc_id", "path").agg(F.sum("c").alias("total")).where("total > 0")
-    return topical.join(totals, ["doc_id", "path"]).groupBy("path", "phrase").agg((F.sum(F.col("c") / F.col("total")) / n_docs).alias("p"))
+    total = F.sum("c").over(Window.partitionBy("doc_id", "path"))  # a document's rows: one shuffle, nothing is written twice
+    return topical.withColumn("total", total).where("total > 0").groupBy("path", "phrase").agg((F.sum(F.col("c") / F.col("total")) / n_docs).alias("p"))
 
 
 def rank_phrases(probability: DataFrame, top: int | None = None, by: str = "both") -> DataFrame:
@@ -151,3 +168,16 @@ def collapse_plurals(ranked: DataFrame) -> DataFrame:
     key = F.regexp_replace("phrase", "s$", "")
     best = ranked.withColumn("key", key).withColumn("k", F.row_number().over(Window.partitionBy("path", "key").orderBy("rank"))).where("k = 1")
     return best.withColumn("rank", F.row_number().over(Window.partitionBy("path").orderBy("rank"))).drop("key", "k").select(ranked.columns)
+
+
+def rank_tree(sentences: DataFrame, nodes: DataFrame, words: DataFrame, n_docs: int, *, min_support: int, max_len: int | None = None, top: int | None = None, by: str = "both") -> DataFrame:
+    """Phrases of a whole tree: mined, filtered by quality, counted by topic and ranked under every parent at once.
+
+    nodes: path, parent, alpha; words: path, term, phi.  Result as rank_phrases.
+    """
+    n_tokens = sentences.agg(F.sum(F.size("words"))).first()[0] or 0
+    known = cut(quality(mine_phrases(sentences, min_support, max_len), max(n_tokens, 1)))
+    counts = phrase_counts(sentences, known, longest(known))
+    height = nodes.agg(F.max(paths.level(F.col("path")))).first()[0] or 0
+    shares = cut(phrase_posterior(known, words, nodes.where("parent is not null")))
+    return rank_phrases(cut(phrase_probability(topical_phrase_counts(counts, shares, height), n_docs)), top, by)

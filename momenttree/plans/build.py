@@ -1,7 +1,8 @@
 """Recursive construction of topic trees by moments, level by level.
 
-Siblings are independent, so all nodes of a level share their scans: with explicit second moments one scan for M1 and
-E2 and one for the cores; with the implicit engine one scan a sweep instead of forming pairs.  What depends on a node
+Siblings are independent, so all nodes of a level share their scans: one for M1 and E2 and one for the cores.  Small
+vocabularies have E2 as a dense block on the driver; larger ones as stored edges, multiplied with thin blocks where they
+lie; only if pairs would outweigh that does the implicit engine scan the bags once a sweep instead.  What depends on a node
 only (its seed, its weights) is a function of its path, so revising one branch leaves every other bit as it was.
 
 Inner nodes are treated as flat given their own words; where a child has children of its own, two tokens of the child
@@ -14,6 +15,7 @@ from dataclasses import dataclass
 
 import numpy as np
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from momenttree.evaluation.cost import Ledger
 from momenttree.functions import paths
@@ -21,11 +23,13 @@ from momenttree.functions import tensor as X
 from momenttree.operators import moments
 from momenttree.operators.tree import Node, TopicTree, collapse
 from momenttree.plans import spectral
+from momenttree.runtime import stored
 
 VARIANTS = ("lean", "dense_m3", "dense_m2", "dense", "scan_power")
-#: Dense arrays over the vocabulary are refused beyond these sizes.
-DENSE_PAIR_WORDS = 50_000
+#: Second moments of larger vocabularies stay distributed, as edges.
 EXPLICIT_WORDS = 4_096
+#: Pairs of an average token's document for each column and sweep up to which edges are preferred to scans.
+PAIRS_WORTH = 4
 
 
 @dataclass(frozen=True)
@@ -39,7 +43,7 @@ class Settings:
     starts: int = 30
     steps: int = 30
     variant: str = "lean"
-    engine: str = "auto"  # explicit, implicit, sketch
+    engine: str = "auto"  # explicit, sparse, implicit, sketch
     seed: int = 0
     min_len: float = moments.MIN_LEN
     self_pair: str = "plain"
@@ -49,13 +53,23 @@ class Settings:
         return dict(self.widths).get(path, self.width)
 
 
-def choose_engine(v: int, sum_squares: float | None = None, nonzeros: float | None = None, k: int = 4, sweeps: int = 12) -> str:
-    """explicit for small vocabularies, or where forming all pairs costs less than the sweeps of the implicit engine."""
+def choose_engine(v: int, sum_squares: float, nonzeros: float, k: int = 4, sweeps: int = 12) -> str:
+    """explicit for small vocabularies; sparse where forming all pairs once costs less than the sweeps of the implicit engine.
+
+    nonzeros and sum_squares: distinct words of the documents and their squares, summed.
+    """
     if v <= EXPLICIT_WORDS:
         return "explicit"
-    if sum_squares is not None and nonzeros is not None and v <= DENSE_PAIR_WORDS and sum_squares <= 50 * nonzeros * (k + 8) * sweeps:
-        return "explicit"
-    return "implicit"
+    return "sparse" if sum_squares <= PAIRS_WORTH * nonzeros * (k + 8) * sweeps else "implicit"
+
+
+def engine_for(bags: DataFrame, v: int, s: Settings) -> str:
+    """The engine of a construction: that of the settings, or by counts of the bags where the vocabulary leaves a choice."""
+    if s.engine != "auto" or v <= EXPLICIT_WORDS:
+        return s.engine if s.engine != "auto" else "explicit"
+    n = F.size("terms").cast("double")
+    sums = bags.agg(F.sum(n).alias("n"), F.sum(n * n).alias("squares")).first()
+    return choose_engine(v, sums.squares or 0.0, sums.n or 0.0, s.width, s.sweeps)
 
 
 def child_weights(omega: np.ndarray | None, phi: np.ndarray, alpha: np.ndarray) -> list[np.ndarray]:
@@ -98,8 +112,7 @@ def _flat_lean(bags: DataFrame, v: int, todo: dict[str, int], weights: moments.W
             continue
     if not whiteners:
         return {}
-    ledger.scans += 1
-    parts = moments.project_third(bags, v, {p: w.w for p, w in whiteners.items()}, {p: weights[p] for p in whiteners}, min_len=s.min_len, self_pair=s.self_pair)
+    parts = moments.project_third(bags, v, {p: w.w for p, w in whiteners.items()}, {p: weights[p] for p in whiteners}, ledger=ledger, min_len=s.min_len, self_pair=s.self_pair)
     out = {}
     for p, w in whiteners.items():
         core = X.core_from(parts[p].p1, parts[p].p2, parts[p].g, w.w, m1[p], s.alpha0, parts[p].n_docs)
@@ -111,26 +124,34 @@ def _level(bags: DataFrame, v: int, todo: dict[str, int], weights: moments.Weigh
     """Flat decompositions of the nodes of one level, and how many documents each has."""
     own = {p: weights[p] for p in todo}
     options = {"min_len": s.min_len, "self_pair": s.self_pair}
-    engine = choose_engine(v) if s.engine == "auto" else s.engine
+    if s.variant == "dense_m3":
+        moments.guard(v, 3, moments.DENSE_THIRD_WORDS)
+    engine = "explicit" if s.variant in ("dense_m2", "dense_m3") else engine_for(bags, v, s)
     seeds = {p: X.seed_of(s.seed, p, "block") for p in todo}
-    if engine == "explicit" and s.variant in ("lean", "dense_m3", "dense_m2", "scan_power"):
-        ledger.scans += 1
-        found = moments.moments_of(bags, v, own, **options)
+    if engine == "explicit":
+        found = moments.moments_of(bags, v, own, ledger=ledger, **options)
         docs, m1 = {p: m.n_docs for p, m in found.items()}, {p: m.m1 for p, m in found.items()}
         ledger.nonzeros = max([ledger.nonzeros, *(int((np.abs(m.e2) > 1e-15).sum()) for m in found.values())])
         todo = {p: k for p, k in todo.items() if p in found}
         eigs = {p: X.largest_eigs(found[p].e2, k) for p, k in todo.items()}
     else:
-        ledger.scans += 1
-        sums = moments.level_moments(bags, v, own, pairs=False, **options).toPandas()
+        pairs = engine == "sparse"
+        sums = moments.level_moments(bags, v, own, pairs=pairs, ledger=ledger, **options)
+        if pairs:
+            sums = stored(sums, "level_moments")
         docs, m1 = {}, {}
-        for p, rows in sums.groupby("path"):
+        for p, rows in sums.where("x2 = -1").toPandas().groupby("path"):
             x, total = rows["x1"].to_numpy(), rows["total"].to_numpy()
             docs[p], m1[p] = float(total[x == -1][0]), np.zeros(v)
             m1[p][x[x >= 0]] = total[x >= 0] / docs[p]
         todo = {p: k for p, k in todo.items() if p in docs}
         found = {}
-        product = spectral.scan_product(bags, v, own, ledger, **options)
+        if pairs:
+            edges = sums.where("x2 >= 0 and abs(total) > 1e-15")
+            ledger.nonzeros = max([ledger.nonzeros, *(r.n for r in edges.groupBy("path").agg(F.sum(F.when(F.col("x1") < F.col("x2"), 2).otherwise(1)).alias("n")).collect())])
+            product = spectral.edge_product(edges.select("path", "x1", "x2", F.col("total").alias("v")), v, docs)
+        else:
+            product = spectral.scan_product(bags, v, own, ledger, **options)
         eigs = spectral.sketch_eigs(product, v, todo, seeds) if engine == "sketch" else spectral.top_eigs(product, v, todo, seeds, sweeps=s.sweeps)
     if s.variant == "lean":
         return _flat_lean(bags, v, todo, weights, s, ledger, eigs, m1), docs
@@ -139,11 +160,9 @@ def _level(bags: DataFrame, v: int, todo: dict[str, int], weights: moments.Weigh
     out = {}
     for p, k in todo.items():
         if s.variant == "dense_m2":
-            moments.guard(v, 2, DENSE_PAIR_WORDS)
             m2 = (s.alpha0 + 1) * found[p].e2 - s.alpha0 * np.outer(m1[p], m1[p])
             w = X.whiten(*reversed(X.largest_eigs(m2, k)))
-            ledger.scans += 1
-            parts = moments.project_third(bags, v, {p: w.w}, {p: weights[p]}, **options)[p]
+            parts = moments.project_third(bags, v, {p: w.w}, {p: weights[p]}, ledger=ledger, **options)[p]
             core = X.core_from(parts.p1, parts.p2, parts.g, w.w, m1[p], s.alpha0, parts.n_docs, found[p].e2)
         else:  # dense_m3: M2 is avoided, M3 is built
             w = X.lean_whitener(eigs[p][1], eigs[p][0], m1[p], s.alpha0)
@@ -159,8 +178,6 @@ def scaled_bags(bags: DataFrame, omega: np.ndarray | None) -> DataFrame:
     """bags with counts times a node's word weights; for the dense variants, whose vocabularies are small."""
     if omega is None:
         return bags
-    from pyspark.sql import functions as F
-
     listed = F.array(*(F.lit(float(x)) for x in omega))
     counts = F.zip_with("terms", "counts", lambda t, c: c * F.get(listed, t))
     return bags.select("doc_id", "len", "terms", counts.alias("counts"))
@@ -203,7 +220,6 @@ def _scan_power(bags: DataFrame, v: int, path: str, k: int, omega: np.ndarray |
 def contract_scan(bags: DataFrame, v: int, w: np.ndarray, q: np.ndarray, omega: np.ndarray | None, min_len: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
     """Sums over documents of the first two terms of the third moment contracted with each column of q, and per-word sums."""
     import pyarrow as pa
-    from pyspark.sql import functions as F
 
     sent = bags.sparkSession.sparkContext.broadcast((w, q, omega))
     k, n_starts = q.shape
@@ -317,8 +333,8 @@ def prune(tree: TopicTree, path: str) -> TopicTree:
 
 def _dense_moments(bags: DataFrame, v: int, s: Settings, ledger: Ledger) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     moments.guard(v, 3, moments.DENSE_THIRD_WORDS)
+    root = moments.moments_of(bags, v, min_len=s.min_len, ledger=ledger)[paths.ROOT]
     ledger.scans += 1
-    root = moments.moments_of(bags, v, min_len=s.min_len)[paths.ROOT]
     return root.m1, root.e2, moments.third_moment_dense(bags, v, min_len=s.min_len)
 
 

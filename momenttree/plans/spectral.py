@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from momenttree.functions.tensor import largest_eigs
 from momenttree.operators import moments
+from momenttree.runtime import group_nodes, ship, stored
 
 Product = Callable[[dict[str, np.ndarray]], dict[str, np.ndarray]]
 
@@ -60,32 +63,71 @@ def sketch_eigs(product: Product, v: int, widths: dict[str, int], seeds: dict[st
     return out
 
 
+def _groups(q: dict[str, np.ndarray], v: int, weighted: int = 0) -> list[list[str]]:
+    """Nodes whose blocks (and weights) are sent together, by BLOCK_BYTES."""
+    width = max(m.shape[1] for m in q.values())
+    return group_nodes(list(q), 8 * v * (width + weighted), moments.BLOCK_BYTES)
+
+
 def scan_product(bags: DataFrame, v: int, weights: moments.Weights, ledger, **options) -> Product:
-    """E2 Q by a scan over the bags; thinner blocks are padded so that one scan carries all nodes."""
+    """E2 Q by a scan over the bags; thinner blocks are padded so that one scan carries all nodes that fit."""
 
     def run(q: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
         width = max(m.shape[1] for m in q.values())
-        padded = {p: np.pad(m, ((0, 0), (0, width - m.shape[1]))) for p, m in q.items()}
-        ledger.scans += 1
-        found = moments.applied(moments.second_moment_apply(bags, v, padded, {p: weights[p] for p in q}, **options), v, width)
-        return {p: found[p][1][:, : q[p].shape[1]] for p in q}
+        out = {}
+        for names in _groups(q, v, 1):
+            padded = {p: np.pad(q[p], ((0, 0), (0, width - q[p].shape[1]))) for p in names}
+            ledger.scans += 1
+            found = moments.applied(moments.second_moment_apply(bags, v, padded, {p: weights[p] for p in names}, **options), v, width)
+            out |= {p: found[p][1][:, : q[p].shape[1]] for p in names}
+        return out
 
     return run
 
 
-def edge_product(edges: DataFrame, v: int) -> Product:
-    """E2 Q from edges (path, x1 <= x2, v) that stay distributed: the block is broadcast, sums come back."""
+#: Rows of E2 that a task multiplies together.
+ROWS_TOGETHER = 1_024
+
+
+def edge_product(edges: DataFrame, v: int, docs: dict[str, float] | None = None) -> Product:
+    """E2 Q from edges (path, x1 <= x2, v), divided by the number of documents where v are sums.
+
+    Both directions of the edges are dealt once by node and range of rows and stored, so each row of the result is
+    summed in one task, in numpy; blocks are broadcast for as many nodes as BLOCK_BYTES allows.  The bags are not scanned.
+    """
+    both = edges.select("path", F.col("x1").alias("x"), F.col("x2").alias("y"), "v").union(edges.where("x1 <> x2").select("path", F.col("x2").alias("x"), F.col("x1").alias("y"), "v"))
+    dealt = stored(both.repartition("path", F.floor(F.col("x") / ROWS_TOGETHER)), "edges")
+    spark = edges.sparkSession
+    ship(spark)
 
     def run(q: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
-        spark = edges.sparkSession
-        width = max(m.shape[1] for m in q.values())
-        rows = [(p, int(x), [float(a) for a in m[x]] + [0.0] * (width - m.shape[1])) for p, m in q.items() for x in range(v)]
-        block = F.broadcast(spark.createDataFrame(rows, "path string, x int, row array<double>"))
-        both = edges.select("path", F.col("x1").alias("x"), F.col("x2").alias("to"), "v").union(edges.where("x1 <> x2").select("path", F.col("x2").alias("x"), F.col("x1").alias("to"), "v"))
-        y = both.join(block, ["path", "x"]).groupBy("path", "to").agg(*(F.sum(F.col("v") * F.col("row")[j]).alias(f"y{j}") for j in range(width))).toPandas()
         out = {p: np.zeros_like(m) for p, m in q.items()}
-        for p, own in y.groupby("path"):
-            out[p][own["to"].to_numpy()] = own[[f"y{j}" for j in range(q[p].shape[1])]].to_numpy()
-        return out
+        for names in _groups(q, v):
+            sent = spark.sparkContext.broadcast({p: q[p] for p in names})
+
+            def kernel(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+                blocks = sent.value
+                sums: dict[tuple[str, int], np.ndarray] = {}
+                for batch in batches:
+                    path, x, y, value = pc.dictionary_encode(batch.column(0)), batch.column(1).to_numpy(), batch.column(2).to_numpy(), batch.column(3).to_numpy()
+                    codes, names_here = path.indices.to_numpy(), path.dictionary.to_pylist()
+                    for code, name in enumerate(names_here):
+                        at = np.flatnonzero(codes == code)
+                        part = x[at] // ROWS_TOGETHER
+                        for r in np.unique(part):
+                            own = at[part == r]
+                            block = blocks[name]
+                            total = sums.setdefault((name, int(r)), np.zeros((min(ROWS_TOGETHER, v - int(r) * ROWS_TOGETHER), block.shape[1])))
+                            gain = value[own, None] * block[y[own]]
+                            for j in range(block.shape[1]):
+                                total[:, j] += np.bincount(x[own] - r * ROWS_TOGETHER, gain[:, j], len(total))
+                for (name, r), total in sums.items():
+                    yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([r]), pa.array([total.tobytes()])], ["path", "part", "payload"])
+
+            chosen = dealt.where(F.col("path").isin(names))
+            for r in chosen.mapInArrow(kernel, "path string, part bigint, payload binary").toLocalIterator():
+                rows = np.frombuffer(r.payload).reshape(-1, q[r.path].shape[1])
+                out[r.path][r.part * ROWS_TOGETHER : r.part * ROWS_TOGETHER + len(rows)] += rows
+        return {p: m / docs[p] for p, m in out.items()} if docs else out
 
     return run

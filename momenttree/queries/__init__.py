@@ -25,4 +25,4 @@ def query(sql: str | None = None) -> Callable[[Query], Query]:
 
 def load() -> None:
     """Imports the modules that register queries."""
-    from momenttree.queries import corpus, model, phrases, relational, streams, trees  # noqa: F401
+    from momenttree.queries import corpus, model, phrases, relational, streams, trees, workloads  # noqa: F401

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,7 +17,8 @@ from momenttree.queries.shared import LANG_SQL, bags_sql, lang_topics, lang_weig
 from momenttree.sources import tables
 
 E6 = 1e6
-TOP = 200
+#: The spectral vocabulary; pair tables over all four languages, and triples, take fewer words so that their SQL twins can follow.
+TOP, PAIRED, TRIPLED = 1_500, 500, 60
 PAIR_SQL = "sum((a.c * b.c - CASE WHEN a.term_id = b.term_id THEN a.c ELSE 0 END) / (a.l * (a.l - 1)))"
 E2_SQL = f"e2 AS (SELECT a.term_id AS x1, b.term_id AS x2, {PAIR_SQL} / (SELECT d FROM d) AS v FROM kept a JOIN kept b ON a.doc_id = b.doc_id AND a.term_id <= b.term_id GROUP BY ALL HAVING {PAIR_SQL} > 1e-15)"
 
@@ -51,10 +53,10 @@ def second_moment_apply(spark: SparkSession, sf: str) -> DataFrame:
 _ROOT_TRIPLE = "a.c * b.c * g.c - CASE WHEN a.term_id = b.term_id THEN a.c * g.c ELSE 0 END - CASE WHEN b.term_id = g.term_id THEN a.c * b.c ELSE 0 END - CASE WHEN a.term_id = g.term_id THEN a.c * b.c ELSE 0 END + CASE WHEN a.term_id = b.term_id AND b.term_id = g.term_id THEN 2 * a.c ELSE 0 END"
 
 
-@query(f"WITH {bags_sql(20)}, t AS (SELECT a.term_id AS x1, b.term_id AS x2, g.term_id AS x3, sum(({_ROOT_TRIPLE}) / (a.l * (a.l - 1) * (a.l - 2))) / (SELECT d FROM d) AS v FROM kept a JOIN kept b ON a.doc_id = b.doc_id AND a.term_id <= b.term_id JOIN kept g ON a.doc_id = g.doc_id AND b.term_id <= g.term_id GROUP BY ALL) SELECT x1, x2, x3, {r6_sql('v', E6)} AS e3 FROM t WHERE v > 1e-15")
+@query(f"WITH {bags_sql(TRIPLED)}, t AS (SELECT a.term_id AS x1, b.term_id AS x2, g.term_id AS x3, sum(({_ROOT_TRIPLE}) / (a.l * (a.l - 1) * (a.l - 2))) / (SELECT d FROM d) AS v FROM kept a JOIN kept b ON a.doc_id = b.doc_id AND a.term_id <= b.term_id JOIN kept g ON a.doc_id = g.doc_id AND b.term_id <= g.term_id GROUP BY ALL) SELECT x1, x2, x3, {r6_sql('v', E6)} AS e3 FROM t WHERE v > 1e-15")
 def third_moment(spark: SparkSession, sf: str) -> DataFrame:
-    """Distinct triples of tokens of the 20 most widespread words."""
-    _, bags, v = prepared(spark, sf, 20)
+    """Distinct triples of tokens of the most widespread words."""
+    _, bags, v = prepared(spark, sf, TRIPLED)
     e3 = M.third_moment_dense(bags, v)
     rows = [(int(a), int(b), int(c), float(e3[a, b, c])) for a, b, c in zip(*np.nonzero(e3 > 1e-15), strict=True) if a <= b <= c]
     return spark.createDataFrame(rows, "x1 int, x2 int, x3 int, v double").select("x1", "x2", "x3", r6("v", E6).alias("e3"))
@@ -62,7 +64,7 @@ def third_moment(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("SELECT 1.0 AS m1, 1.0 AS e2, 1.0 AS e3")
 def moment_mass(spark: SparkSession, sf: str) -> DataFrame:
-    _, bags, v = prepared(spark, sf, 20)
+    _, bags, v = prepared(spark, sf, 200)
     root = M.moments_of(bags, v)["o"]
     return spark.createDataFrame([(float(root.m1.sum()), float(root.e2.sum()), float(M.third_moment_dense(bags, v).sum()))], "m1 double, e2 double, e3 double").select(r6("m1").alias("m1"), r6("e2").alias("e2"), r6("e3").alias("e3"))
 
@@ -93,23 +95,23 @@ def user_documents(spark: SparkSession, sf: str) -> DataFrame:
 
 @query(f"WITH {bags_sql(TOP)}, {LANG_SQL} SELECT path, {r6_sql('alpha')} AS alpha, term_id, {r6_sql('phi', E6)} AS phi FROM phi JOIN langs USING (path)")
 def lang_tree(spark: SparkSession, sf: str) -> DataFrame:
-    _, _, nodes, words = lang_topics(spark, sf)
+    _, _, nodes, words = lang_topics(spark, sf, TOP)
     return words.join(F.broadcast(nodes), "path").select("path", r6("alpha").alias("alpha"), "term_id", r6("phi", E6).alias("phi"))
 
 
 @query(f"WITH {bags_sql(TOP)}, {LANG_SQL}, m AS (SELECT path, term_id, phi FROM phi UNION ALL SELECT 'o', term_id, sum(phi * alpha) / (SELECT sum(alpha) FROM langs) FROM phi JOIN langs USING (path) GROUP BY term_id) SELECT path, term_id, {r6_sql('phi', E6)} AS phi FROM m")
 def mix_up(spark: SparkSession, sf: str) -> DataFrame:
-    _, _, nodes, words = lang_topics(spark, sf)
+    _, _, nodes, words = lang_topics(spark, sf, TOP)
     return TT.mix_up(nodes, words, 1).select("path", "term_id", r6("phi", E6).alias("phi"))
 
 
-_POPULATION = f"WITH {bags_sql(50)}, {LANG_SQL}, a0 AS (SELECT sum(alpha) AS a0 FROM langs), q AS (SELECT a.path AS p1, b.path AS p2, a.alpha * (b.alpha + CASE WHEN a.path = b.path THEN 1 ELSE 0 END) / (a0 * (a0 + 1)) AS q FROM langs a CROSS JOIN langs b CROSS JOIN a0)"
+_POPULATION = f"WITH {bags_sql(PAIRED)}, {LANG_SQL}, a0 AS (SELECT sum(alpha) AS a0 FROM langs), q AS (SELECT a.path AS p1, b.path AS p2, a.alpha * (b.alpha + CASE WHEN a.path = b.path THEN 1 ELSE 0 END) / (a0 * (a0 + 1)) AS q FROM langs a CROSS JOIN langs b CROSS JOIN a0)"
 
 
 @query(f"{_POPULATION} SELECT x.term_id AS x1, y.term_id AS x2, {r6_sql('sum(q * x.phi * y.phi)', E6)} AS m2 FROM q JOIN phi x ON x.path = p1 JOIN phi y ON y.path = p2 GROUP BY ALL")
 def population_m2(spark: SparkSession, sf: str) -> DataFrame:
     """Pair probabilities that the language tree implies."""
-    _, _, nodes, words = lang_topics(spark, sf, 50)
+    _, _, nodes, words = lang_topics(spark, sf, PAIRED)
     order = [(r.path, r.alpha) for r in nodes.orderBy("path").collect()]
     frame = words.toPandas()
     v = int(frame["term_id"].max()) + 1
@@ -118,48 +120,60 @@ def population_m2(spark: SparkSession, sf: str) -> DataFrame:
         own = frame[frame["path"] == path]
         phi[own["term_id"], z] = own["phi"]
     m2 = X.population_moments(np.array([a for _, a in order]), phi, 2)
-    rows = [(int(a), int(b), float(m2[a, b])) for a in range(v) for b in range(v)]
-    return spark.createDataFrame(rows, "x1 int, x2 int, m2 double").select("x1", "x2", r6("m2", E6).alias("m2"))
+    x1, x2 = (a.ravel().astype(np.int32) for a in np.indices((v, v)))
+    return spark.createDataFrame(pa.table({"x1": x1, "x2": x2, "m2": m2.ravel()})).select("x1", "x2", r6("m2", E6).alias("m2"))
+
+
+@query(f"WITH {bags_sql(TOP)}, {LANG_SQL} SELECT term_id AS x, {r6_sql('sum(alpha * phi) / (SELECT sum(alpha) FROM langs)', E6)} AS m1 FROM phi JOIN langs USING (path) GROUP BY term_id")
+def population_m1(spark: SparkSession, sf: str) -> DataFrame:
+    """Word probabilities that the language tree implies."""
+    _, _, nodes, words = lang_topics(spark, sf, TOP)
+    frame, alpha = words.toPandas(), {r.path: r.alpha for r in nodes.collect()}
+    order = sorted(alpha)
+    phi = np.zeros((int(frame["term_id"].max()) + 1, len(order)))
+    phi[frame["term_id"], frame["path"].map(order.index)] = frame["phi"]
+    m1 = X.population_moments(np.array([alpha[p] for p in order]), phi, 1)
+    return spark.createDataFrame(pa.table({"x": np.arange(len(m1), dtype=np.int32), "m1": m1})).select("x", r6("m1", E6).alias("m1"))
 
 
 @query(f"WITH {bags_sql(TOP)}, {LANG_SQL} SELECT path, term_id, {r6_sql('omega')} AS omega FROM omega")
 def word_weights(spark: SparkSession, sf: str) -> DataFrame:
-    _, _, nodes, words = lang_topics(spark, sf)
+    _, _, nodes, words = lang_topics(spark, sf, TOP)
     return lang_weights(nodes, words).select("path", "term_id", r6("omega").alias("omega"))
 
 
 @query(f"WITH {bags_sql(TOP)}, {LANG_SQL} SELECT doc_id, path, {r6_sql('sum(c * omega)')} AS len_t FROM lb JOIN omega USING (term_id) GROUP BY ALL")
 def topical_counts(spark: SparkSession, sf: str) -> DataFrame:
-    _, long, nodes, words = lang_topics(spark, sf)
+    _, long, nodes, words = lang_topics(spark, sf, TOP)
     return A.topical_counts(long, lang_weights(nodes, words)).select("doc_id", "path", r6("len_t").alias("len_t"))
 
 
 @query(f"WITH {bags_sql(TOP)}, {LANG_SQL}, t AS (SELECT doc_id, path, sum(c * omega) AS n FROM lb JOIN omega USING (term_id) GROUP BY ALL) SELECT doc_id, path, {r6_sql('n / sum(n) OVER (PARTITION BY doc_id)')} AS theta FROM t")
 def doc_topics(spark: SparkSession, sf: str) -> DataFrame:
-    _, long, nodes, words = lang_topics(spark, sf)
+    _, long, nodes, words = lang_topics(spark, sf, TOP)
     return A.assign(long, lang_weights(nodes, words)).select("doc_id", "path", r6("theta").alias("theta"))
 
 
-_CHILD = f"WITH {bags_sql(50)}, {LANG_SQL}, s AS (SELECT path, doc_id, term_id, c * omega AS c FROM lb JOIN omega USING (term_id)), n AS (SELECT path, doc_id, sum(c) AS l FROM s GROUP BY ALL HAVING sum(c) >= 3), k AS (SELECT s.*, l FROM s JOIN n USING (path, doc_id)), dp AS (SELECT path, CAST(count(*) AS DOUBLE) AS dp FROM n GROUP BY path), e AS (SELECT a.path, a.term_id AS x1, b.term_id AS x2, {PAIR_SQL} AS t FROM k a JOIN k b ON a.path = b.path AND a.doc_id = b.doc_id AND a.term_id <= b.term_id GROUP BY ALL)"
+_CHILD = f"WITH {bags_sql(PAIRED)}, {LANG_SQL}, s AS (SELECT path, doc_id, term_id, c * omega AS c FROM lb JOIN omega USING (term_id)), n AS (SELECT path, doc_id, sum(c) AS l FROM s GROUP BY ALL HAVING sum(c) >= 3), k AS (SELECT s.*, l FROM s JOIN n USING (path, doc_id)), dp AS (SELECT path, CAST(count(*) AS DOUBLE) AS dp FROM n GROUP BY path), e AS (SELECT a.path, a.term_id AS x1, b.term_id AS x2, {PAIR_SQL} AS t FROM k a JOIN k b ON a.path = b.path AND a.doc_id = b.doc_id AND a.term_id <= b.term_id GROUP BY ALL)"
 
 
 @query(f"{_CHILD} SELECT path, x1, x2, {r6_sql('t / dp', 1e4)} AS e2 FROM e JOIN dp USING (path) WHERE abs(t / dp) > 1e-6")
 def child_moments(spark: SparkSession, sf: str) -> DataFrame:
     """Second moments of all four children in one scan, counts weighted by each word's posterior."""
-    vocab, _, nodes, words = lang_topics(spark, sf, 50)
+    vocab, _, nodes, words = lang_topics(spark, sf, PAIRED)
     v = vocab.count()
     weights = {}
     for r in lang_weights(nodes, words).collect():
         weights.setdefault(r.path, np.zeros(v))[r.term_id] = r.omega
-    _, bags, _ = prepared(spark, sf, 50)
+    _, bags, _ = prepared(spark, sf, PAIRED)
     return M.second_moment(bags, v, weights).where("abs(v) > 1e-6").select("path", "x1", "x2", r6("v", 1e4).alias("e2"))
 
 
-@query(f"WITH {bags_sql(50)}, {LANG_SQL}, {E2_SQL}, a0 AS (SELECT sum(alpha) AS a0 FROM langs), j AS (SELECT x1, x2, v, p.path AS p1, q.path AS p2, p.phi * q.phi * a.alpha * (b.alpha + CASE WHEN a.path = b.path THEN 1 ELSE 0 END) AS w FROM e2 JOIN phi p ON p.term_id = x1 JOIN phi q ON q.term_id = x2 JOIN langs a ON a.path = p.path JOIN langs b ON b.path = q.path), s AS (SELECT p1 AS path, x1, x2, v * w / t AS v FROM (SELECT *, sum(w) OVER (PARTITION BY x1, x2) AS t FROM j) WHERE p1 = p2), n AS (SELECT path, sum(v * CASE WHEN x1 = x2 THEN 1 ELSE 2 END) AS n FROM s GROUP BY path) SELECT path, x1, x2, {r6_sql('v / n', 1e4)} AS e2 FROM s JOIN n USING (path)")
+@query(f"WITH {bags_sql(PAIRED)}, {LANG_SQL}, {E2_SQL}, a0 AS (SELECT sum(alpha) AS a0 FROM langs), j AS (SELECT x1, x2, v, p.path AS p1, q.path AS p2, p.phi * q.phi * a.alpha * (b.alpha + CASE WHEN a.path = b.path THEN 1 ELSE 0 END) AS w FROM e2 JOIN phi p ON p.term_id = x1 JOIN phi q ON q.term_id = x2 JOIN langs a ON a.path = p.path JOIN langs b ON b.path = q.path), s AS (SELECT p1 AS path, x1, x2, v * w / t AS v FROM (SELECT *, sum(w) OVER (PARTITION BY x1, x2) AS t FROM j) WHERE p1 = p2), n AS (SELECT path, sum(v * CASE WHEN x1 = x2 THEN 1 ELSE 2 END) AS n FROM s GROUP BY path) SELECT path, x1, x2, {r6_sql('v / n', 1e4)} AS e2 FROM s JOIN n USING (path)")
 def pair_posterior_moments(spark: SparkSession, sf: str) -> DataFrame:
     """Each language's second moment from the root's, by the posterior of the pair, as joins of edges with words."""
-    _, bags, v = prepared(spark, sf, 50)
-    _, _, nodes, words = lang_topics(spark, sf, 50)
+    _, bags, v = prepared(spark, sf, PAIRED)
+    _, _, nodes, words = lang_topics(spark, sf, PAIRED)
     edges = M.second_moment(bags, v).select("x1", "x2", "v")
     known = F.broadcast(words.join(F.broadcast(nodes.select("path", "alpha")), "path"))
     p, q = known.toDF("p1", "x1", "f1", "a1"), known.toDF("p2", "x2", "f2", "a2")
@@ -172,13 +186,13 @@ def pair_posterior_moments(spark: SparkSession, sf: str) -> DataFrame:
 
 @query(f"WITH {bags_sql(TOP)}, {LANG_SQL}, g AS (SELECT p.path, t.term_id FROM langs p CROSS JOIN (SELECT DISTINCT term_id FROM phi) t), f AS (SELECT path, term_id, coalesce(phi, 0) + 1e-12 AS phi FROM g LEFT JOIN phi USING (path, term_id)), n AS (SELECT path, term_id, phi / sum(phi) OVER (PARTITION BY path) AS phi FROM f) SELECT a.path AS a, b.path AS b, {r6_sql('sum(a.phi * ln(a.phi / b.phi))')} AS kl FROM n a JOIN n b USING (term_id) GROUP BY ALL")
 def kl_matrix(spark: SparkSession, sf: str) -> DataFrame:
-    _, _, _, words = lang_topics(spark, sf)
+    _, _, _, words = lang_topics(spark, sf, TOP)
     return measures.kl_matrix(words).select("a", "b", r6("kl").alias("kl"))
 
 
-@query(f"WITH {bags_sql(100)}, n AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM documents), s AS (SELECT term_id, count(*) AS n1 FROM lb GROUP BY term_id), p AS (SELECT a.term_id AS x1, b.term_id AS x2, count(*) AS c FROM lb a JOIN lb b ON a.doc_id = b.doc_id AND a.term_id < b.term_id GROUP BY ALL) SELECT x1, x2, {r6_sql('CASE WHEN c / n >= 1 THEN 1.0 ELSE ln((c / n) / (u.n1 / n * w.n1 / n)) / -ln(c / n) END')} AS npmi FROM p JOIN s u ON u.term_id = x1 JOIN s w ON w.term_id = x2 CROSS JOIN n")
+@query(f"WITH {bags_sql(PAIRED)}, n AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM documents), s AS (SELECT term_id, count(*) AS n1 FROM lb GROUP BY term_id), p AS (SELECT a.term_id AS x1, b.term_id AS x2, count(*) AS c FROM lb a JOIN lb b ON a.doc_id = b.doc_id AND a.term_id < b.term_id GROUP BY ALL) SELECT x1, x2, {r6_sql('CASE WHEN c / n >= 1 THEN 1.0 ELSE ln((c / n) / (u.n1 / n * w.n1 / n)) / -ln(c / n) END')} AS npmi FROM p JOIN s u ON u.term_id = x1 JOIN s w ON w.term_id = x2 CROSS JOIN n")
 def npmi_pairs(spark: SparkSession, sf: str) -> DataFrame:
-    _, long = long_prepared(spark, sf, 100)
+    _, long = long_prepared(spark, sf, PAIRED)
     n = tables.read_table(spark, sf, "documents").count()
     return measures.npmi_pairs(long, n).select("x1", "x2", r6("npmi").alias("npmi"))
 

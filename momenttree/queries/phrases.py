@@ -192,3 +192,43 @@ def phrase_ranking_ratio_whole(spark: SparkSession, sf: str) -> DataFrame:
 @query()
 def plural_collapsed_whole(spark: SparkSession, sf: str) -> DataFrame:
     return P.collapse_plurals(P.rank_phrases(_probability(spark, sf, True))).select("path", "rank", "phrase")
+
+
+#: A known tree of two levels: languages, and in each its short and its long documents.
+LONG_TEXT = 1_000
+_Z = f"total AS (SELECT CAST(sum(len(words)) AS DOUBLE) AS t FROM sent), zs AS (SELECT s.phrase, min((s.support - x.support * y.support / t) / sqrt(s.support)) AS z FROM (SELECT phrase, support, array_to_string(list_slice(parts, 1, k), ' ') AS a, array_to_string(list_slice(parts, k + 1, n), ' ') AS b FROM (SELECT *, unnest(range(1, n)) AS k FROM (SELECT phrase, n, support, string_split(phrase, ' ') AS parts FROM phr WHERE n > 1))) s JOIN phr x ON x.phrase = a JOIN phr y ON y.phrase = b CROSS JOIN total GROUP BY s.phrase)"
+_GOOD = f"{_Z}, {_RATIO}, good AS (SELECT phrase, n FROM ratios LEFT JOIN zs USING (phrase) WHERE ratio < 0.9 AND (n = 1 OR z >= {P.SIGNIFICANT}))"
+_DEEP = f"{MINED}, {_GOOD}, dn AS (SELECT doc_id, l1, l1 || '/' || CASE WHEN coalesce(n_chars, 0) >= {LONG_TEXT} THEN '2' ELSE '1' END AS l2 FROM (SELECT doc_id, n_chars, 'o/' || CAST(dense_rank() OVER (ORDER BY lang) AS VARCHAR) AS l1 FROM documents WHERE lang IS NOT NULL)), nd AS (SELECT l1 AS path, 'o' AS parent, count(*) * 1.0 / (SELECT count(*) FROM dn) AS alpha FROM dn GROUP BY 1 UNION ALL SELECT l2, l1, count(*) * 1.0 / (SELECT count(*) FROM dn) FROM dn GROUP BY 1, 2), c1 AS (SELECT doc_id, phrase AS term, count(*) AS c FROM grams JOIN phr USING (phrase) WHERE phr.n = 1 GROUP BY ALL), wd AS (SELECT path, term, CAST(sum(c) AS DOUBLE) / sum(sum(c)) OVER (PARTITION BY path) AS phi FROM (SELECT l1 AS path, term, c FROM c1 JOIN dn USING (doc_id) UNION ALL SELECT l2, term, c FROM c1 JOIN dn USING (doc_id)) GROUP BY path, term), counts AS (SELECT doc_id, phrase, count(*) AS c FROM grams JOIN good USING (phrase) GROUP BY ALL), lp AS (SELECT phrase, path, parent, sum(ln(phi)) + ln(any_value(alpha)) AS lp FROM (SELECT phrase, n, unnest(string_split(phrase, ' ')) AS term FROM good) JOIN wd USING (term) JOIN nd USING (path) GROUP BY phrase, path, parent, n HAVING count(*) = n), post AS (SELECT phrase, path, parent, exp(lp - m) / sum(exp(lp - m)) OVER (PARTITION BY phrase, parent) AS share FROM (SELECT *, max(lp) OVER (PARTITION BY phrase, parent) AS m FROM lp)), sh AS (SELECT phrase, path, share FROM post WHERE parent = 'o' UNION ALL SELECT b.phrase, b.path, b.share * a.share FROM post b JOIN post a ON a.phrase = b.phrase AND a.path = b.parent), {_TOPICAL.replace('JOIN post', 'JOIN sh')}, {_PROB}"
+
+
+def _deep_tree(spark: SparkSession, sf: str, sentences: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """nodes (path, parent, alpha) and words (path, term, phi) of the known tree of two levels."""
+    from pyspark.sql import Window
+
+    docs = documents(spark, sf).where("lang is not null").select("doc_id", "lang", (F.coalesce("n_chars", F.lit(0)) >= LONG_TEXT).alias("long"))
+    numbers = docs.select("lang").distinct().select("lang", F.row_number().over(Window.orderBy("lang")).cast("string").alias("k"))  # a row for each language
+    first = F.concat(F.lit("o/"), "k")
+    member = cut(docs.join(F.broadcast(numbers), "lang").select("doc_id", first.alias("l1"), F.concat(first, F.when(F.col("long"), "/2").otherwise("/1")).alias("l2")))
+    each = member.select("doc_id", F.explode(F.array(F.struct(F.col("l1").alias("path"), F.lit("o").alias("parent")), F.struct(F.col("l2").alias("path"), F.col("l1").alias("parent")))).alias("n")).select("doc_id", "n.*")
+    nodes = cut(each.groupBy("path", "parent").agg((F.count("*") / member.count()).alias("alpha")))
+    singles = P.mine_phrases(sentences, SUPPORT, 1).select("phrase")
+    counted = P.phrase_counts(sentences, singles, 1).join(each, "doc_id").groupBy("path", "phrase").agg(F.sum("c").alias("c"))
+    return nodes, cut(counted.select("path", F.col("phrase").alias("term"), (F.col("c") / F.sum("c").over(Window.partitionBy("path"))).alias("phi")))
+
+
+def _hierarchy(spark: SparkSession, sf: str, most: int | None) -> DataFrame:
+    sentences = stored(C.sentence_rows(documents(spark, sf)), "sentences")
+    nodes, words = _deep_tree(spark, sf, sentences)
+    ranked = P.rank_tree(sentences, nodes, words, documents(spark, sf).count(), min_support=SUPPORT, max_len=most, top=20)
+    return ranked.select("path", "rank", "phrase", r6("p_topic", 1e4).alias("p_topic"), r6("p_parent", 1e4).alias("p_parent"), r6("score", 1e4).alias("score"))
+
+
+@query(f"WITH {_DEEP}, sc AS (SELECT a.path, a.phrase, a.p AS p_topic, b.p AS p_parent, a.p * ln(a.p / b.p) AS score FROM pr a JOIN pr b ON b.path = regexp_replace(a.path, '/[^/]*$', '') AND a.phrase = b.phrase WHERE a.path <> 'o'), rk AS (SELECT *, CAST(row_number() OVER (PARTITION BY path ORDER BY round(score, 12) DESC, phrase) AS INT) AS rank FROM sc) {_SELECT}")
+def phrase_hierarchy(spark: SparkSession, sf: str) -> DataFrame:
+    """Complete and significant phrases ranked under both levels of a known tree."""
+    return _hierarchy(spark, sf, MOST)
+
+
+@query()
+def phrase_hierarchy_whole(spark: SparkSession, sf: str) -> DataFrame:
+    return _hierarchy(spark, sf, None)

@@ -61,7 +61,7 @@ def long_prepared(spark: SparkSession, sf: str, top: int | None = None) -> tuple
     return vocab, C.long_bags(tok, vocab, vocab.count())
 
 
-def lang_topics(spark: SparkSession, sf: str, top: int = 200) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+def lang_topics(spark: SparkSession, sf: str, top: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
     """vocabulary, (doc_id, term_id, c), nodes (path, parent, lang, alpha), words (path, term_id, phi): languages as known topics."""
     vocab, long = long_prepared(spark, sf, top)
     docs = documents(spark, sf).where("lang is not null").select("doc_id", "lang")

@@ -45,9 +45,10 @@ def stream_dedupe(spark: SparkSession, sf: str) -> DataFrame:
     return S.run_to_table(S.deduplicated(twice), "dedupe", "append", lambda t: t.agg(F.count("*").alias("n"), F.countDistinct("event_id").alias("n_events")))
 
 
-@query(f"WITH o AS (SELECT user_id, {_WORD} AS word, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS k, count(*) OVER (PARTITION BY user_id) AS total FROM events) SELECT user_id, CAST(k // 20 AS INT) AS part, word, count(*) AS n FROM o WHERE (k // 20 + 1) * 20 <= total GROUP BY ALL")
+@query(f"WITH o AS (SELECT user_id, {_WORD} AS word, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS k FROM events) SELECT user_id, CAST(k // 20 AS INT) AS part, word, count(*) AS n FROM o GROUP BY ALL")
 def stream_stateful_bags(spark: SparkSession, sf: str) -> DataFrame:
-    flat = lambda t: t.select("user_id", "part", F.explode(F.arrays_zip("words", "counts")).alias("x")).select("user_id", "part", F.col("x.words").alias("word"), F.col("x.counts").alias("n"))
+    """All events of every user, the last bag shorter than the others."""
+    flat = lambda t: S.latest_bags(t).select("user_id", "part", F.explode(F.arrays_zip("words", "counts")).alias("x")).select("user_id", "part", F.col("x.words").alias("word"), F.col("x.counts").alias("n"))
     return S.run_to_table(S.stateful_bags(_words(spark, sf), every=20), "bags", "append", flat)
 
 

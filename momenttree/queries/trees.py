@@ -16,6 +16,7 @@ from momenttree.functions import tensor as X
 from momenttree.operators import assign as A
 from momenttree.operators import corpus as C
 from momenttree.operators import moments as M
+from momenttree.operators import phrases as P
 from momenttree.operators import sampler
 from momenttree.operators import tree as TT
 from momenttree.plans import build as B
@@ -152,8 +153,13 @@ def topic_tree(spark: SparkSession, sf: str) -> DataFrame:
 
 @query()
 def describe_tree(spark: SparkSession, sf: str) -> DataFrame:
+    """Words and, ranked under each parent, phrases of every node."""
     vocab, _, _, tree = _tree(spark, sf)
-    return TT.describe(tree.words_df(spark, 1e-12), vocab)
+    words = tree.words_df(spark, 1e-12)
+    named = words.join(F.broadcast(vocab.select("term_id", "term")), "term_id").select("path", "term", "phi")
+    docs = documents(spark, sf)
+    ranked = P.rank_tree(stored(C.sentence_rows(docs), "sentences"), tree.nodes_df(spark), named, docs.count(), min_support=40, top=10)
+    return TT.describe(words, vocab, ranked=ranked)
 
 
 @query("SELECT * FROM (VALUES (0, true), (1, true), (2, true)) t(level, bounded)")

@@ -32,10 +32,12 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the cluster; where it is unset (tests on one machine) a temporary folder."""
+    """spark.checkpoint.dir of the cluster; a temporary folder where it is unset and the master is local (tests)."""
     set_to = spark.conf.get("spark.checkpoint.dir", None)
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
+        if not set_to and not context.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir has to name a folder that driver and executors share")
         context.setCheckpointDir(set_to or tempfile.mkdtemp(prefix="momenttree_checkpoint_"))
     return set_to or context._jsc.sc().getCheckpointDir().get()
 
@@ -53,14 +55,17 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-FEW_SPLITS = 32
+def group_nodes(names: list[str], bytes_each: int, most: int) -> list[list[str]]:
+    """names in groups whose arrays together take at most `most` bytes (one name at least)."""
+    n = max(1, int(most // max(bytes_each, 1)))
+    return [names[at : at + n] for at in range(0, len(names), n)]
 
 
-def spread(df: DataFrame) -> DataFrame:
-    """df dealt to all cores if its files make fewer scan tasks than there are cores: small tables in one row group.
+#: Set to true by the bench alone: tables are dealt to all cores before use, since its tables are single files of one row group.
+SPREAD = "spark.momenttree.spread"
 
-    Only up to FEW_SPLITS splits: what has more is left as it is, however many cores there are.
-    """
-    cores = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(cores) if df.rdd.getNumPartitions() < min(cores, FEW_SPLITS) else df
 
+def spread(df: DataFrame) -> DataFrame:
+    """df as it is; dealt to all cores where the session asks for it (SPREAD), whatever its size."""
+    spark = df.sparkSession
+    return df.repartition(spark.sparkContext.defaultParallelism) if spark.conf.get(SPREAD, "false") == "true" else df

@@ -85,9 +85,10 @@ def deduplicated(words: DataFrame, late: str = "1 hour") -> DataFrame:
 
 
 def stateful_bags(words: DataFrame, *, every: int = 50) -> DataFrame:
-    """user_id, part, words, counts: a bag of each user's next `every` events, kept in keyed state between batches.
+    """user_id, part, words, counts, n: a bag of each user's next `every` events, kept in keyed state between batches.
 
-    A user's state is at most `every` words.  What is left in the state at the end is not emitted.
+    A user's state is at most `every` words.  After each batch the open rest is shown too, as a bag of n < every events
+    that a later one of the same part replaces: latest_bags() keeps the last of each.
     """
     ship(words.sparkSession)
 
@@ -95,17 +96,27 @@ def stateful_bags(words: DataFrame, *, every: int = 50) -> DataFrame:
         part, held = state.get if state.exists else (0, [])
         held = list(held)
         rows = []
-        for frame in frames:
-            for word in frame.sort_values(["ts", "event_id"])["word"]:
-                held.append(word)
-                if len(held) == every:
-                    counts = pd.Series(held).value_counts().sort_index()
-                    rows.append((key[0], part, counts.index.tolist(), counts.tolist()))
-                    part, held = part + 1, []
+
+        def show() -> None:
+            counts = pd.Series(held).value_counts().sort_index()
+            rows.append((key[0], part, counts.index.tolist(), counts.tolist(), len(held)))
+
+        for word in pd.concat(list(frames)).sort_values(["ts", "event_id"])["word"]:
+            held.append(word)
+            if len(held) == every:
+                show()
+                part, held = part + 1, []
+        if held:
+            show()
         state.update((part, held))
-        yield pd.DataFrame(rows, columns=["user_id", "part", "words", "counts"])
+        yield pd.DataFrame(rows, columns=["user_id", "part", "words", "counts", "n"])
+
+    return words.groupBy("user_id").applyInPandasWithState(update, "user_id bigint, part int, words array<string>, counts array<bigint>, n bigint", "part int, held array<string>", "append", "NoTimeout")
+
 
-    return words.groupBy("user_id").applyInPandasWithState(update, "user_id bigint, part int, words array<string>, counts array<bigint>", "part int, held array<string>", "append", "NoTimeout")
+def latest_bags(shown: DataFrame) -> DataFrame:
+    """user_id, part, words, counts: of each part the bag with the most events."""
+    return shown.groupBy("user_id", "part").agg(F.max_by(F.struct("words", "counts"), "n").alias("b")).select("user_id", "part", "b.words", "b.counts")
 
 
 class MomentState:

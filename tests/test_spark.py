@@ -114,6 +114,69 @@ def test_variants_and_engines_agree(flat):
     assert np.allclose(values, X.largest_eigs(M.moments_of(bags, 30)["o"].e2, 3)[0], rtol=1e-5)
 
 
+def test_edges_give_the_same_tree_in_two_scans_a_level(flat, monkeypatch):
+    _, bags, _ = flat
+    trees, scans = {}, {}
+    for engine in ("explicit", "sparse", "implicit"):
+        ledger = Ledger()
+        trees[engine] = B.build_tree(bags, 30, ledger, width=3, height=2, alpha0=3.0, engine=engine, sweeps=60)
+        scans[engine] = ledger.scans
+    assert scans["explicit"] == scans["sparse"] == 4 < scans["implicit"]
+    assert all(np.allclose(trees["explicit"].nodes[p].phi, trees["sparse"].nodes[p].phi, atol=1e-4) for p in trees["explicit"].nodes if p.count("/") < 2)
+    # a vocabulary beyond the dense block chooses edges by itself, with sums that were made sparsely
+    wide = Ledger()
+    found = B.build_tree(bags, 6_000, wide, width=3, height=1, alpha0=3.0, sweeps=60)
+    assert wide.scans == 2 and np.allclose(found.nodes["o/1"].phi[:30], trees["explicit"].nodes["o/1"].phi, atol=1e-4)
+    # blocks that do not fit together take more scans and give the same
+    monkeypatch.setattr(M, "BLOCK_BYTES", 8 * 30 * 8)
+    few = Ledger()
+    apart = B.build_tree(bags, 30, few, width=3, height=2, alpha0=3.0, engine="sparse", sweeps=60)
+    assert all(np.allclose(apart.nodes[p].phi, trees["sparse"].nodes[p].phi, atol=1e-4) for p in apart.nodes if p.count("/") < 2) and few.scans > 4
+
+
+def test_large_vocabularies_stop_the_dense_variants_only(flat):
+    _, bags, _ = flat
+    for v in (5_000, 20_000):
+        if v * v * 8 <= M.BLOCK_BYTES:
+            assert B.decompose(bags, v, 3, alpha0=3.0, variant="dense_m2").phi.shape == (v, 3)
+        else:
+            with pytest.raises(M.VocabularyTooLarge):
+                B.decompose(bags, v, 3, variant="dense_m2")
+        for variant in ("dense_m3", "dense"):
+            with pytest.raises(M.VocabularyTooLarge):
+                B.decompose(bags, v, 3, variant=variant)
+    assert B.decompose(bags, 20_000, 3, alpha0=3.0).phi.shape == (20_000, 3)
+
+
+def test_rows_of_one_id_stay_different_bags(spark):
+    tok = C.tokens(spark.createDataFrame([(1, "a b c"), (1, "a b c d"), (1, "a b c"), (2, "b")], "doc_id bigint, text string"))
+    vocab = C.vocabulary(tok).cache()
+    rows = [sorted((r.doc_id, r.len, tuple(r.terms), tuple(r.counts)) for r in C.bags(tok, vocab, size=size).collect()) for size in (4, C.VOCABULARY_BROADCAST + 1)]
+    assert rows[0] == rows[1] and [r[1] for r in rows[0]] == [3.0, 3.0, 4.0]
+
+
+@pytest.mark.parametrize("rescanned", [1, 4, 9])
+def test_phrases_of_repeated_rows(spark, monkeypatch, rescanned):
+    """Both ways of mining, on rows that are equal in every column."""
+    monkeypatch.setattr(P, "RESCANNED", rescanned)
+    sentences = C.sentence_rows(spark.createDataFrame([(1, "a b c d e f g")] * 2 + [(2, "a b")], "doc_id bigint, text string"))
+    words = "a b c d e f g".split()
+    want = {" ".join(words[i : i + n]): 2 for n in range(1, 8) for i in range(8 - n)} | {"a": 3, "b": 3, "a b": 3}
+    assert {r.phrase: r.support for r in P.mine_phrases(sentences, 2).collect()} == want
+
+
+def test_phrases_of_a_tree_of_two_levels(spark):
+    texts = ["x y"] * 60 + ["x z"] * 30 + ["p q"] * 90
+    sentences = C.sentence_rows(spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id bigint, text string"))
+    nodes = spark.createDataFrame([("o/1", "o", 0.5), ("o/2", "o", 0.5), ("o/1/1", "o/1", 0.3), ("o/1/2", "o/1", 0.2)], "path string, parent string, alpha double")
+    words = spark.createDataFrame([("o/1", "x", 0.5), ("o/1", "y", 0.3), ("o/1", "z", 0.2), ("o/2", "p", 0.5), ("o/2", "q", 0.5), ("o/1/1", "x", 0.5), ("o/1/1", "y", 0.5), ("o/1/2", "x", 0.5), ("o/1/2", "z", 0.5)], "path string, term string, phi double")
+    ranked = P.rank_tree(sentences, nodes, words, len(texts), min_support=2)
+    found = {}
+    for r in ranked.collect():
+        found.setdefault(r.path, set()).add(r.phrase)
+    assert found == {"o/1": {"x", "x y", "x z"}, "o/2": {"p q"}, "o/1/1": {"x", "x y"}, "o/1/2": {"x", "x z"}}  # "y" is always in "x y", so it is not complete
+
+
 def test_recursion_with_disjoint_vocabularies(spark):
     truth = sampler.sample_tree((2, 2), 40, seed=8, disjoint=True)
     bags = sampler.as_bags(sampler.sample_corpus(spark, truth, 3000, 60, seed=8)).cache()
@@ -217,6 +280,19 @@ def test_stream_state_equals_batch(spark, flat):
     assert np.allclose(m1, whole.m1) and np.allclose(e2, whole.e2) and state.drift(whole.m1) < 1e-9
 
 
+def test_stateful_bags_show_the_open_rest(spark, tmp_path):
+    from momenttree.streaming import moments as S
+
+    where, shown = str(tmp_path / "in"), []
+    for part in ([(k, k) for k in range(7)], [(k, k) for k in range(7, 12)]):
+        spark.createDataFrame([(k, f"2024-01-01 00:{m:02}:00", 1, f"e{k % 2}", 0.0, None) for k, m in part], S.EVENTS.replace("ts timestamp", "ts string")).withColumn("ts", F.to_timestamp("ts")).coalesce(1).write.mode("append").parquet(where)
+        words = S.word_of(spark.readStream.schema(S.EVENTS).parquet(where))
+        query = S.stateful_bags(words, every=5).writeStream.outputMode("append").option("checkpointLocation", str(tmp_path / "log")).trigger(availableNow=True).format("parquet").option("path", str(tmp_path / "out")).start()
+        query.awaitTermination()
+        shown.append({(r.part): sum(r.counts) for r in S.latest_bags(spark.read.parquet(str(tmp_path / "out"))).collect()})
+    assert shown == [{0: 5, 1: 2}, {0: 5, 1: 5, 2: 2}]
+
+
 def test_late_events_are_left_out_and_restarts_agree(spark, tmp_path):
     """Three files replayed one by one: the event behind the watermark is dropped; a second run adds nothing twice."""
     from momenttree.streaming import moments as S

@@ -131,7 +131,8 @@ def test_selection():
     assert select.suggest_width(np.array([0.0130, 0.0081, 0.0047, 0.0013, 0.0006, 0.0005])) == 4
     assert select.suggest_width(np.array([1.0, 0.5, 0.04]), rule="threshold") == 2
     assert select.suggest_width(np.array([])) == 0
-    assert choose_engine(1000) == "explicit" and choose_engine(100_000) == "implicit" and choose_engine(10_000, 1e6, 1e6) == "explicit"
+    assert choose_engine(1000, 1e12, 1e6) == "explicit"
+    assert choose_engine(100_000, 1e8, 1e6) == "sparse" and choose_engine(10_000, 1e10, 1e6) == "implicit"
 
 
 def test_intrusion():
