@@ -2,10 +2,12 @@
 
 Each token has the log-odds of its form between toxic and clean rows under an informative Dirichlet prior; a
 form is the word or one of its leading stems, and only significant forms (z of at least Z_LEAST) score above the
-constant penalty that all other tokens pay.  One linear scan finds every maximal-scoring segment of a text.
-A segment of score S in n tokens has E = K n exp(-lambda S) expected equals in clean text, lambda being the
-positive root of the score's moment equation; segments with a small E are the toxic passages, and the best and
-summed calibrated scores of a text give its probability.
+constant penalty that all tokens pay (negative log-odds as scores found no more toxic rows and gave more false alarms).
+One linear scan finds every maximal-scoring segment of a text.  A segment of score S in n tokens has
+E = K n exp(-lambda S) expected equals in clean text: lambda is the positive root of the moment equation of the scores of
+clean tokens, K the likeliest value given the best segments of the clean rows.  Segments with a small E are the toxic
+passages.  Several segments, each of them unremarkable, count together: the sum of the r best ones has a known tail too,
+and the least probable r, with the best segment, gives a text's probability.
 
 Defined results: null text counts as empty; a text without scoring tokens has no passage and the lowest score;
 equal rows get equal scores; without labels of both classes, or if no form is significant, every score is 0.0.
@@ -73,6 +75,22 @@ def segments(scores: list[tuple[int, float]], penalty: float) -> list[tuple[floa
     return [(r - a, f, z) for a, r, f, z, _ in stack]
 
 
+def evidence_of(n: int, scores: list[float], rate: float, spread: float) -> tuple[float, float]:
+    """See ToxicModel.evidence.  With t = rate * (sum of the r best) - r ln(K n), the tail of that sum is about
+    exp(-t) t^(r-1) / (r! (r-1)!); -ln of it is largest at the r that is least likely in clean text.
+    """
+    if not scores:
+        return 0.0, 0.0
+    base = math.log(max(spread * max(n, 1), 1e-9))
+    total, most = 0.0, 0.0
+    for r, s in enumerate(sorted(scores, reverse=True), 1):
+        total += rate * s
+        t = total - r * base
+        if t > r:
+            most = max(most, t - (r - 1) * math.log(t) + math.lgamma(r + 1) + math.lgamma(r))
+    return max(0.0, rate * max(scores) - base) / 10, math.log1p(most)
+
+
 @dataclass
 class ToxicModel:
     weights: dict[str, float] = field(default_factory=dict)
@@ -98,27 +116,33 @@ class ToxicModel:
             self.cache[token] = found
         return found
 
+    def scored(self, text: str) -> tuple[int, list[tuple[float, int, int]]]:
+        """Token count and every segment as (score, first, last token)."""
+        tokens = TOKENS(text.lower())
+        penalty = self.penalty
+        positive = [(k, w - penalty) for k, w in enumerate(map(self.weight, tokens)) if w > penalty]
+        return len(tokens), segments(positive, penalty) if positive else []
+
     def passages(self, text: str) -> tuple[int, list[tuple[float, int, int]]]:
         """Token count and every segment as (expected count in clean text, first, last token)."""
-        tokens = TOKENS(text.lower())
-        weight = self.weight
-        positive = [(k, w) for k, w in enumerate(map(weight, tokens)) if w > 0]
-        return len(tokens), [(self.expected(s, len(tokens)), a, b) for s, a, b in segments(positive, self.penalty)] if positive else []
+        n, found = self.scored(text)
+        return n, [(self.expected(s, n), a, b) for s, a, b in found]
 
     def expected(self, score: float, n: int) -> float:
         return self.spread * max(n, 1) * math.exp(-self.rate * score)
 
     def evidence(self, text: str) -> tuple[float, float]:
-        """(best, summed) calibrated evidence of significant passages: -ln E above -ln SIGNIFICANT, in tens of nats."""
-        _, found = self.passages(text)
-        gains = [max(0.0, math.log(SIGNIFICANT / max(e, 1e-280))) / 10 for e, _, _ in found]
-        return (max(gains, default=0.0), math.log1p(sum(gains)))
+        """(best, together): -ln E of the best segment in tens of nats, and the logarithm of the sums' evidence."""
+        n, found = self.scored(text)
+        return evidence_of(n, [s for s, _, _ in found], self.rate, self.spread)
 
     def score(self, text: str) -> float:
         if not self.trained:
             return 0.0
-        best, summed = self.evidence(text)
-        return 1 / (1 + math.exp(-max(-30.0, min(30.0, self.bias + self.slopes[0] * best + self.slopes[1] * summed))))
+        return self.probability(self.evidence(text))
+
+    def probability(self, evidence: tuple[float, float]) -> float:
+        return 1 / (1 + math.exp(-max(-30.0, min(30.0, self.bias + self.slopes[0] * evidence[0] + self.slopes[1] * evidence[1]))))
 
 
 def log_odds(toxic: Counter, clean: Counter, n_toxic: int, n_clean: int) -> dict[str, tuple[float, float]]:
@@ -192,7 +216,7 @@ def train(docs: DataFrame, labels: DataFrame, *, bound: int = TRAINING_ROWS) ->
     """Fitted on at most `bound` labelled rows outside the held-out fold.
 
     What reaches the driver is bounded with the sample: forms of at least ROWS_LEAST of its toxic rows, then their
-    counts in its clean rows, then two numbers a row.
+    counts in its clean rows, then the scores of each row's segments.
     """
     ship(docs.sparkSession)
     rows = cut(labelled.sample(docs, labels, "toxic", labelled.fold(5) != 0, bound).select("doc_id", "text", "y").dropDuplicates(["text", "y"]))
@@ -207,22 +231,30 @@ def train(docs: DataFrame, labels: DataFrame, *, bound: int = TRAINING_ROWS) ->
     weights = {form: min(o, SCORE_MOST) for form, (o, z) in sorted(odds.items()) if z >= Z_LEAST and o > 1}
     if not weights:
         return ToxicModel()
-    seen = np.array([[weights[f], clean.get(f, (0, 0))[0]] for f in weights if f.endswith("$") or len(f) in STEMS])
-    shares = np.append((seen[:, 1] + 0.5) / n_clean, 0.0)
-    shares[-1] = max(1 - shares[:-1].sum(), 0.1)
-    rate = moment_root(np.append(seen[:, 0], -PENALTY), shares / shares.sum())
-    model = ToxicModel(weights, rate=max(rate, 0.05), spread=1.0)
-    sent = docs.sparkSession.sparkContext.broadcast(model)
+    sent = docs.sparkSession.sparkContext.broadcast(ToxicModel(weights))
+
+    def token_scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, seen = sent.value, Counter()
+        for _, texts in text_batches(batches):
+            for text in texts:
+                for token, c in Counter(TOKENS(text.lower())).items():
+                    seen[known.weight(token)] += c
+        if seen:
+            yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.float64()), pa.array(list(seen.values()), pa.int64())], ["score", "n"])
+
+    counted = rows.where("y = 0").select("doc_id", "text").mapInArrow(token_scores, "score double, n bigint").groupBy("score").agg(F.sum("n").alias("n")).orderBy("score").toPandas()
+    rate = max(moment_root(counted["score"].to_numpy() - PENALTY, (counted["n"] / counted["n"].sum()).to_numpy()), 0.05)
 
     def best_scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = sent.value
         for batch in batches:
-            best = [known.evidence(t or "") for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([b for b, _ in best], pa.float64()), pa.array([s for _, s in best], pa.float64())], ["doc_id", "y", "best", "summed"])
+            made = [known.scored(t or "") for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([n for n, _ in made], pa.int64()), pa.array([[s for s, _, _ in found] for _, found in made], pa.list_(pa.float64()))], ["doc_id", "y", "n", "scores"])
 
-    made = np.array(sorted(tuple(r) for r in rows.mapInArrow(best_scores, "doc_id bigint, y int, best double, summed double").collect()))
-    beta = logistic(made[:, 2:], made[:, 1])
-    return ToxicModel(weights, rate=model.rate, spread=1.0, bias=float(beta[0]), slopes=(float(beta[1]), float(beta[2])), trained=True)
+    made = sorted(tuple(r) for r in rows.mapInArrow(best_scores, "doc_id bigint, y int, n bigint, scores array<double>").collect())
+    spread = sum(y == 0 for _, y, _, _ in made) / sum(max(n, 1) * math.exp(-rate * max(scores, default=0.0)) for _, y, n, scores in made if y == 0)
+    beta = logistic(np.array([evidence_of(n, scores, rate, spread) for _, _, n, scores in made]), np.array([y for _, y, _, _ in made]))
+    return ToxicModel(weights, rate=rate, spread=spread, bias=float(beta[0]), slopes=(float(beta[1]), float(beta[2])), trained=True)
 
 
 def score(docs: DataFrame, model: ToxicModel) -> DataFrame:
@@ -237,9 +269,10 @@ def score(docs: DataFrame, model: ToxicModel) -> DataFrame:
         for keys, texts in text_batches(batches):
             passages, scores = [], []
             for text in texts:
-                _, found = known.passages(text)
-                passages.append([{"first_token": a, "last_token": b, "expected": e} for e, a, b in found if e <= SIGNIFICANT])
-                scores.append(known.score(text))
+                n, found = known.scored(text)
+                marked = [{"first_token": a, "last_token": b, "expected": e} for s, a, b in found if (e := known.expected(s, n)) <= SIGNIFICANT]
+                passages.append(marked)
+                scores.append(known.probability(evidence_of(n, [s for s, _, _ in found], known.rate, known.spread)) if known.trained else 0.0)
             yield pa.RecordBatch.from_arrays([keys, pa.array(scores, pa.float64()), pa.array(passages, kind)], ["doc_id", "score", "passages"])
 
     chosen = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
