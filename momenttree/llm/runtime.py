@@ -1,62 +1,17 @@
-"""Shared pieces: sending the package to executors, shared storage, Arrow batches of texts."""
+"""Shared pieces of the training-data operators: those of the package, and Arrow batches of texts."""
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
-import zipfile
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
 
-_SHIPPED: dict[str, str] = {}
-#: Rows that a kernel takes at a time.
-BATCH_ROWS = 1_000
-
-
-def ship(spark: SparkSession) -> None:
-    """Give the executors this package once for each application, as a zip through Spark's own file server."""
-    app = spark.sparkContext.applicationId
-    if app in _SHIPPED:
-        return
-    package = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
-    base = os.path.dirname(package)
-    if not os.path.isdir(package):  # already inside a zip that a cluster manager has sent
-        _SHIPPED[app] = package
-        return
-    path = os.path.join(tempfile.mkdtemp(), "momenttree_code.zip")
-    with zipfile.ZipFile(path, "w", zipfile.ZIP_DEFLATED) as out:
-        for folder, _, names in os.walk(package):
-            for name in names:
-                if name.endswith(".py"):
-                    full = os.path.join(folder, name)
-                    out.write(full, os.path.relpath(full, base))
-    spark.sparkContext.addPyFile(path)
-    _SHIPPED[app] = path
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the cluster; where it is unset (tests on one machine) a temporary folder."""
-    set_to = spark.conf.get("spark.checkpoint.dir", None)
-    context = spark.sparkContext
-    if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(set_to or tempfile.mkdtemp(prefix="momenttree_checkpoint_"))
-    return set_to or context._jsc.sc().getCheckpointDir().get()
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Rows of df from reliable shared storage; its lineage ends here."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+from momenttree.runtime import cut, shared_dir, ship, spread, stored
 
+__all__ = ["BATCH_ROWS", "cut", "shared_dir", "ship", "spread", "stored", "text_batches"]
 
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """df written as Parquet in the shared folder under a fresh name and read again: columnar, so later reads prune it."""
-    path = f"{shared_dir(df.sparkSession).rstrip('/')}/{name}_{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+#: Rows that a kernel takes at a time.
+BATCH_ROWS = 1_000
 
 
 def text_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Array, list[str]]]:
@@ -65,16 +20,3 @@ def text_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.Array,
         for at in range(0, whole.num_rows, BATCH_ROWS):
             batch = whole.slice(at, BATCH_ROWS)
             yield batch.column(0), [x or "" for x in batch.column(1).to_pylist()]
-
-
-FEW_SPLITS = 32
-
-
-def spread(df: DataFrame) -> DataFrame:
-    """df dealt to all cores if its files make fewer scan tasks than there are cores: small tables in one row group.
-
-    Only up to FEW_SPLITS splits: what has more is left as it is, however many cores there are.
-    """
-    cores = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(cores) if df.rdd.getNumPartitions() < min(cores, FEW_SPLITS) else df
-
