@@ -2,7 +2,8 @@
 
 What is compared with the templates: lines that mention a license, blocks of several lines (between blank ones) that
 do, and whole candidate files: texts that are named like licence files, or a quarter of whose words stand in such
-blocks.  Equal ones are compared once.  Each becomes a sparse TF-IDF vector (document frequencies over all of them and
+blocks.  Parts with most of their distinct words outside the templates are left out at once: such words are rarer than
+those of templates, so their cosine could not exceed the root of a half.  Equal parts are compared once.  Each becomes a sparse TF-IDF vector (document frequencies over all of them and
 the templates) and has the template of the highest cosine among those whose threshold it reaches.  A document is
 licensed by the best of its parts.  It is the licence file of its directory if at least half of its words stand in
 parts with a license, if it opens with a license's title, or if it is named so.  Other documents take the license of
@@ -15,6 +16,8 @@ an empty table gives none.  Input columns other than those named are ignored.
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -90,6 +93,8 @@ FILE_NAME = r"(?i)(^|/)(licen[sc]e|copying|notice)(\.[a-z]+)?$"
 #: What separates blocks: lines that are empty but for comment marks.
 BLANK = r"\n(?:[ \t\r*#/;%<>!-]*\n)+"
 WORD = r"[0-9]+(?:\.[0-9]+)*|[a-z]+"
+#: The distinct words of all templates.
+VOCABULARY = sorted({w for _, _, t in TEMPLATES for w in re.findall(WORD, t.lower())})
 LEAST = 0.7
 #: Titles and identifiers are short, and differ from one another in single terms.
 LEAST_SHORT = {"title": 0.85, "spdx": 0.95}
@@ -149,10 +154,16 @@ def scan(docs: DataFrame, path: Column | None = None) -> DataFrame:
     is_candidate = F.coalesce(F.col("path").rlike(FILE_NAME), F.lit(False)) | (inside >= CANDIDATE_SHARE * F.col("n_words"))
     whole = F.when(is_candidate, F.array(F.struct(F.lit("text").alias("level"), F.lit(False).alias("first"), F.col("text").alias("text")))).otherwise(F.array())
     several = F.filter("blocks", lambda x: x["text"].contains("\n"))
-    parts = F.when(F.col("hinted"), F.concat(lines, several, whole)).alias("parts")
+    known = F.array(*map(F.lit, VOCABULARY))
+
+    def familiar(x: Column) -> Column:
+        words = F.array_distinct(_words(x["text"]))
+        return 2 * F.size(F.array_intersect(words, known)) >= F.size(words)
+
+    parts = F.when(F.col("hinted"), F.filter(F.concat(lines, several, whole), familiar)).alias("parts")
     rows = cut(rows.select(F.monotonically_increasing_id().alias("row"), "doc_id", "path", "n_words", parts))
     each = rows.select("row", "doc_id", "path", "n_words", F.explode("parts").alias("p")).select("row", "doc_id", "path", "n_words", "p.*")
-    each = cut(each.withColumn("key", F.sha2(F.col("text").cast("binary"), 256)).withColumn("size", F.size(_words(F.col("text")))))
+    each = cut(each.withColumn("key", F.substring(F.sha2(F.col("text").cast("binary"), 256), 1, 32)).withColumn("size", F.size(_words(F.col("text")))))
     known = classify(cut(each.groupBy("key").agg(F.first("text").alias("text"))))
     level = lambda name: F.coalesce(F.sum(F.when(F.col("level") == name, F.col("size"))), F.lit(0))
     share = (F.greatest(*map(level, ("line", "block", "text"))) / F.max("n_words")).alias("share")

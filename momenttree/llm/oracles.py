@@ -62,7 +62,7 @@ def licence_scan() -> str:
 d0 AS (SELECT row_number() OVER () AS rid, doc_id, regexp_replace(coalesce(text, ''), '^\s+', '') AS text, concat_ws('/', coalesce(source, ''), coalesce(lang, ''), coalesce(CAST(CAST(floor(doc_id / 100.0) AS BIGINT) AS VARCHAR), ''), coalesce(CAST(doc_id AS VARCHAR), '')) AS path FROM documents),
 h AS (SELECT *, len({words('text')}) AS n_words, list_filter(regexp_split_to_array(text, {_quoted(licences.BLANK)}), lambda x: regexp_matches(x, {mention})) AS blocks FROM d0 WHERE regexp_matches(text, {mention})),
 ln AS (SELECT rid, 'line' AS level, i = 1 AS first, parts[i] AS text FROM (SELECT rid, parts, unnest(range(1, len(parts) + 1)) AS i FROM (SELECT rid, regexp_split_to_array(text, '[\r\n]+') AS parts FROM h)) WHERE regexp_matches(parts[i], {mention})),
-each AS (SELECT * FROM ln UNION ALL SELECT rid, 'block', starts_with(text, b), b FROM (SELECT rid, text, unnest(blocks) AS b FROM h) WHERE contains(b, chr(10)) UNION ALL SELECT rid, 'text', false, text FROM h WHERE {name} OR coalesce(list_sum(list_transform(blocks, lambda x: len({words('x')}))), 0) >= {licences.CANDIDATE_SHARE} * n_words),
+each AS (SELECT * FROM (SELECT * FROM ln UNION ALL SELECT rid, 'block', starts_with(text, b), b FROM (SELECT rid, text, unnest(blocks) AS b FROM h) WHERE contains(b, chr(10)) UNION ALL SELECT rid, 'text', false, text FROM h WHERE {name} OR coalesce(list_sum(list_transform(blocks, lambda x: len({words('x')}))), 0) >= {licences.CANDIDATE_SHARE} * n_words) WHERE 2 * len(list_intersect(list_distinct({words('text')}), [{", ".join(map(_quoted, licences.VOCABULARY))}])) >= len(list_distinct({words('text')}))),
 part AS (SELECT DISTINCT text FROM each), n AS (SELECT count(*) + {len(licences.TEMPLATES)} + 1.0 AS n FROM part),
 terms AS (SELECT text, term, count(*) AS tf FROM (SELECT text, unnest({words('text')}) AS term FROM part) GROUP BY ALL),
 mterms AS (SELECT template, term, count(*) AS tf FROM (SELECT template, unnest({words('text')}) AS term FROM tpl) GROUP BY ALL),
