@@ -112,7 +112,7 @@ def lda_variational(bags: DataFrame, v: int, k: int, *, iters: int = 20, seed: i
     return topics / topics.sum(axis=0), topics.sum(axis=0) / topics.sum()
 
 
-def split_lda(bags: DataFrame, v: int, *, widths: tuple[int, ...], iters: int = 1000, engine: str = "gibbs", split: str = "token", seed: int = 0, min_docs: int = 5, **options) -> TopicTree:
+def recursive_lda(bags: DataFrame, v: int, *, widths: tuple[int, ...], iters: int = 1000, engine: str = "gibbs", split: str = "token", seed: int = 0, min_docs: int = 5, **options) -> TopicTree:
     """LDA at a node, the corpus split by its result, and so on.
 
     token: every token goes to its label's child (variational: counts times the word's posterior); doc: whole documents go to their most frequent label.

@@ -235,7 +235,7 @@ def run_variance(spark: SparkSession, sf: str) -> DataFrame:
     lean = measures.variance([B.build_tree(bags, v, width=3, height=1, seed=s) for s in range(runs)])
     edges = stored(M.second_moment(bags, v).select("x1", "x2", (F.col("v") * 1e6).alias("w")).where("w > 0"), "edges")
     em = measures.variance([network.pair_network_em(edges, v, widths=(3,), iters=10, seed=s) for s in range(runs)])
-    lda = measures.variance([gibbs.split_lda(bags, v, widths=(3,), iters=3, seed=s) for s in range(runs)])
+    lda = measures.variance([gibbs.recursive_lda(bags, v, widths=(3,), iters=3, seed=s) for s in range(runs)])
     return _rows(spark, [(bool(lean < em and lean < lda),)], "lean_is_steadier boolean")
 
 
@@ -269,16 +269,16 @@ def corpus_source_rows(spark: SparkSession, sf: str) -> DataFrame:
 
 
 @query("SELECT 4 AS nodes, true AS sums_to_one")
-def baseline_split_lda(spark: SparkSession, sf: str) -> DataFrame:
+def baseline_recursive_lda(spark: SparkSession, sf: str) -> DataFrame:
     _, bags, v = spectral_bags(spark, sf, 200, 1)
-    tree = gibbs.split_lda(bags, v, widths=(3,), iters=3)
+    tree = gibbs.recursive_lda(bags, v, widths=(3,), iters=3)
     return _rows(spark, [(len(tree.nodes), bool(all(abs(n.phi.sum() - 1) < 1e-9 for n in tree.nodes.values())))], "nodes int, sums_to_one boolean")
 
 
 @query("SELECT 4 AS nodes, true AS sums_to_one")
-def baseline_split_lda_variational(spark: SparkSession, sf: str) -> DataFrame:
+def baseline_recursive_lda_variational(spark: SparkSession, sf: str) -> DataFrame:
     _, bags, v = spectral_bags(spark, sf, 200, 1)
-    tree = gibbs.split_lda(bags, v, widths=(3,), iters=5, engine="variational")
+    tree = gibbs.recursive_lda(bags, v, widths=(3,), iters=5, engine="variational")
     return _rows(spark, [(len(tree.nodes), bool(all(abs(n.phi.sum() - 1) < 1e-9 for n in tree.nodes.values())))], "nodes int, sums_to_one boolean")
 
 

@@ -81,7 +81,7 @@ def edges_of(corpus: Corpus) -> DataFrame:
 
 
 #: Methods whose time grows with sweeps.
-SAMPLERS = ("split_lda", "supertopic_gibbs", "nested_partition_gibbs")
+SAMPLERS = ("recursive_lda", "supertopic_gibbs", "nested_partition_gibbs")
 ALL_METHODS = ("lean", "pair_network_em", *SAMPLERS)
 #: The four of the sweeps and studies; the nested sampler is too slow for them.
 STUDIED = ALL_METHODS[:4]
@@ -106,7 +106,7 @@ def methods(width: int, height: int, seed: int = 0, sweeps: int = SWEEPS) -> dic
     return {
         "lean": lambda c: B.build_tree(c.bags, c.v, width=width, height=height, seed=seed),
         "pair_network_em": lambda c: network.pair_network_em(edges_of(c), c.v, widths=widths, iters=20, seed=seed),
-        "split_lda": lambda c: gibbs.split_lda(c.bags, c.v, widths=widths, iters=sweeps, seed=seed),
+        "recursive_lda": lambda c: gibbs.recursive_lda(c.bags, c.v, widths=widths, iters=sweeps, seed=seed),
         "supertopic_gibbs": supertopic,
         "nested_partition_gibbs": lambda c: gibbs.nested_partition_gibbs(sampled(c.bags, NESTED_DOCS), c.v, height=height, iters=sweeps, seed=seed)[0],
     }

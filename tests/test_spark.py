@@ -255,9 +255,9 @@ def test_sampler_does_not_depend_on_partitions(spark, flat):
 def test_baselines_keep_their_invariants(flat):
     _, bags, _ = flat
     part = bags.where("doc_id < 400").cache()
-    tree = gibbs.split_lda(part, 30, widths=(3, 2), iters=3)
+    tree = gibbs.recursive_lda(part, 30, widths=(3, 2), iters=3)
     assert all(abs(n.phi.sum() - 1) < 1e-9 for n in tree.nodes.values()) and len(tree.nodes) == 10
-    by_doc = gibbs.split_lda(part, 30, widths=(2, 2), iters=2, split="doc")
+    by_doc = gibbs.recursive_lda(part, 30, widths=(2, 2), iters=2, split="doc")
     assert by_doc.height() <= 2
     model = gibbs.supertopic_gibbs(part, 30, n_super=2, n_sub=3, iters=2)
     assert model.tokens == part.agg(F.sum("len")).first()[0] and np.isclose(model.association.sum(), model.tokens)
