@@ -85,7 +85,7 @@ def scan_product(bags: DataFrame, v: int, weights: moments.Weights, ledger, **op
     return run
 
 
-#: Rows of E2 that a task multiplies together.
+#: Rows of E2 that are dealt and handed on together.
 ROWS_TOGETHER = 1_024
 
 
@@ -96,7 +96,7 @@ def edge_product(edges: DataFrame, v: int, docs: dict[str, float] | None = None)
     summed in one task, in numpy; blocks are broadcast for as many nodes as BLOCK_BYTES allows.  The bags are not scanned.
     """
     both = edges.select("path", F.col("x1").alias("x"), F.col("x2").alias("y"), "v").union(edges.where("x1 <> x2").select("path", F.col("x2").alias("x"), F.col("x1").alias("y"), "v"))
-    dealt = stored(both.repartition("path", F.floor(F.col("x") / ROWS_TOGETHER)), "edges")
+    dealt = stored(both.repartition("path", F.floor(F.col("x") / ROWS_TOGETHER)).sortWithinPartitions("path", "x"), "edges")
     spark = edges.sparkSession
     ship(spark)
 
@@ -107,22 +107,21 @@ def edge_product(edges: DataFrame, v: int, docs: dict[str, float] | None = None)
 
             def kernel(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
                 blocks = sent.value
-                sums: dict[tuple[str, int], np.ndarray] = {}
+                sums: dict[str, np.ndarray] = {}
                 for batch in batches:
-                    path, x, y, value = pc.dictionary_encode(batch.column(0)), batch.column(1).to_numpy(), batch.column(2).to_numpy(), batch.column(3).to_numpy()
-                    codes, names_here = path.indices.to_numpy(), path.dictionary.to_pylist()
+                    found = pc.dictionary_encode(batch.column(0))
+                    codes, names_here = found.indices.to_numpy(), found.dictionary.to_pylist()
+                    x, y, value = (batch.column(k).to_numpy() for k in (1, 2, 3))
+                    fresh = np.append(True, (np.diff(codes) != 0) | (np.diff(x) != 0))[: len(x)]
                     for code, name in enumerate(names_here):
                         at = np.flatnonzero(codes == code)
-                        part = x[at] // ROWS_TOGETHER
-                        for r in np.unique(part):
-                            own = at[part == r]
-                            block = blocks[name]
-                            total = sums.setdefault((name, int(r)), np.zeros((min(ROWS_TOGETHER, v - int(r) * ROWS_TOGETHER), block.shape[1])))
-                            gain = value[own, None] * block[y[own]]
-                            for j in range(block.shape[1]):
-                                total[:, j] += np.bincount(x[own] - r * ROWS_TOGETHER, gain[:, j], len(total))
-                for (name, r), total in sums.items():
-                    yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([r]), pa.array([total.tobytes()])], ["path", "part", "payload"])
+                        block = blocks[name]
+                        starts = np.flatnonzero(fresh[at])  # rows are sorted: each run of equal x is summed at once
+                        total = sums.setdefault(name, np.zeros((v, block.shape[1])))
+                        np.add.at(total, x[at[starts]], np.add.reduceat(value[at, None] * block[y[at]], starts, axis=0))
+                for name, total in sums.items():
+                    for r in np.unique(np.flatnonzero(total.any(axis=1)) // ROWS_TOGETHER):
+                        yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([r]), pa.array([total[r * ROWS_TOGETHER : (r + 1) * ROWS_TOGETHER].tobytes()])], ["path", "part", "payload"])
 
             chosen = dealt.where(F.col("path").isin(names))
             for r in chosen.mapInArrow(kernel, "path string, part bigint, payload binary").toLocalIterator():

@@ -12,7 +12,7 @@ from momenttree.workloads import experiments as E
 
 _ABSTRACTS = f"tok AS (SELECT doc_id, unnest(words) AS term FROM (SELECT doc_id, {WORDS} AS words FROM documents) WHERE len(words) BETWEEN 50 AND 500), cnt AS (SELECT doc_id, term, count(*) AS c FROM tok GROUP BY ALL)"
 FRACTIONS = (0.25, 0.5, 1.0)
-SIZES = (100, 400, 6_000)
+SIZES = (100, 400)
 _REFUSED = int((M.BLOCK_BYTES / 8) ** 0.5)
 
 
