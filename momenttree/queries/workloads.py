@@ -56,14 +56,6 @@ def workload_vocabulary(spark: SparkSession, sf: str) -> DataFrame:
     return _rows(spark, rows, "size int, words int, variant string, stopped string")
 
 
-@query("SELECT method, 10 AS runs, 90 AS pairs, method = 'lean' AS steadiest FROM (VALUES ('lean'), ('pair_network_em'), ('recursive_lda'), ('supertopic_gibbs')) t(method)")
-def workload_variance(spark: SparkSession, sf: str) -> DataFrame:
-    """Ten runs with different seeds, all ordered pairs."""
-    rows = E.variance_study([E.prepare(spark, sf, "titles", top=100)], width=3, sweeps=2)
-    least = min(r["variance"] for r in rows)
-    return _rows(spark, [r | {"steadiest": r["variance"] == least} for r in rows], "method string, runs int, pairs int, steadiest boolean")
-
-
 @query("SELECT factor, value, true AS settled FROM (VALUES ('starts'), ('steps')) f(factor) CROSS JOIN (VALUES (10), (20), (30)) v(value)")
 def workload_iterations(spark: SparkSession, sf: str) -> DataFrame:
     """From ten starts and ten steps on, runs agree."""
@@ -71,14 +63,6 @@ def workload_iterations(spark: SparkSession, sf: str) -> DataFrame:
     return _rows(spark, [r | {"settled": bool(r["variance"] < 0.01)} for r in rows], "factor string, value int, settled boolean")
 
 
-@query("SELECT task, CASE task WHEN 'phrase' THEN 200 ELSE 160 END AS asked, true AS scored FROM (VALUES ('phrase'), ('topic')) t(task)")
-def workload_intrusion(spark: SparkSession, sf: str) -> DataFrame:
-    """Questions on a lean tree of five topics, answered by judges; a question without an intruder at hand is not asked."""
-    rows = E.intrusion_study(spark, sf, [E.prepare(spark, sf, "abstracts", top=400, stop=False)], names=("lean",), min_support=10)
-    asked = {"phrase": 200, "topic": 160}
-    return _rows(spark, [r | {"asked": asked[r["task"]], "scored": bool(0 < r["questions"] <= asked[r["task"]] and 0 <= r["f1"] <= 1)} for r in rows], "task string, asked int, scored boolean")
-
-
 @query("SELECT 1000 AS docs, true AS close UNION ALL SELECT 10000, true")
 def workload_recovery(spark: SparkSession, sf: str) -> DataFrame:
     """A known tree sampled at two sizes: within twice the reference errors, less with more documents."""
