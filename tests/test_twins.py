@@ -12,3 +12,7 @@ SF = "/root/testdata/sf0.001"
 @pytest.mark.parametrize("name", ["topic_cube", "topic_rollup", "topic_grouping_sets", "topic_pivot"])
 def test_hard_topics(spark, name):
     assert compare(spark, name, QUERIES[name], ORACLES[name], SF).startswith("equal")
+
+
+def test_divergence_by_pandas_udf(spark):
+    assert compare(spark, "udf_kl", QUERIES["udf_kl"], ORACLES["udf_kl"], SF).startswith("equal")
