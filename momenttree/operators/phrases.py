@@ -2,14 +2,25 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from momenttree.functions import paths
-from momenttree.runtime import cut, stored
+from momenttree.functions import text as T
+from momenttree.operators.corpus import numbered
+from momenttree.runtime import cut, ship, stored
 
 #: A phrase table of at most so many rows is broadcast; a larger one is joined by shuffle.
 PHRASES_BROADCAST = 1_000_000
+#: Phrases, and shares of phrases in nodes, that are sent to the workers as arrays (12 and 18 bytes each); beyond, rows are joined.
+PHRASES_SENT, SHARES_SENT = 4_000_000, 4_000_000
+#: Words that a worker looks up at once.
+_WORDS_AT_ONCE = 200_000
 
 
 def grams(sentences: DataFrame, n: int) -> DataFrame:
@@ -21,44 +32,55 @@ def _runs(n: int) -> Column:
     return F.transform(F.sequence(F.lit(1), F.size("words") - n + 1), lambda i: F.array_join(F.slice("words", i, n), " "))
 
 
-#: Phrases up to this length are counted from the sentences again; longer ones from carried positions.
+#: Phrases up to this length are counted from the sentences, a length at a time; longer ones from stretches of frequent ones.
 RESCANNED = 4
 
 
 def mine_phrases(sentences: DataFrame, min_support: int, max_len: int | None = None) -> DataFrame:
     """phrase, n, support of every contiguous pattern that occurs min_support times.
 
-    A run of n words is a candidate only if both of its runs of n - 1 words are frequent.  While runs are short and
-    the frequent ones few enough to be sent to all tasks, each length rescans the sentences: two broadcast semi-joins
-    and one aggregation with partial sums, nothing else is shuffled.  Afterwards the positions of frequent runs, by
-    then few, are carried from length to length under a key of each sentence's row (repeated rows stay apart), and the
-    loop ends when none is left.
+    A run of n words is a candidate only if both of its runs of n - 1 words are frequent: each of the first lengths
+    rescans the sentences with two semi-joins and one aggregation with partial sums.  A frequent run of more than n words
+    lies within a stretch whose runs of n words are all frequent, so from there on only the distinct stretches are kept,
+    with the number of their places.  All runs of up to twice the length are counted in them at once, then they are cut
+    anew by the longest, and so on until nothing is left: rounds grow with the logarithm of the longest phrase.
     """
-    out, here, last, n = None, grams(sentences, 1), None, 1
-    carried = False
+    out, here, n = None, grams(sentences, 1), 1
     while True:
         counted = cut(here.groupBy("phrase").agg(F.count("*").alias("support")).where(F.col("support") >= min_support).select("phrase", F.lit(n).alias("n"), "support"))
         found = counted.count()
         if not found:
             break
         out = counted if out is None else out.union(counted)
-        n += 1
-        if max_len is not None and n > max_len:
-            break
         last = counted.select("phrase")
-        if not carried and n <= RESCANNED and found <= PHRASES_BROADCAST:
-            known = F.broadcast(last)
-            runs = grams(sentences, n).select("phrase", F.regexp_replace("phrase", " [^ ]*$", "").alias("head"), F.regexp_replace("phrase", "^[^ ]* ", "").alias("tail"))
-            here = runs.join(known.toDF("head"), "head", "left_semi").join(known.toDF("tail"), "tail", "left_semi").select("phrase")
-        else:
-            if not carried:
-                carried = True
-                rows = stored(sentences.select(F.monotonically_increasing_id().alias("row"), "words"), "sentence_rows")
-                here = rows.where(F.size("words") >= n - 1).select("row", F.posexplode(_runs(n - 1)).alias("pos", "phrase"))
-            kept = cut(here.join(last, "phrase", "left_semi"))
-            later = kept.select("row", (F.col("pos") - 1).alias("pos"), F.substring_index("phrase", " ", -1).alias("last"))
-            here = kept.join(later, ["row", "pos"]).select("row", "pos", F.concat_ws(" ", "phrase", "last").alias("phrase"))
-    return out if out is not None else here.limit(0).select("phrase", F.lit(1).alias("n"), F.lit(0).cast("bigint").alias("support"))
+        if n == max_len or n == RESCANNED:
+            break
+        n += 1
+        known = F.broadcast(last) if found <= PHRASES_BROADCAST else last
+        runs = grams(sentences, n).select("phrase", F.regexp_replace("phrase", " [^ ]*$", "").alias("head"), F.regexp_replace("phrase", "^[^ ]* ", "").alias("tail"))
+        here = runs.join(known.toDF("head"), "head", "left_semi").join(known.toDF("tail"), "tail", "left_semi").select("phrase")
+    if out is None:
+        return here.limit(0).select("phrase", F.lit(1).alias("n"), F.lit(0).cast("bigint").alias("support"))
+    rows = sentences.select("words", F.lit(1).cast("bigint").alias("places"))
+    while found and n != max_len:
+        rows = cut(_stretches(rows, F.broadcast(last) if found * n <= 4 * PHRASES_BROADCAST else last, n))
+        most = 2 * n if max_len is None else min(2 * n, max_len)
+        runs = F.flatten(F.transform(F.sequence(F.lit(n + 1), F.least(F.lit(most), F.size("words"))), lambda k: F.transform(F.sequence(F.lit(1), F.size("words") - k + 1), lambda i: F.struct(k.alias("n"), F.array_join(F.slice("words", i, k), " ").alias("phrase")))))
+        each = rows.select("places", F.explode(runs).alias("r")).groupBy("r.phrase", "r.n").agg(F.sum("places").alias("support"))
+        counted = cut(each.where(F.col("support") >= min_support).select("phrase", "n", "support"))
+        out, n = out.union(counted), most
+        last = counted.where(F.col("n") == n).select("phrase")
+        found = last.count()
+    return out
+
+
+def _stretches(rows: DataFrame, known: DataFrame, n: int) -> DataFrame:
+    """words, places: the distinct longest stretches of more than n words of rows in which every run of n words is known."""
+    kept = rows.where(F.size("words") > n).select(F.monotonically_increasing_id().alias("row"), "places", "words").select("row", "places", F.posexplode(_runs(n)).alias("pos", "phrase")).join(known, "phrase", "left_semi")
+    block = F.col("pos") - F.row_number().over(Window.partitionBy("row").orderBy("pos"))
+    runs = kept.withColumn("block", block).groupBy("row", "places", "block").agg(F.array_sort(F.collect_list(F.struct("pos", "phrase"))).alias("s")).where(F.size("s") > 1)
+    words = F.concat(F.split(F.col("s")[0]["phrase"], " "), F.transform(F.slice("s", F.lit(2), F.size("s") - 1), lambda x: F.substring_index(x["phrase"], " ", -1)))
+    return runs.select(words.alias("words"), "places").groupBy("words").agg(F.sum("places").alias("places"))
 
 
 def longest(phrases: DataFrame) -> int:
@@ -79,12 +101,19 @@ def complete(phrases: DataFrame, gamma: float = 0.9) -> DataFrame:
 
 
 def phraseness(phrases: DataFrame, n_tokens: float) -> DataFrame:
-    """phrase, n, support, z for n > 1: the least significance over all ways to split the phrase in two independent parts."""
-    parts = F.split("phrase", " ")
+    """phrase, n, support, z for n > 1: the least significance over all ways to split the phrase in two independent parts.
+
+    Parts are looked up by hash, which is exact where phrases hold the parts of every phrase, as mined ones do, and no
+    two of them share a hash; otherwise by their words.
+    """
+    words = F.split("phrase", " ")
     splits = phrases.where("n > 1").select("phrase", "n", "support", F.explode(F.expr("sequence(1, n - 1)")).alias("at"))
-    cutted = splits.select("phrase", "n", "support", F.array_join(F.slice(parts, F.lit(1), F.col("at")), " ").alias("left"), F.array_join(F.slice(parts, F.col("at") + 1, F.col("n")), " ").alias("right"))
-    known = phrases.select("phrase", "support")
-    joined = cutted.join(known.toDF("left", "fl"), "left").join(known.toDF("right", "fr"), "right")
+    left, right = F.array_join(F.slice(words, F.lit(1), F.col("at")), " "), F.array_join(F.slice(words, F.col("at") + 1, F.col("n") - F.col("at")), " ")
+    total, hashes = phrases.agg(F.count("*"), F.count_distinct(F.xxhash64("phrase"))).first()
+    key = F.xxhash64 if total == hashes else lambda x: x
+    known = phrases.select(key(F.col("phrase")).alias("key"), F.col("support").alias("f"))
+    known = F.broadcast(known) if total <= PHRASES_BROADCAST else known
+    joined = splits.select("phrase", "n", "support", key(left).alias("left"), key(right).alias("right")).join(known.toDF("left", "fl"), "left").join(known.toDF("right", "fr"), "right")
     expected = F.col("fl") * F.col("fr") / F.lit(float(n_tokens))
     return joined.groupBy("phrase", "n", "support").agg(F.min((F.col("support") - expected) / F.sqrt("support")).alias("z"))
 
@@ -108,17 +137,165 @@ def phrase_counts(sentences: DataFrame, phrases: DataFrame, max_len: int) -> Dat
     return sentences.select("doc_id", F.explode(F.concat(*runs)).alias("phrase")).join(known, "phrase", "left_semi").groupBy("doc_id", "phrase").agg(F.count("*").alias("c"))
 
 
+def by_document(docs: DataFrame) -> DataFrame:
+    """doc_id, sents (array of arrays of words): one stored row for each doc_id, whose rows, if several, are put together."""
+    sents = F.filter(F.transform(T.sentences(F.col("text")), T.words), lambda w: F.size(w) > 0)
+    made = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), sents.alias("sents"))
+    if not docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
+        made = made.groupBy("doc_id").agg(F.flatten(F.collect_list("sents")).alias("sents"))
+    return stored(made, "sentences")
+
+
+def sentences_of(by_doc: DataFrame) -> DataFrame:
+    """doc_id, sent_no, words, as corpus.sentence_rows, but for the numbers of sentences without words."""
+    return by_doc.select("doc_id", F.posexplode("sents").alias("sent_no", "words"))
+
+
+class Index:
+    """Numbers of mined phrases (ids: phrase, n, id) and arrays by which workers find them in texts.
+
+    phrases must hold the parts of every phrase.  A phrase of n words is known by the numbers of its first and its last
+    n - 1 words, so a text is looked up a length at a time, and only where the length before was found.
+    """
+
+    def __init__(self, phrases: DataFrame):
+        self.ids = cut(numbered(phrases.select("phrase", "n"), [F.col("n"), F.col("phrase")], "id"))
+        self.spark = phrases.sparkSession
+        ship(self.spark)
+        near = self.ids.select("phrase", "id")
+        pairs = self.ids.where("n > 1").select("id", "n", F.regexp_replace("phrase", " [^ ]*$", "").alias("head"), F.regexp_replace("phrase", "^[^ ]* ", "").alias("tail"))
+        table = pairs.join(near.toDF("head", "h"), "head").join(near.toDF("tail", "t"), "tail").select("id", "n", F.col("h").cast("bigint").alias("h"), F.col("t").cast("bigint").alias("t")).toArrow()
+        at, n, h, t = (table.column(c).to_numpy() for c in ("id", "n", "h", "t"))
+        single = self.ids.where("n = 1").select("id", "phrase").toArrow().sort_by("id")
+        self.size = len(at) + single.num_rows
+        levels = []
+        for k in range(2, int(n.max(initial=1)) + 1):
+            own = n == k
+            key = h[own] * self.size + t[own]
+            order = np.argsort(key)
+            levels.append((key[order], at[own][order].astype(np.int32)))
+        self.sent = self.spark.sparkContext.broadcast((single.column("phrase").to_pylist(), levels, self.size))
+
+
+def _found(batch: pa.RecordBatch, known: pa.Array, levels: list, size: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """first row, last row + 1, and of these the row (from 0), phrase and occurrences, a group of rows at a time."""
+    sents = batch.column(1)
+    ends = np.concatenate([[0], np.cumsum(pc.fill_null(pc.list_value_length(sents), 0).to_numpy(zero_copy_only=False))]).astype(np.int64)
+    inner = sents.flatten()
+    lengths = pc.list_value_length(inner).to_numpy(zero_copy_only=False).astype(np.int64)
+    word_ends = np.concatenate([[0], np.cumsum(lengths)])
+    words = inner.flatten()
+    starts = word_ends[ends]  # of each row among the words
+    first = 0
+    while first < batch.num_rows:
+        last = max(first + 1, int(np.searchsorted(starts, starts[first] + _WORDS_AT_ONCE, "right")) - 1)
+        a, b = int(starts[first]), int(starts[last])
+        found = pc.fill_null(pc.index_in(words.slice(a, b - a), value_set=known), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+        owner = np.repeat(np.arange(last - first), np.diff(starts[first : last + 1]))
+        closing = np.zeros(b - a + 1, bool)  # last words of sentences
+        closing[word_ends[ends[first] + 1 : ends[last] + 1] - a - 1] = True
+        pos = np.flatnonzero(found >= 0)
+        at = found[pos]
+        keys = [owner[pos] * size + at]
+        for k, (table, ids) in enumerate(levels):
+            pairs = np.flatnonzero(pos[1:] == pos[:-1] + 1)
+            if not k:
+                pairs = pairs[~closing[pos[pairs]]]
+            if not len(pairs) or not len(table):
+                break
+            key = at[pairs] * size + at[pairs + 1]
+            place = np.minimum(np.searchsorted(table, key), len(table) - 1)
+            hit = table[place] == key
+            pos, at = pos[pairs[hit]], ids[place[hit]].astype(np.int64)
+            keys.append(owner[pos] * size + at)
+        key, count = np.unique(np.concatenate(keys), return_counts=True)
+        yield first, last, key // size, key % size, count
+        first = last
+
+
+def counts_by_id(by_doc: DataFrame, index: Index) -> DataFrame:
+    """doc_id, id, c of every phrase of the index in every document, without a shuffle."""
+    sent = index.sent
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, levels, size = sent.value
+        known = pa.array(known, pa.string())
+        for batch in batches:
+            for first, last, row, phrase, count in _found(batch, known, levels, size):
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, last - first).take(pa.array(row)), pa.array(phrase, pa.int32()), pa.array(count)], ["doc_id", "id", "c"])
+
+    return by_doc.mapInArrow(run, "doc_id bigint, id int, c bigint")
+
+
+def counts_in_place(by_doc: DataFrame, phrases: DataFrame, mined: DataFrame | None = None) -> DataFrame:
+    """As phrase_counts, of the phrases among the mined ones (by default all of them)."""
+    mined = phrases if mined is None else mined
+    total = mined.count()
+    if total > PHRASES_SENT:
+        return phrase_counts(sentences_of(by_doc), phrases, longest(phrases))
+    index = Index(mined)
+    names = index.ids.select("id", "phrase")
+    if mined is not phrases:
+        names = names.join(phrases.select("phrase"), "phrase", "left_semi")
+    return counts_by_id(by_doc, index).join(F.broadcast(names) if total <= PHRASES_BROADCAST else names, "id").select("doc_id", "phrase", "c")
+
+
+def probability_in_place(by_doc: DataFrame, mined: DataFrame, phrases: DataFrame, shares: DataFrame, n_docs: int) -> DataFrame:
+    """As phrase_probability of the topical counts of phrases (those among the mined ones) with these shares (phrase, path, share).
+
+    A document's counts, their sums by node and their parts of them are made where the document is; what leaves a task is
+    one sum for each phrase and node.  Documents without a doc_id belong to no sum.
+    """
+    own = phrases.select("phrase", F.lit(paths.ROOT).alias("path"), F.lit(1.0).alias("share")).union(shares.select("phrase", "path", "share"))
+    own = cut(own)
+    rows = by_doc.where("doc_id is not null")
+    if mined.count() > PHRASES_SENT or own.count() > SHARES_SENT:
+        counts = phrase_counts(sentences_of(rows), phrases, longest(phrases))
+        return phrase_probability(counts.join(own, "phrase").select("doc_id", "path", "phrase", (F.col("c") * F.col("share")).alias("c")), n_docs)
+    index = Index(mined)
+    nodes = sorted(r.path for r in own.select("path").distinct().collect())
+    numbers = F.broadcast(index.spark.createDataFrame(list(enumerate(nodes)), "node int, path string"))
+    table = own.join(index.ids.select("phrase", "id"), "phrase").join(numbers, "path").select("id", "node", "share").toArrow().sort_by([("id", "ascending"), ("node", "ascending")])
+    at, node, share = (table.column(c).to_numpy() for c in ("id", "node", "share"))
+    begins = np.searchsorted(at, np.arange(index.size + 1)).astype(np.int64)
+    words, weights, width = index.sent, index.spark.sparkContext.broadcast((begins, node.astype(np.int16), share)), max(len(nodes), 1)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, levels, size = words.value
+        known = pa.array(known, pa.string())
+        begins, node, share = weights.value
+        sums, seen = np.zeros(len(share)), np.zeros(len(share), bool)
+        for batch in batches:
+            for _, _, row, phrase, count in _found(batch, known, levels, size):
+                many = begins[phrase + 1] - begins[phrase]
+                entry = np.repeat(begins[phrase] - np.cumsum(many) + many, many) + np.arange(many.sum())
+                c = np.repeat(count, many) * share[entry]
+                group = np.repeat(row, many) * width + node[entry]
+                total = np.bincount(group, c)[group] if len(group) else c
+                some = total > 0
+                entry, part = entry[some], c[some] / total[some]
+                np.add.at(sums, entry, part)
+                seen[entry] = True
+        entry = np.flatnonzero(seen)
+        phrase = np.searchsorted(begins, entry, "right") - 1
+        yield pa.RecordBatch.from_arrays([pa.array(phrase, pa.int32()), pa.array(node[entry], pa.int32()), pa.array(sums[entry])], ["id", "node", "p"])
+
+    summed = rows.mapInArrow(run, "id int, node int, p double").groupBy("id", "node").agg((F.sum("p") / n_docs).alias("p"))
+    return summed.join(numbers, "node").join(index.ids.select("id", "phrase"), "id").select("path", "phrase", "p")
+
+
 def phrase_posterior(phrases: DataFrame, words: DataFrame, nodes: DataFrame) -> DataFrame:
     """phrase, path, share: the posterior over each parent's children of a whole phrase, by the product of its words' probabilities.
 
     words: path, term, phi; nodes: path, parent, alpha of one level.  It does not depend on the document, so it is
     computed once for each phrase.  Products are sums of logarithms; a word that a topic lacks rules the topic out.
     """
-    terms = phrases.select("phrase", F.posexplode(F.split("phrase", " ")).alias("at", "term"))
+    terms = phrases.select("phrase", F.size(F.split("phrase", " ")).alias("size"), F.explode(F.split("phrase", " ")).alias("term"))
     topics = F.broadcast(nodes.select("path", "parent", "alpha"))  # a row for each node
-    scored = terms.join(words.where("phi > 0").select("path", "term", "phi"), "term").groupBy("phrase", "path").agg(F.sum(F.log("phi")).alias("lp"), F.count("*").alias("found"))
-    sizes = phrases.select("phrase", F.size(F.split("phrase", " ")).alias("size"))
-    possible = scored.join(sizes, "phrase").where("found = size").join(topics, "path").withColumn("lp", F.col("lp") + F.log("alpha"))
+    likely = words.where("phi > 0").select("path", "term", "phi")
+    likely = F.broadcast(likely) if likely.count() <= PHRASES_BROADCAST else likely
+    scored = terms.join(likely, "term").groupBy("phrase", "size", "path").agg(F.sum(F.log("phi")).alias("lp"), F.count("*").alias("found"))
+    possible = scored.where("found = size").join(topics, "path").withColumn("lp", F.col("lp") + F.log("alpha"))
     own = Window.partitionBy("phrase", "parent")
     weight = F.exp(F.col("lp") - F.max("lp").over(own))
     return possible.withColumn("weight", weight).select("phrase", "path", (F.col("weight") / F.sum("weight").over(own)).alias("share"))
@@ -170,14 +347,18 @@ def collapse_plurals(ranked: DataFrame) -> DataFrame:
     return best.withColumn("rank", F.row_number().over(Window.partitionBy("path").orderBy("rank"))).drop("key", "k").select(ranked.columns)
 
 
-def rank_tree(sentences: DataFrame, nodes: DataFrame, words: DataFrame, n_docs: int, *, min_support: int, max_len: int | None = None, top: int | None = None, by: str = "both") -> DataFrame:
+def rank_tree(by_doc: DataFrame, nodes: DataFrame, words: DataFrame, n_docs: int, *, min_support: int, max_len: int | None = None, top: int | None = None, by: str = "both", mined: DataFrame | None = None) -> DataFrame:
     """Phrases of a whole tree: mined, filtered by quality, counted by topic and ranked under every parent at once.
 
-    nodes: path, parent, alpha; words: path, term, phi.  Result as rank_phrases.
+    by_doc: as by_document gives it, or sentences (doc_id, sent_no, words); nodes: path, parent, alpha; words: path, term,
+    phi; mined: phrases that have been mined already.  Result as rank_phrases.
     """
+    if "sents" not in by_doc.columns:
+        by_doc = stored(by_doc.groupBy("doc_id").agg(F.collect_list("words").alias("sents")), "sentences")
+    sentences = sentences_of(by_doc)
     n_tokens = sentences.agg(F.sum(F.size("words"))).first()[0] or 0
-    known = cut(quality(mine_phrases(sentences, min_support, max_len), max(n_tokens, 1)))
-    counts = phrase_counts(sentences, known, longest(known))
+    mined = mine_phrases(sentences, min_support, max_len) if mined is None else mined
+    known = cut(quality(mined, max(n_tokens, 1)))
     height = nodes.agg(F.max(paths.level(F.col("path")))).first()[0] or 0
     shares = cut(phrase_posterior(known, words, nodes.where("parent is not null")))
-    return rank_phrases(cut(phrase_probability(topical_phrase_counts(counts, shares, height), n_docs)), top, by)
+    return rank_phrases(cut(probability_in_place(by_doc, mined, known, path_shares(shares, height), n_docs)), top, by)
