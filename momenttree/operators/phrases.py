@@ -12,13 +12,13 @@ from pyspark.sql import functions as F
 
 from momenttree.functions import paths
 from momenttree.functions import text as T
-from momenttree.operators.corpus import numbered
+from momenttree.operators.corpus import count_batches
 from momenttree.runtime import cut, ship, stored
 
 #: A phrase table of at most so many rows is broadcast; a larger one is joined by shuffle.
 PHRASES_BROADCAST = 1_000_000
-#: Phrases, and shares of phrases in nodes, that are sent to the workers as arrays (12 and 18 bytes each); beyond, rows are joined.
-PHRASES_SENT, SHARES_SENT = 4_000_000, 4_000_000
+#: Phrases, their words, and shares of phrases in nodes that are sent as arrays (12, 4 and 18 bytes each); beyond, rows are joined.
+PHRASES_SENT, CELLS_SENT, SHARES_SENT = 2_000_000, 40_000_000, 4_000_000
 #: Words that a worker looks up at once.
 _WORDS_AT_ONCE = 200_000
 
@@ -151,137 +151,258 @@ def sentences_of(by_doc: DataFrame) -> DataFrame:
     return by_doc.select("doc_id", F.posexplode("sents").alias("sent_no", "words"))
 
 
-class Index:
-    """Numbers of mined phrases (ids: phrase, n, id) and arrays by which workers find them in texts.
+class Mined:
+    """Frequent phrases (phrases: phrase, n, support, id), and codes (doc_id, codes): the words' ids, -1 for other words and after sentences.
 
-    phrases must hold the parts of every phrase.  A phrase of n words is known by the numbers of its first and its last
-    n - 1 words, so a text is looked up a length at a time, and only where the length before was found.
+    A phrase of m + d words, m a power of two and d of at most m, is known by the ids of its first and its last m words.
+    tables holds for each m and d the sorted pairs and the phrases' ids, so workers look codes up by numbers alone.
     """
 
-    def __init__(self, phrases: DataFrame):
-        self.ids = cut(numbered(phrases.select("phrase", "n"), [F.col("n"), F.col("phrase")], "id"))
-        self.spark = phrases.sparkSession
-        ship(self.spark)
-        near = self.ids.select("phrase", "id")
-        pairs = self.ids.where("n > 1").select("id", "n", F.regexp_replace("phrase", " [^ ]*$", "").alias("head"), F.regexp_replace("phrase", "^[^ ]* ", "").alias("tail"))
-        table = pairs.join(near.toDF("head", "h"), "head").join(near.toDF("tail", "t"), "tail").select("id", "n", F.col("h").cast("bigint").alias("h"), F.col("t").cast("bigint").alias("t")).toArrow()
-        at, n, h, t = (table.column(c).to_numpy() for c in ("id", "n", "h", "t"))
-        single = self.ids.where("n = 1").select("id", "phrase").toArrow().sort_by("id")
-        self.size = len(at) + single.num_rows
-        levels = []
-        for k in range(2, int(n.max(initial=1)) + 1):
-            own = n == k
-            key = h[own] * self.size + t[own]
-            order = np.argsort(key)
-            levels.append((key[order], at[own][order].astype(np.int32)))
-        self.sent = self.spark.sparkContext.broadcast((single.column("phrase").to_pylist(), levels, self.size))
-
-
-def _found(batch: pa.RecordBatch, known: pa.Array, levels: list, size: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
-    """first row, last row + 1, and of these the row (from 0), phrase and occurrences, a group of rows at a time."""
-    sents = batch.column(1)
-    ends = np.concatenate([[0], np.cumsum(pc.fill_null(pc.list_value_length(sents), 0).to_numpy(zero_copy_only=False))]).astype(np.int64)
-    inner = sents.flatten()
-    lengths = pc.list_value_length(inner).to_numpy(zero_copy_only=False).astype(np.int64)
-    word_ends = np.concatenate([[0], np.cumsum(lengths)])
-    words = inner.flatten()
-    starts = word_ends[ends]  # of each row among the words
-    first = 0
+    def __init__(self, by_doc: DataFrame, phrases: DataFrame, codes: DataFrame | None = None, tables: list | None = None, size: int = 0):
+        self.by_doc, self.phrases, self.codes, self.size = by_doc, phrases, codes, size
+        self.sent = by_doc.sparkSession.sparkContext.broadcast(tables) if codes is not None else None
+
+
+def _lookup(table: tuple[np.ndarray, np.ndarray], key: np.ndarray) -> np.ndarray:
+    """ids of keys, -1 for others."""
+    keys, ids = table
+    if not len(keys):
+        return np.full(len(key), -1, np.int64)
+    place = np.minimum(np.searchsorted(keys, key), len(keys) - 1)
+    return np.where(keys[place] == key, ids[place].astype(np.int64), -1)
+
+
+def _doubled(codes: np.ndarray, tables: list) -> np.ndarray:
+    """The id at each place of the run of 2 ** len(tables) words that begins there, or -1."""
+    at = codes.astype(np.int64)
+    for k, by_step in enumerate(tables):
+        m = 1 << k
+        own = np.flatnonzero((at[:-m] >= 0) & (at[m:] >= 0)) if len(at) > m else np.empty(0, np.int64)
+        longer = np.full(len(at), -1, np.int64)
+        if len(own):
+            longer[own] = _lookup(by_step[m - 1], (at[own] << 31) | at[own + m])
+        at = longer
+    return at
+
+
+def _chunks(batch: pa.RecordBatch, column: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """first row, last row + 1, codes and their rows (from 0), a group of rows at a time."""
+    lists = batch.column(column)
+    starts = np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]).astype(np.int64)
+    codes, first = lists.flatten().to_numpy(zero_copy_only=False), 0
     while first < batch.num_rows:
         last = max(first + 1, int(np.searchsorted(starts, starts[first] + _WORDS_AT_ONCE, "right")) - 1)
-        a, b = int(starts[first]), int(starts[last])
-        found = pc.fill_null(pc.index_in(words.slice(a, b - a), value_set=known), -1).to_numpy(zero_copy_only=False).astype(np.int64)
-        owner = np.repeat(np.arange(last - first), np.diff(starts[first : last + 1]))
-        closing = np.zeros(b - a + 1, bool)  # last words of sentences
-        closing[word_ends[ends[first] + 1 : ends[last] + 1] - a - 1] = True
-        pos = np.flatnonzero(found >= 0)
-        at = found[pos]
-        keys = [owner[pos] * size + at]
-        for k, (table, ids) in enumerate(levels):
-            pairs = np.flatnonzero(pos[1:] == pos[:-1] + 1)
-            if not k:
-                pairs = pairs[~closing[pos[pairs]]]
-            if not len(pairs) or not len(table):
-                break
-            key = at[pairs] * size + at[pairs + 1]
-            place = np.minimum(np.searchsorted(table, key), len(table) - 1)
-            hit = table[place] == key
-            pos, at = pos[pairs[hit]], ids[place[hit]].astype(np.int64)
-            keys.append(owner[pos] * size + at)
-        key, count = np.unique(np.concatenate(keys), return_counts=True)
-        yield first, last, key // size, key % size, count
+        yield first, last, codes[starts[first] : starts[last]], np.repeat(np.arange(last - first), np.diff(starts[first : last + 1]))
         first = last
 
 
-def counts_by_id(by_doc: DataFrame, index: Index) -> DataFrame:
-    """doc_id, id, c of every phrase of the index in every document, without a shuffle."""
-    sent = index.sent
+def _summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    order = np.argsort(keys, kind="stable")
+    keys = keys[order]
+    begins = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else np.empty(0, np.int64)
+    return keys[begins], np.add.reduceat(counts[order], begins) if len(keys) else counts
+
+
+def mine(by_doc: DataFrame, min_support: int, max_len: int | None = None) -> Mined:
+    """The phrases that mine_phrases finds, by numbers: each round doubles the length.
+
+    Words become ids once.  In a round at m words all runs of m + 1 to 2 m words whose first and last m words are frequent
+    are counted as pairs of ids; from four words on only the distinct stretches whose runs of four words are all frequent
+    are looked at, with the number of their places.  Where the phrases are too many to send, mine_phrases does it by rows.
+    """
+    spark = by_doc.sparkSession
+    ship(spark)
+    by_rows = lambda: Mined(by_doc, mine_phrases(sentences_of(by_doc), min_support, max_len))
+    parts = by_doc.select(F.flatten("sents").alias("words")).mapInArrow(count_batches, "term string, df bigint, tf bigint")
+    singles = cut(parts.groupBy("term").agg(F.sum("tf").alias("tf")).where(F.col("tf") >= min_support))
+    if singles.count() > PHRASES_BROADCAST:
+        return by_rows()
+    table = singles.toArrow().sort_by("term")
+    terms, supports, total = table.column("term").combine_chunks(), [table.column("tf").to_numpy()], table.num_rows
+    words, matrices = spark.sparkContext.broadcast(terms.to_pylist()), [np.arange(total, dtype=np.int32)[:, None]]
+    codes = stored(by_doc.mapInArrow(_encoder(words), "doc_id bigint, codes array<int>"), "codes")
+    rows, tables, cells = codes.select("codes", F.lit(1).cast("bigint").alias("places")), [], total
+    while matrices[-1].shape[0] and (most := (1 << len(tables)) if max_len is None else min(1 << len(tables), max_len - (1 << len(tables)))) > 0:
+        m = 1 << len(tables)
+        if m == 4:
+            found = rows.mapInArrow(_stretcher(spark.sparkContext.broadcast(tables)), "codes array<int>")
+            rows = stored(found.groupBy("codes").agg(F.count("*").alias("places")), "stretches")
+        pairs = rows.mapInArrow(_pairer(spark.sparkContext.broadcast(tables), most), "d int, h int, t int, c bigint")
+        counted = cut(pairs.groupBy("d", "h", "t").agg(F.sum("c").alias("c")).where(F.col("c") >= min_support))
+        sizes = {r.d: r.n for r in counted.groupBy("d").agg(F.count("*").alias("n")).collect()}
+        cells += sum((m + d) * n for d, n in sizes.items())
+        if total + sum(sizes.values()) > PHRASES_SENT or cells > CELLS_SENT:
+            return by_rows()
+        table = counted.toArrow()
+        d, h, t, c = (table.column(x).to_numpy() for x in ("d", "h", "t", "c"))
+        base, by_step, shorter = int(total - len(matrices[-1])), [], matrices[-1]
+        for step in range(1, m + 1):
+            own = np.flatnonzero(d == step)
+            key = (h[own].astype(np.int64) << 31) | t[own]
+            own, key = own[order := np.argsort(key)], key[order]
+            by_step.append((key, np.arange(total, total + len(own), dtype=np.int32)))
+            total += len(own)
+            supports.append(c[own])
+            matrices.append(np.hstack([shorter[h[own] - base], shorter[t[own] - base][:, m - step :]]))
+        tables.append(by_step)
+    made = [pa.table({"id": pa.array(np.arange(len(x)) + sum(len(y) for y in matrices[:k]), pa.int32()), "n": pa.array(np.full(len(x), x.shape[1]), pa.int32()), "support": pa.array(supports[k], pa.int64()), "words": pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * x.shape[1], pa.int32()), pa.array(x.ravel(), pa.int32()))}) for k, x in enumerate(matrices)]
+
+    def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = pa.array(words.value, pa.string())
+        for batch in batches:
+            lists = batch.column(3)
+            text = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]), pa.int32()), known.take(lists.flatten()))
+            yield pa.RecordBatch.from_arrays([pc.binary_join(text, " "), *batch.columns[1:3], batch.column(0)], ["phrase", "n", "support", "id"])
+
+    phrases = spark.createDataFrame(pa.concat_tables(made)).mapInArrow(named, "phrase string, n int, support bigint, id int")
+    return Mined(by_doc, cut(phrases), codes, tables, total)
+
+
+def _encoder(sent):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = pa.array(sent.value, pa.string())
+        for batch in batches:
+            sents = batch.column(1)
+            ends = np.concatenate([[0], np.cumsum(pc.fill_null(pc.list_value_length(sents), 0).to_numpy(zero_copy_only=False))]).astype(np.int64)
+            inner = sents.flatten()
+            lengths = pc.list_value_length(inner).to_numpy(zero_copy_only=False).astype(np.int64)
+            found = pc.fill_null(pc.index_in(inner.flatten(), value_set=known), -1).to_numpy(zero_copy_only=False)
+            codes = np.full(len(found) + len(lengths), -1, np.int32)
+            codes[np.arange(len(found)) + np.repeat(np.arange(len(lengths)), lengths)] = found
+            offsets = np.concatenate([[0], np.cumsum(lengths + 1)])[ends]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(codes))], ["doc_id", "codes"])
+
+    return run
+
+
+def _stretcher(sent):
+    """codes, one row for each longest stretch of more than m words whose runs of m words are all frequent, closed by -1."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, levels, size = sent.value
-        known = pa.array(known, pa.string())
+        tables = sent.value
+        m = 1 << len(tables)
         for batch in batches:
-            for first, last, row, phrase, count in _found(batch, known, levels, size):
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, last - first).take(pa.array(row)), pa.array(phrase, pa.int32()), pa.array(count)], ["doc_id", "id", "c"])
+            for _, _, codes, _ in _chunks(batch, 0):
+                there = np.concatenate([[False], _doubled(codes, tables) >= 0, [False]])
+                begins, ends = np.flatnonzero(there[1:] & ~there[:-1]), np.flatnonzero(~there[1:] & there[:-1])
+                begins, ends = (x[ends - begins > 1] for x in (begins, ends))
+                sizes = ends - begins + m  # the words and one -1
+                offsets = np.concatenate([[0], np.cumsum(sizes)])
+                out = codes[np.repeat(begins - offsets[:-1], sizes) + np.arange(offsets[-1])].astype(np.int32)
+                out[offsets[1:] - 1] = -1
+                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(out))], ["codes"])
 
-    return by_doc.mapInArrow(run, "doc_id bigint, id int, c bigint")
+    return run
 
 
-def counts_in_place(by_doc: DataFrame, phrases: DataFrame, mined: DataFrame | None = None) -> DataFrame:
-    """As phrase_counts, of the phrases among the mined ones (by default all of them)."""
-    mined = phrases if mined is None else mined
-    total = mined.count()
-    if total > PHRASES_SENT:
-        return phrase_counts(sentences_of(by_doc), phrases, longest(phrases))
-    index = Index(mined)
-    names = index.ids.select("id", "phrase")
-    if mined is not phrases:
+def _pairer(sent, most: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tables = sent.value
+        held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+        def out() -> Iterator[pa.RecordBatch]:
+            for step, (key, count) in held.items():
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), step), pa.int32()), pa.array(key >> 31, pa.int32()), pa.array(key & ((1 << 31) - 1), pa.int32()), pa.array(count, pa.int64())], ["d", "h", "t", "c"])
+
+        for batch in batches:
+            places = batch.column(1).to_numpy(zero_copy_only=False)
+            for first, last, codes, owner in _chunks(batch, 0):
+                at = _doubled(codes, tables)
+                there = np.flatnonzero(at >= 0)
+                for step in range(1, most + 1):
+                    own = there[there + step < len(at)]
+                    own = own[at[own + step] >= 0]
+                    key, count = _summed((at[own] << 31) | at[own + step], places[first:last][owner[own]])
+                    if step in held:
+                        key, count = _summed(np.concatenate([held[step][0], key]), np.concatenate([held[step][1], count]))
+                    if len(key):
+                        held[step] = key, count
+                if sum(len(k) for k, _ in held.values()) > 1_000_000:
+                    yield from out()
+                    held.clear()
+        yield from out()
+
+    return run
+
+
+def _found(batch: pa.RecordBatch, tables: list, size: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """first row, last row + 1, and of these the row (from 0), phrase and occurrences, a group of rows at a time."""
+    for first, last, codes, owner in _chunks(batch, 1):
+        at = codes.astype(np.int64)
+        own = np.flatnonzero(at >= 0)
+        keys = [owner[own] * size + at[own]]
+        for k, by_step in enumerate(tables):
+            longer = np.full(len(at), -1, np.int64)
+            there = np.flatnonzero(at >= 0)
+            for step, table in enumerate(by_step, 1):
+                own = there[there + step < len(at)]
+                own = own[at[own + step] >= 0]
+                ids = _lookup(table, (at[own] << 31) | at[own + step])
+                own, ids = own[ids >= 0], ids[ids >= 0]
+                keys.append(owner[own] * size + ids)
+                if step == 1 << k:
+                    longer[own] = ids
+            at = longer
+        key, count = np.unique(np.concatenate(keys), return_counts=True)
+        yield first, last, key // size, key % size, count
+
+
+def counts_in_place(mined: Mined, phrases: DataFrame | None = None) -> DataFrame:
+    """As phrase_counts, of these phrases among the mined ones (by default all of them), without a shuffle of texts."""
+    if mined.codes is None:
+        phrases = mined.phrases if phrases is None else phrases
+        return phrase_counts(sentences_of(mined.by_doc), phrases, longest(phrases))
+    sent, size = mined.sent, mined.size
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for first, last, row, phrase, count in _found(batch, sent.value, size):
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, last - first).take(pa.array(row)), pa.array(phrase, pa.int32()), pa.array(count, pa.int64())], ["doc_id", "id", "c"])
+
+    names = mined.phrases.select("id", "phrase")
+    if phrases is not None:
         names = names.join(phrases.select("phrase"), "phrase", "left_semi")
-    return counts_by_id(by_doc, index).join(F.broadcast(names) if total <= PHRASES_BROADCAST else names, "id").select("doc_id", "phrase", "c")
+    return mined.codes.mapInArrow(run, "doc_id bigint, id int, c bigint").join(F.broadcast(names) if size <= PHRASES_BROADCAST else names, "id").select("doc_id", "phrase", "c")
 
 
-def probability_in_place(by_doc: DataFrame, mined: DataFrame, phrases: DataFrame, shares: DataFrame, n_docs: int) -> DataFrame:
+def probability_in_place(mined: Mined, phrases: DataFrame, shares: DataFrame, n_docs: int) -> DataFrame:
     """As phrase_probability of the topical counts of phrases (those among the mined ones) with these shares (phrase, path, share).
 
     A document's counts, their sums by node and their parts of them are made where the document is; what leaves a task is
     one sum for each phrase and node.  Documents without a doc_id belong to no sum.
     """
-    own = phrases.select("phrase", F.lit(paths.ROOT).alias("path"), F.lit(1.0).alias("share")).union(shares.select("phrase", "path", "share"))
-    own = cut(own)
-    rows = by_doc.where("doc_id is not null")
-    if mined.count() > PHRASES_SENT or own.count() > SHARES_SENT:
-        counts = phrase_counts(sentences_of(rows), phrases, longest(phrases))
+    own = cut(phrases.select("phrase", F.lit(paths.ROOT).alias("path"), F.lit(1.0).alias("share")).union(shares.select("phrase", "path", "share")))
+    if mined.codes is None or own.count() > SHARES_SENT:
+        counts = counts_in_place(mined, phrases).where("doc_id is not null")
         return phrase_probability(counts.join(own, "phrase").select("doc_id", "path", "phrase", (F.col("c") * F.col("share")).alias("c")), n_docs)
-    index = Index(mined)
+    spark = own.sparkSession
     nodes = sorted(r.path for r in own.select("path").distinct().collect())
-    numbers = F.broadcast(index.spark.createDataFrame(list(enumerate(nodes)), "node int, path string"))
-    table = own.join(index.ids.select("phrase", "id"), "phrase").join(numbers, "path").select("id", "node", "share").toArrow().sort_by([("id", "ascending"), ("node", "ascending")])
+    numbers = F.broadcast(spark.createDataFrame(list(enumerate(nodes)), "node int, path string"))
+    table = own.join(mined.phrases.select("phrase", "id"), "phrase").join(numbers, "path").select("id", "node", "share").toArrow().sort_by([("id", "ascending"), ("node", "ascending")])
     at, node, share = (table.column(c).to_numpy() for c in ("id", "node", "share"))
-    begins = np.searchsorted(at, np.arange(index.size + 1)).astype(np.int64)
-    words, weights, width = index.sent, index.spark.sparkContext.broadcast((begins, node.astype(np.int16), share)), max(len(nodes), 1)
+    begins = np.searchsorted(at, np.arange(mined.size + 1)).astype(np.int64)
+    words, size, weights, width = mined.sent, mined.size, spark.sparkContext.broadcast((begins, node.astype(np.int16), share)), max(len(nodes), 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, levels, size = words.value
-        known = pa.array(known, pa.string())
         begins, node, share = weights.value
         sums, seen = np.zeros(len(share)), np.zeros(len(share), bool)
         for batch in batches:
-            for _, _, row, phrase, count in _found(batch, known, levels, size):
+            for _, _, row, phrase, count in _found(batch, words.value, size):
                 many = begins[phrase + 1] - begins[phrase]
                 entry = np.repeat(begins[phrase] - np.cumsum(many) + many, many) + np.arange(many.sum())
                 c = np.repeat(count, many) * share[entry]
                 group = np.repeat(row, many) * width + node[entry]
                 total = np.bincount(group, c)[group] if len(group) else c
                 some = total > 0
-                entry, part = entry[some], c[some] / total[some]
-                np.add.at(sums, entry, part)
+                entry = entry[some]
+                sums += np.bincount(entry, c[some] / total[some], len(share))
                 seen[entry] = True
         entry = np.flatnonzero(seen)
         phrase = np.searchsorted(begins, entry, "right") - 1
         yield pa.RecordBatch.from_arrays([pa.array(phrase, pa.int32()), pa.array(node[entry], pa.int32()), pa.array(sums[entry])], ["id", "node", "p"])
 
-    summed = rows.mapInArrow(run, "id int, node int, p double").groupBy("id", "node").agg((F.sum("p") / n_docs).alias("p"))
-    return summed.join(numbers, "node").join(index.ids.select("id", "phrase"), "id").select("path", "phrase", "p")
+    summed = mined.codes.where("doc_id is not null").mapInArrow(run, "id int, node int, p double").groupBy("id", "node").agg((F.sum("p") / n_docs).alias("p"))
+    return summed.join(numbers, "node").join(mined.phrases.select("id", "phrase"), "id").select("path", "phrase", "p")
 
 
 def phrase_posterior(phrases: DataFrame, words: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -347,18 +468,21 @@ def collapse_plurals(ranked: DataFrame) -> DataFrame:
     return best.withColumn("rank", F.row_number().over(Window.partitionBy("path").orderBy("rank"))).drop("key", "k").select(ranked.columns)
 
 
-def rank_tree(by_doc: DataFrame, nodes: DataFrame, words: DataFrame, n_docs: int, *, min_support: int, max_len: int | None = None, top: int | None = None, by: str = "both", mined: DataFrame | None = None) -> DataFrame:
+def n_tokens_of(by_doc: DataFrame) -> int:
+    """Words of all sentences, at least 1."""
+    return max(by_doc.agg(F.sum(F.size(F.flatten("sents")))).first()[0] or 0, 1)
+
+
+def rank_tree(rows: DataFrame | Mined, nodes: DataFrame, words: DataFrame, n_docs: int, *, min_support: int = 1, max_len: int | None = None, top: int | None = None, by: str = "both") -> DataFrame:
     """Phrases of a whole tree: mined, filtered by quality, counted by topic and ranked under every parent at once.
 
-    by_doc: as by_document gives it, or sentences (doc_id, sent_no, words); nodes: path, parent, alpha; words: path, term,
-    phi; mined: phrases that have been mined already.  Result as rank_phrases.
+    rows: as by_document gives them, or sentences (doc_id, sent_no, words), or what has been mined of them already;
+    nodes: path, parent, alpha; words: path, term, phi.  Result as rank_phrases.
     """
-    if "sents" not in by_doc.columns:
-        by_doc = stored(by_doc.groupBy("doc_id").agg(F.collect_list("words").alias("sents")), "sentences")
-    sentences = sentences_of(by_doc)
-    n_tokens = sentences.agg(F.sum(F.size("words"))).first()[0] or 0
-    mined = mine_phrases(sentences, min_support, max_len) if mined is None else mined
-    known = cut(quality(mined, max(n_tokens, 1)))
+    if isinstance(rows, DataFrame) and "sents" not in rows.columns:
+        rows = stored(rows.groupBy("doc_id").agg(F.collect_list("words").alias("sents")), "sentences")
+    mined = rows if isinstance(rows, Mined) else mine(rows, min_support, max_len)
+    known = cut(quality(mined.phrases, n_tokens_of(mined.by_doc)))
     height = nodes.agg(F.max(paths.level(F.col("path")))).first()[0] or 0
     shares = cut(phrase_posterior(known, words, nodes.where("parent is not null")))
-    return rank_phrases(cut(probability_in_place(by_doc, mined, known, path_shares(shares, height), n_docs)), top, by)
+    return rank_phrases(cut(probability_in_place(mined, known, path_shares(shares, height), n_docs)), top, by)

@@ -19,20 +19,23 @@ _GRAMS = " UNION ALL ".join(f"SELECT doc_id, array_to_string(list_slice(words, i
 MINED = f"{SENT}, grams AS ({_GRAMS}), phr AS (SELECT phrase, n, count(*) AS support FROM grams GROUP BY ALL HAVING count(*) >= {SUPPORT})"
 
 
-def _mined(spark: SparkSession, sf: str, most: int | None = MOST) -> tuple[DataFrame, DataFrame]:
-    by_doc = P.by_document(documents(spark, sf))  # scanned for every length
-    return by_doc, P.mine_phrases(P.sentences_of(by_doc), SUPPORT, most)
+def _mined(spark: SparkSession, sf: str, most: int | None = MOST) -> P.Mined:
+    return P.mine(P.by_document(documents(spark, sf)), SUPPORT, most)
+
+
+def _frequent(spark: SparkSession, sf: str, most: int | None = MOST) -> DataFrame:
+    return _mined(spark, sf, most).phrases.select("phrase", "n", "support")
 
 
 @query(f"WITH {MINED} SELECT phrase, n, support FROM phr")
 def frequent_phrases(spark: SparkSession, sf: str) -> DataFrame:
-    return _mined(spark, sf)[1]
+    return _frequent(spark, sf)
 
 
 @query()
 def frequent_phrases_whole(spark: SparkSession, sf: str) -> DataFrame:
     """Phrases of any length."""
-    return _mined(spark, sf, None)[1]
+    return _frequent(spark, sf, None)
 
 
 _RATIO = "longer AS (SELECT unnest([regexp_replace(phrase, ' [^ ]*$', ''), regexp_replace(phrase, '^[^ ]* ', '')]) AS phrase, support AS s FROM phr WHERE n > 1), ratios AS (SELECT p.phrase, n, support, coalesce(max(s), 0) * 1.0 / support AS ratio FROM phr p LEFT JOIN longer l ON l.phrase = p.phrase GROUP BY p.phrase, n, support)"
@@ -40,12 +43,12 @@ _RATIO = "longer AS (SELECT unnest([regexp_replace(phrase, ' [^ ]*$', ''), regex
 
 @query(f"WITH {MINED}, {_RATIO} SELECT phrase, {r6_sql('ratio')} AS ratio FROM ratios WHERE ratio < 0.9")
 def complete_phrases(spark: SparkSession, sf: str) -> DataFrame:
-    return _complete(_mined(spark, sf)[1])
+    return _complete(_frequent(spark, sf))
 
 
 @query()
 def complete_phrases_whole(spark: SparkSession, sf: str) -> DataFrame:
-    return _complete(_mined(spark, sf, None)[1])
+    return _complete(_frequent(spark, sf, None))
 
 
 def _complete(phrases: DataFrame) -> DataFrame:
@@ -54,20 +57,16 @@ def _complete(phrases: DataFrame) -> DataFrame:
 
 @query(f"WITH {MINED}, total AS (SELECT CAST(sum(len(words)) AS DOUBLE) AS t FROM sent), w AS (SELECT phrase, n, support, string_split(phrase, ' ') AS parts FROM phr WHERE n > 1), s AS (SELECT phrase, support, array_to_string(list_slice(parts, 1, k), ' ') AS a, array_to_string(list_slice(parts, k + 1, n), ' ') AS b FROM (SELECT *, unnest(range(1, n)) AS k FROM w)) SELECT s.phrase, {r6_sql('min((s.support - x.support * y.support / t) / sqrt(s.support))')} AS z FROM s JOIN phr x ON x.phrase = a JOIN phr y ON y.phrase = b CROSS JOIN total GROUP BY s.phrase")
 def phraseness(spark: SparkSession, sf: str) -> DataFrame:
-    return _phraseness(*_mined(spark, sf))
+    return _phraseness(_mined(spark, sf))
 
 
 @query()
 def phraseness_whole(spark: SparkSession, sf: str) -> DataFrame:
-    return _phraseness(*_mined(spark, sf, None))
-
-
-def _n_tokens(by_doc: DataFrame) -> int:
-    return max(P.sentences_of(by_doc).agg(F.sum(F.size("words"))).first()[0] or 0, 1)
+    return _phraseness(_mined(spark, sf, None))
 
 
-def _phraseness(by_doc: DataFrame, phrases: DataFrame) -> DataFrame:
-    return P.phraseness(phrases, _n_tokens(by_doc)).select("phrase", r6("z").alias("z"))
+def _phraseness(mined: P.Mined) -> DataFrame:
+    return P.phraseness(mined.phrases, P.n_tokens_of(mined.by_doc)).select("phrase", r6("z").alias("z"))
 
 
 _COUNTS = "counts AS (SELECT doc_id, phrase, count(*) AS c FROM grams JOIN phr USING (phrase) GROUP BY ALL)"
@@ -75,12 +74,12 @@ _COUNTS = "counts AS (SELECT doc_id, phrase, count(*) AS c FROM grams JOIN phr U
 
 @query(f"WITH {MINED}, {_COUNTS} SELECT doc_id, phrase, c FROM counts")
 def phrase_counts(spark: SparkSession, sf: str) -> DataFrame:
-    return P.counts_in_place(*_mined(spark, sf))
+    return P.counts_in_place(_mined(spark, sf))
 
 
 @query()
 def phrase_counts_whole(spark: SparkSession, sf: str) -> DataFrame:
-    return P.counts_in_place(*_mined(spark, sf, None))
+    return P.counts_in_place(_mined(spark, sf, None))
 
 
 #: Topics: languages; words: the frequent single words by their share in each.
@@ -91,34 +90,34 @@ _PROB = "tt AS (SELECT doc_id, path, sum(c) AS total FROM tc GROUP BY ALL HAVING
 _BASE = f"{MINED}, {_COUNTS}, {_TOPICS}, {_POST}, {_TOPICAL}, {_PROB}"
 
 
-def _words(by_doc: DataFrame, mined: DataFrame, member: DataFrame) -> DataFrame:
+def _words(mined: P.Mined, member: DataFrame) -> DataFrame:
     """path, term, phi: the frequent single words by their share in each node; member: doc_id, path."""
-    counts = P.counts_in_place(by_doc, mined.where("n = 1")).join(member.select("doc_id", "path"), "doc_id")
+    counts = P.counts_in_place(mined, mined.phrases.where("n = 1")).join(member.select("doc_id", "path"), "doc_id")
     summed = counts.groupBy("path", "phrase").agg(F.sum("c").alias("c"))
     return cut(summed.select("path", F.col("phrase").alias("term"), (F.col("c") / F.sum("c").over(Window.partitionBy("path"))).alias("phi")))
 
 
-def _topics(spark: SparkSession, sf: str, whole: bool = False) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame, DataFrame]:
-    """sentences by document, mined phrases, phrases, nodes, words (all but the first cut or stored: each is used several times).
+def _topics(spark: SparkSession, sf: str, whole: bool = False) -> tuple[P.Mined, DataFrame, DataFrame, DataFrame]:
+    """mined phrases, phrases, nodes, words (all cut or stored: each is used several times).
 
     whole: phrases of any length, of these the complete and significant ones; words are of all frequent single words still.
     """
-    by_doc, mined = _mined(spark, sf, None if whole else MOST)
-    phrases = cut(P.quality(mined, _n_tokens(by_doc))) if whole else mined
+    mined = _mined(spark, sf, None if whole else MOST)
+    phrases = cut(P.quality(mined.phrases, P.n_tokens_of(mined.by_doc))) if whole else mined.phrases
     docs = documents(spark, sf).where("lang is not null").select("doc_id", "lang")
     sizes = docs.groupBy("lang").agg(F.count("*").alias("n"))
     nodes = cut(sizes.select(F.concat(F.lit("o/"), F.row_number().over(Window.orderBy("lang")).cast("string")).alias("path"), F.lit("o").alias("parent"), "lang", (F.col("n") / F.sum("n").over(Window.partitionBy())).alias("alpha")))
-    return by_doc, mined, phrases, nodes, _words(by_doc, mined, docs.join(F.broadcast(nodes), "lang"))
+    return mined, phrases, nodes, _words(mined, docs.join(F.broadcast(nodes), "lang"))
 
 
 def _topical(spark: SparkSession, sf: str, whole: bool = False) -> DataFrame:
-    by_doc, mined, phrases, nodes, words = _topics(spark, sf, whole)
-    return P.topical_phrase_counts(P.counts_in_place(by_doc, phrases, mined), cut(P.phrase_posterior(phrases, words, nodes)))
+    mined, phrases, nodes, words = _topics(spark, sf, whole)
+    return P.topical_phrase_counts(P.counts_in_place(mined, phrases), cut(P.phrase_posterior(phrases, words, nodes)))
 
 
 def _probability(spark: SparkSession, sf: str, whole: bool = False) -> DataFrame:
-    by_doc, mined, phrases, nodes, words = _topics(spark, sf, whole)
-    return cut(P.probability_in_place(by_doc, mined, phrases, P.phrase_posterior(phrases, words, nodes), documents(spark, sf).count()))
+    mined, phrases, nodes, words = _topics(spark, sf, whole)
+    return cut(P.probability_in_place(mined, phrases, P.phrase_posterior(phrases, words, nodes), documents(spark, sf).count()))
 
 
 @query(f"WITH {_BASE} SELECT doc_id, path, phrase, {r6_sql('c')} AS c FROM tc")
@@ -200,7 +199,7 @@ _GOOD = f"{_Z}, {_RATIO}, good AS (SELECT phrase, n FROM ratios LEFT JOIN zs USI
 _DEEP = f"{MINED}, {_GOOD}, dn AS (SELECT doc_id, l1, l1 || '/' || CASE WHEN coalesce(n_chars, 0) >= {LONG_TEXT} THEN '2' ELSE '1' END AS l2 FROM (SELECT doc_id, n_chars, 'o/' || CAST(dense_rank() OVER (ORDER BY lang) AS VARCHAR) AS l1 FROM documents WHERE lang IS NOT NULL)), nd AS (SELECT l1 AS path, 'o' AS parent, count(*) * 1.0 / (SELECT count(*) FROM dn) AS alpha FROM dn GROUP BY 1 UNION ALL SELECT l2, l1, count(*) * 1.0 / (SELECT count(*) FROM dn) FROM dn GROUP BY 1, 2), c1 AS (SELECT doc_id, phrase AS term, count(*) AS c FROM grams JOIN phr USING (phrase) WHERE phr.n = 1 GROUP BY ALL), wd AS (SELECT path, term, CAST(sum(c) AS DOUBLE) / sum(sum(c)) OVER (PARTITION BY path) AS phi FROM (SELECT l1 AS path, term, c FROM c1 JOIN dn USING (doc_id) UNION ALL SELECT l2, term, c FROM c1 JOIN dn USING (doc_id)) GROUP BY path, term), counts AS (SELECT doc_id, phrase, count(*) AS c FROM grams JOIN good USING (phrase) GROUP BY ALL), lp AS (SELECT phrase, path, parent, sum(ln(phi)) + ln(any_value(alpha)) AS lp FROM (SELECT phrase, n, unnest(string_split(phrase, ' ')) AS term FROM good) JOIN wd USING (term) JOIN nd USING (path) GROUP BY phrase, path, parent, n HAVING count(*) = n), post AS (SELECT phrase, path, parent, exp(lp - m) / sum(exp(lp - m)) OVER (PARTITION BY phrase, parent) AS share FROM (SELECT *, max(lp) OVER (PARTITION BY phrase, parent) AS m FROM lp)), sh AS (SELECT phrase, path, share FROM post WHERE parent = 'o' UNION ALL SELECT b.phrase, b.path, b.share * a.share FROM post b JOIN post a ON a.phrase = b.phrase AND a.path = b.parent), {_TOPICAL.replace('JOIN post', 'JOIN sh')}, {_PROB}"
 
 
-def _deep_tree(spark: SparkSession, sf: str, by_doc: DataFrame, mined: DataFrame) -> tuple[DataFrame, DataFrame]:
+def _deep_tree(spark: SparkSession, sf: str, mined: P.Mined) -> tuple[DataFrame, DataFrame]:
     """nodes (path, parent, alpha) and words (path, term, phi) of the known tree of two levels."""
     docs = documents(spark, sf).where("lang is not null").select("doc_id", "lang", (F.coalesce("n_chars", F.lit(0)) >= LONG_TEXT).alias("long"))
     numbers = docs.select("lang").distinct().select("lang", F.row_number().over(Window.orderBy("lang")).cast("string").alias("k"))  # a row for each language
@@ -208,13 +207,13 @@ def _deep_tree(spark: SparkSession, sf: str, by_doc: DataFrame, mined: DataFrame
     member = cut(docs.join(F.broadcast(numbers), "lang").select("doc_id", first.alias("l1"), F.concat(first, F.when(F.col("long"), "/2").otherwise("/1")).alias("l2")))
     each = member.select("doc_id", F.explode(F.array(F.struct(F.col("l1").alias("path"), F.lit("o").alias("parent")), F.struct(F.col("l2").alias("path"), F.col("l1").alias("parent")))).alias("n")).select("doc_id", "n.*")
     nodes = cut(each.groupBy("path", "parent").agg((F.count("*") / member.count()).alias("alpha")))
-    return nodes, _words(by_doc, mined, each)
+    return nodes, _words(mined, each)
 
 
 def _hierarchy(spark: SparkSession, sf: str, most: int | None) -> DataFrame:
-    by_doc, mined = _mined(spark, sf, most)
-    nodes, words = _deep_tree(spark, sf, by_doc, mined)
-    ranked = P.rank_tree(by_doc, nodes, words, documents(spark, sf).count(), min_support=SUPPORT, top=20, mined=mined)
+    mined = _mined(spark, sf, most)
+    nodes, words = _deep_tree(spark, sf, mined)
+    ranked = P.rank_tree(mined, nodes, words, documents(spark, sf).count(), top=20)
     return ranked.select("path", "rank", "phrase", r6("p_topic", 1e4).alias("p_topic"), r6("p_parent", 1e4).alias("p_parent"), r6("score", 1e4).alias("score"))
 
 

@@ -48,22 +48,23 @@ def test_long_phrases_take_few_rounds(spark):
     rows = spark.createDataFrame([(k, 0, t) for k, t in enumerate(texts)], "doc_id bigint, sent_no int, words array<string>")
     want = Counter(" ".join(t[i : i + n]) for t in texts for n in range(1, len(t) + 1) for i in range(len(t) - n + 1))
     for most in (None, 7):
-        got = {r.phrase: (r.n, r.support) for r in P.mine_phrases(rows, 3, most).collect()}
-        assert got == {p: (p.count(" ") + 1, c) for p, c in want.items() if c >= 3 and (most is None or p.count(" ") < most)}
+        by_doc = rows.selectExpr("cast(doc_id AS bigint) AS doc_id", "array(words) AS sents")
+        got, by_rows = ({r.phrase: (r.n, r.support) for r in df.collect()} for df in (P.mine(by_doc, 3, most).phrases, P.mine_phrases(rows, 3, most)))
+        assert got == by_rows == {p: (p.count(" ") + 1, c) for p, c in want.items() if c >= 3 and (most is None or p.count(" ") < most)}
 
 
 def test_counts_and_probabilities_in_place(spark):
     """The same as by exploded rows; rows of one doc_id count together, rows without one in no document's sum."""
     docs = spark.createDataFrame([(1, "a b c. a b"), (1, "b c\na"), (2, None), (3, ""), (4, "c a b c!"), (None, "a b"), (5, "d")], "doc_id bigint, text string")
     by_doc = P.by_document(docs)
-    mined = P.mine_phrases(P.sentences_of(by_doc), 2)
-    some = mined.where("phrase <> 'b'")
+    mined = P.mine(by_doc, 2)
+    some = mined.phrases.where("phrase <> 'b'")
     rows = lambda df: {tuple(r) for r in df.collect()}
     counts = P.phrase_counts(P.sentences_of(by_doc), some, 3)
-    assert rows(P.counts_in_place(by_doc, some, mined)) == rows(counts)
+    assert rows(P.counts_in_place(mined, some)) == rows(counts)
     assert (1, "a", 3) in rows(counts) and (1, "b c", 2) in rows(counts)
     shares = spark.createDataFrame([("a", "o/1", 0.25), ("a", "o/2", 0.75), ("a b", "o/1", 1.0)], "phrase string, path string, share double")
     own = counts.where("doc_id is not null")
     want = P.phrase_probability(own.selectExpr("doc_id", "'o' AS path", "phrase", "double(c) AS c").union(own.join(shares, "phrase").selectExpr("doc_id", "path", "phrase", "c * share")), 6)
-    got = P.probability_in_place(by_doc, mined, some, shares, 6)
+    got = P.probability_in_place(mined, some, shares, 6)
     assert {(r.path, r.phrase): round(r.p, 9) for r in got.collect()} == {(r.path, r.phrase): round(r.p, 9) for r in want.collect()}
