@@ -128,6 +128,13 @@ def quality(phrases: DataFrame, n_tokens: float, gamma: float = 0.9, least: floa
     return complete(phrases, gamma).join(chance, "phrase", "left_anti").select("phrase", "n", "support")
 
 
+def good_of(mined: Mined, gamma: float = 0.9, least: float = SIGNIFICANT) -> DataFrame:
+    """As quality, of what has been mined."""
+    if mined.codes is None:
+        return quality(mined.phrases, n_tokens_of(mined.by_doc), gamma, least)
+    return mined.phrases.where((F.col("ratio") < gamma) & ((F.col("n") == 1) | (F.col("z") >= least))).select("phrase", "n", "support")
+
+
 def phrase_counts(sentences: DataFrame, phrases: DataFrame, max_len: int) -> DataFrame:
     """doc_id, phrase, c: all occurrences, overlapping ones too.  phrases is sent to all tasks if its checked size allows."""
     known = phrases.select("phrase")
@@ -152,7 +159,7 @@ def sentences_of(by_doc: DataFrame) -> DataFrame:
 
 
 class Mined:
-    """Frequent phrases (phrases: phrase, n, support, id), and codes (doc_id, codes): the words' ids, -1 for other words and after sentences.
+    """Frequent phrases (phrases: phrase, n, support, id, ratio, z as complete_ratio and phraseness give them), and codes (doc_id, codes): the words' ids, -1 for other words and after sentences.
 
     A phrase of m + d words, m a power of two and d of at most m, is known by the ids of its first and its last m words.
     tables holds for each m and d the sorted pairs and the phrases' ids, so workers look codes up by numbers alone.
@@ -245,19 +252,42 @@ def mine(by_doc: DataFrame, min_support: int, max_len: int | None = None) -> Min
             supports.append(c[own])
             matrices.append(np.hstack([shorter[h[own] - base], shorter[t[own] - base][:, m - step :]]))
         tables.append(by_step)
-    made = [pa.table({"id": pa.array(np.arange(len(x)) + sum(len(y) for y in matrices[:k]), pa.int32()), "n": pa.array(np.full(len(x), x.shape[1]), pa.int32()), "support": pa.array(supports[k], pa.int64()), "words": pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * x.shape[1], pa.int32()), pa.array(x.ravel(), pa.int32()))}) for k, x in enumerate(matrices)]
+    bases = np.concatenate([[0], np.cumsum([len(x) for x in matrices])])
+    ratio, z = _measures(matrices, bases, np.concatenate(supports).astype(np.float64), n_tokens_of(by_doc))
+    made = [pa.table({"id": pa.array(np.arange(len(x)) + base, pa.int32()), "n": pa.array(np.full(len(x), x.shape[1]), pa.int32()), "support": pa.array(supports[k], pa.int64()), "words": pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * x.shape[1], pa.int32()), pa.array(x.ravel(), pa.int32())), **{name: pa.array(values[base : base + len(x)]) for name, values in (("ratio", ratio), ("z", z))}}) for k, (x, base) in enumerate(zip(matrices, bases, strict=False))]
 
     def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = pa.array(words.value, pa.string())
         for batch in batches:
             lists = batch.column(3)
             text = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]), pa.int32()), known.take(lists.flatten()))
-            yield pa.RecordBatch.from_arrays([pc.binary_join(text, " "), *batch.columns[1:3], batch.column(0)], ["phrase", "n", "support", "id"])
+            yield pa.RecordBatch.from_arrays([pc.binary_join(text, " "), *batch.columns[1:3], batch.column(0), *batch.columns[4:]], ["phrase", "n", "support", "id", "ratio", "z"])
 
-    phrases = spark.createDataFrame(pa.concat_tables(made)).mapInArrow(named, "phrase string, n int, support bigint, id int")
+    phrases = spark.createDataFrame(pa.concat_tables(made)).mapInArrow(named, "phrase string, n int, support bigint, id int, ratio double, z double")
     return Mined(by_doc, cut(phrases), codes, tables, total)
 
 
+def _measures(matrices: list[np.ndarray], bases: np.ndarray, support: np.ndarray, n_tokens: int) -> tuple[np.ndarray, np.ndarray]:
+    """ratio and z of all phrases from the ids of their words (a matrix for each length): head and tail lead to every part."""
+    head, tail, most, z = (np.zeros(len(support), x) for x in (np.int32, np.int32, float, float))
+    for n in range(2, len(matrices) + 1):
+        x, own = matrices[n - 1], np.arange(bases[n - 1], bases[n])
+        if not len(x):
+            break
+        known = {row.tobytes(): k for k, row in enumerate(matrices[n - 2], int(bases[n - 2]))}
+        for side, part in ((head, x[:, :-1]), (tail, x[:, 1:])):
+            side[own] = [known[row.tobytes()] for row in part]
+            np.maximum.at(most, side[own], support[own])
+        rights, left, worst = [own], own, np.zeros(len(own))
+        for _ in range(n - 1):
+            rights.append(tail[rights[-1]])
+        for k in range(1, n):
+            left = head[left]
+            np.maximum(worst, support[left] * support[rights[n - k]], out=worst)
+        z[own] = (support[own] - worst / n_tokens) / np.sqrt(support[own])
+    return most / support, z
+
+
 def _encoder(sent):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = pa.array(sent.value, pa.string())
@@ -482,7 +512,7 @@ def rank_tree(rows: DataFrame | Mined, nodes: DataFrame, words: DataFrame, n_doc
     if isinstance(rows, DataFrame) and "sents" not in rows.columns:
         rows = stored(rows.groupBy("doc_id").agg(F.collect_list("words").alias("sents")), "sentences")
     mined = rows if isinstance(rows, Mined) else mine(rows, min_support, max_len)
-    known = cut(quality(mined.phrases, n_tokens_of(mined.by_doc)))
+    known = cut(good_of(mined))
     height = nodes.agg(F.max(paths.level(F.col("path")))).first()[0] or 0
     shares = cut(phrase_posterior(known, words, nodes.where("parent is not null")))
     return rank_phrases(cut(probability_in_place(mined, known, path_shares(shares, height), n_docs)), top, by)

@@ -43,16 +43,17 @@ _RATIO = "longer AS (SELECT unnest([regexp_replace(phrase, ' [^ ]*$', ''), regex
 
 @query(f"WITH {MINED}, {_RATIO} SELECT phrase, {r6_sql('ratio')} AS ratio FROM ratios WHERE ratio < 0.9")
 def complete_phrases(spark: SparkSession, sf: str) -> DataFrame:
-    return _complete(_frequent(spark, sf))
+    return _complete(_mined(spark, sf))
 
 
 @query()
 def complete_phrases_whole(spark: SparkSession, sf: str) -> DataFrame:
-    return _complete(_frequent(spark, sf, None))
+    return _complete(_mined(spark, sf, None))
 
 
-def _complete(phrases: DataFrame) -> DataFrame:
-    return P.complete_ratio(phrases).where("ratio < 0.9").select("phrase", r6("ratio").alias("ratio"))
+def _complete(mined: P.Mined) -> DataFrame:
+    measured = P.complete_ratio(mined.phrases) if mined.codes is None else mined.phrases
+    return measured.where("ratio < 0.9").select("phrase", r6("ratio").alias("ratio"))
 
 
 @query(f"WITH {MINED}, total AS (SELECT CAST(sum(len(words)) AS DOUBLE) AS t FROM sent), w AS (SELECT phrase, n, support, string_split(phrase, ' ') AS parts FROM phr WHERE n > 1), s AS (SELECT phrase, support, array_to_string(list_slice(parts, 1, k), ' ') AS a, array_to_string(list_slice(parts, k + 1, n), ' ') AS b FROM (SELECT *, unnest(range(1, n)) AS k FROM w)) SELECT s.phrase, {r6_sql('min((s.support - x.support * y.support / t) / sqrt(s.support))')} AS z FROM s JOIN phr x ON x.phrase = a JOIN phr y ON y.phrase = b CROSS JOIN total GROUP BY s.phrase")
@@ -66,7 +67,8 @@ def phraseness_whole(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _phraseness(mined: P.Mined) -> DataFrame:
-    return P.phraseness(mined.phrases, P.n_tokens_of(mined.by_doc)).select("phrase", r6("z").alias("z"))
+    measured = P.phraseness(mined.phrases, P.n_tokens_of(mined.by_doc)) if mined.codes is None else mined.phrases.where("n > 1")
+    return measured.select("phrase", r6("z").alias("z"))
 
 
 _COUNTS = "counts AS (SELECT doc_id, phrase, count(*) AS c FROM grams JOIN phr USING (phrase) GROUP BY ALL)"
@@ -103,7 +105,7 @@ def _topics(spark: SparkSession, sf: str, whole: bool = False) -> tuple[P.Mined,
     whole: phrases of any length, of these the complete and significant ones; words are of all frequent single words still.
     """
     mined = _mined(spark, sf, None if whole else MOST)
-    phrases = cut(P.quality(mined.phrases, P.n_tokens_of(mined.by_doc))) if whole else mined.phrases
+    phrases = cut(P.good_of(mined)) if whole else mined.phrases
     docs = documents(spark, sf).where("lang is not null").select("doc_id", "lang")
     sizes = docs.groupBy("lang").agg(F.count("*").alias("n"))
     nodes = cut(sizes.select(F.concat(F.lit("o/"), F.row_number().over(Window.orderBy("lang")).cast("string")).alias("path"), F.lit("o").alias("parent"), "lang", (F.col("n") / F.sum("n").over(Window.partitionBy())).alias("alpha")))

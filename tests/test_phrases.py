@@ -68,3 +68,13 @@ def test_counts_and_probabilities_in_place(spark):
     want = P.phrase_probability(own.selectExpr("doc_id", "'o' AS path", "phrase", "double(c) AS c").union(own.join(shares, "phrase").selectExpr("doc_id", "path", "phrase", "c * share")), 6)
     got = P.probability_in_place(mined, some, shares, 6)
     assert {(r.path, r.phrase): round(r.p, 9) for r in got.collect()} == {(r.path, r.phrase): round(r.p, 9) for r in want.collect()}
+
+
+def test_measures_of_mined_phrases(spark):
+    """ratio and z by numbers are those by rows."""
+    texts = ["a b c d e f"] * 5 + ["a b c"] * 4 + ["c d", "a c", "b d a b"] * 3
+    by_doc = P.by_document(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"))
+    mined, n = P.mine(by_doc, 2), P.n_tokens_of(by_doc)
+    rows = mined.phrases.collect()
+    assert {r.phrase: round(r.ratio, 9) for r in rows} == {r.phrase: round(r.ratio, 9) for r in P.complete_ratio(mined.phrases.select("phrase", "n", "support")).collect()}
+    assert {r.phrase: round(r.z, 9) for r in rows if r.n > 1} == {r.phrase: round(r.z, 9) for r in P.phraseness(mined.phrases.select("phrase", "n", "support"), n).collect()}
