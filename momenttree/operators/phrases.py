@@ -18,7 +18,7 @@ from momenttree.runtime import cut, ship, stored
 #: A phrase table of at most so many rows is broadcast; a larger one is joined by shuffle.
 PHRASES_BROADCAST = 1_000_000
 #: Phrases, their words, and shares of phrases in nodes that are sent as arrays (12, 4 and 18 bytes each); beyond, rows are joined.
-PHRASES_SENT, CELLS_SENT, SHARES_SENT = 2_000_000, 40_000_000, 4_000_000
+PHRASES_SENT, CELLS_SENT, SHARES_SENT = 2_000_000, 80_000_000, 4_000_000
 #: Words that a worker looks up at once.
 _WORDS_AT_ONCE = 200_000
 
