@@ -14,6 +14,7 @@ from momenttree.operators import moments as M
 from momenttree.operators import tree as TT
 from momenttree.queries import query
 from momenttree.queries.shared import LANG_SQL, bags_sql, lang_topics, lang_weights, long_prepared, prepared, r6, r6_sql
+from momenttree.runtime import stored
 from momenttree.sources import tables
 
 E6 = 1e6
@@ -65,6 +66,7 @@ def third_moment(spark: SparkSession, sf: str) -> DataFrame:
 @query("SELECT 1.0 AS m1, 1.0 AS e2, 1.0 AS e3")
 def moment_mass(spark: SparkSession, sf: str) -> DataFrame:
     _, bags, v = prepared(spark, sf, 200)
+    bags = stored(bags, "bags")  # scanned twice
     root = M.moments_of(bags, v)["o"]
     return spark.createDataFrame([(float(root.m1.sum()), float(root.e2.sum()), float(M.third_moment_dense(bags, v).sum()))], "m1 double, e2 double, e3 double").select(r6("m1").alias("m1"), r6("e2").alias("e2"), r6("e3").alias("e3"))
 

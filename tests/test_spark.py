@@ -73,6 +73,16 @@ def test_moments_by_counting_positions(small):
     assert np.allclose(got / parts.n_docs, X.multilinear(e3, q, q, q))
 
 
+def test_dense_third_moment_travels_as_arrays(spark, flat, monkeypatch):
+    """No entry of E3 becomes a row on its way to the driver."""
+    seen = []
+    scan = M._scan
+    monkeypatch.setattr(M, "_scan", lambda bags, kernel, ddl: seen.append(scan(bags, kernel, ddl)) or seen[-1])
+    e3 = M.third_moment_dense(flat[1], 30)
+    assert np.isclose(e3.sum(), 1) and np.allclose(e3, np.transpose(e3, (2, 0, 1))) and np.allclose(e3, np.transpose(e3, (1, 0, 2)))
+    assert seen[0].count() <= 31 * flat[1].rdd.getNumPartitions()
+
+
 def test_sparse_and_dense_pair_sums_agree(small, monkeypatch):
     _, bags = small
     dense = {(r.x1, r.x2): r.v for r in M.second_moment(bags, 4).collect()}
