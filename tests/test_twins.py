@@ -2,6 +2,7 @@
 
 import pytest
 from compare import compare
+from pyspark.errors import AnalysisException
 
 from momenttree.queries import ORACLES, QUERIES, load
 
@@ -16,3 +17,14 @@ def test_hard_topics(spark, name):
 
 def test_divergence_by_pandas_udf(spark):
     assert compare(spark, "udf_kl", QUERIES["udf_kl"], ORACLES["udf_kl"], SF).startswith("equal")
+
+
+MOVED = ["exact_recovery"]
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_moved_onto_given_tables(spark, name):
+    """The rows are those of the twin, and without tables there are none."""
+    assert compare(spark, name, QUERIES[name], ORACLES[name], SF).startswith("equal")
+    with pytest.raises(AnalysisException):
+        QUERIES[name](spark, "/tmp/no_such_tables").collect()
