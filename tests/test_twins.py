@@ -19,7 +19,7 @@ def test_divergence_by_pandas_udf(spark):
     assert compare(spark, "udf_kl", QUERIES["udf_kl"], ORACLES["udf_kl"], SF).startswith("equal")
 
 
-MOVED = ["exact_recovery", "collapse_prune", "topic_matching", "intrusion_questions", "intrusion_f1", "corpus_source_rows", "baseline_nested_partition"]
+MOVED = ["exact_recovery", "collapse_prune", "topic_matching", "intrusion_questions", "intrusion_f1", "corpus_source_rows", "baseline_nested_partition", "sql_surface"]
 
 
 @pytest.mark.parametrize("name", MOVED)
