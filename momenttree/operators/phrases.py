@@ -17,8 +17,8 @@ from momenttree.runtime import cut, ship, stored
 
 #: A phrase table of at most so many rows is broadcast; a larger one is joined by shuffle.
 PHRASES_BROADCAST = 1_000_000
-#: Phrases, their words, and shares of phrases in nodes that are sent as arrays (12, 4 and 18 bytes each); beyond, rows are joined.
-PHRASES_SENT, CELLS_SENT, SHARES_SENT = 2_000_000, 80_000_000, 4_000_000
+#: Phrases and shares of phrases in nodes that are sent as arrays (8 and 18 bytes each); beyond, rows are joined.
+PHRASES_SENT, SHARES_SENT = 5_000_000, 4_000_000
 #: Words that a worker looks up at once.
 _WORDS_AT_ONCE = 200_000
 
@@ -129,10 +129,10 @@ def quality(phrases: DataFrame, n_tokens: float, gamma: float = 0.9, least: floa
 
 
 def good_of(mined: Mined, gamma: float = 0.9, least: float = SIGNIFICANT) -> DataFrame:
-    """As quality, of what has been mined."""
+    """As quality, of what has been mined; with their ids where they have some."""
     if mined.codes is None:
         return quality(mined.phrases, n_tokens_of(mined.by_doc), gamma, least)
-    return mined.phrases.where((F.col("ratio") < gamma) & ((F.col("n") == 1) | (F.col("z") >= least))).select("phrase", "n", "support")
+    return mined.where((F.col("ratio") < gamma) & ((F.col("n") == 1) | (F.col("z") >= least))).select("phrase", "n", "support", "id")
 
 
 def phrase_counts(sentences: DataFrame, phrases: DataFrame, max_len: int) -> DataFrame:
@@ -162,21 +162,81 @@ class Mined:
     """Frequent phrases (phrases: phrase, n, support, id, ratio, z as complete_ratio and phraseness give them), and codes (doc_id, codes): the words' ids, -1 for other words and after sentences.
 
     A phrase of m + d words, m a power of two and d of at most m, is known by the ids of its first and its last m words.
-    tables holds for each m and d the sorted pairs and the phrases' ids, so workers look codes up by numbers alone.
+    tables holds for each m and d the sorted pairs and the first phrase's id, so workers look codes up by numbers alone.
+    measures has no texts: workers write them from the pairs where they are wanted (spelling), so no step holds or sends
+    the words of all phrases.
     """
 
-    def __init__(self, by_doc: DataFrame, phrases: DataFrame, codes: DataFrame | None = None, tables: list | None = None, size: int = 0):
-        self.by_doc, self.phrases, self.codes, self.size = by_doc, phrases, codes, size
+    def __init__(self, by_doc: DataFrame, phrases: DataFrame | None = None, codes: DataFrame | None = None, tables: list | None = None, size: int = 0, measures: DataFrame | None = None, spelling=None):
+        self.by_doc, self.codes, self.size, self.measures, self.spelling = by_doc, codes, size, measures, spelling
         self.sent = by_doc.sparkSession.sparkContext.broadcast(tables) if codes is not None else None
+        self.phrases = self._named(measures) if phrases is None else phrases
 
+    def where(self, condition: Column | str) -> DataFrame:
+        """phrases under a condition on n, support, ratio and z; only these are written out."""
+        return self.phrases.where(condition) if self.codes is None else self._named(self.measures.where(condition))
 
-def _lookup(table: tuple[np.ndarray, np.ndarray], key: np.ndarray) -> np.ndarray:
+    def _named(self, measures: DataFrame) -> DataFrame:
+        sent, spelling = self.sent, self.spelling
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                ids = batch.column(0).to_numpy()
+                for first, last in _pieces(_lengths(ids, sent.value)):
+                    part = batch.slice(first, last - first)
+                    yield pa.RecordBatch.from_arrays([_spelled(ids[first:last], sent.value, spelling.value), *part.columns[1:3], part.column(0), *part.columns[3:]], ["phrase", "n", "support", "id", "ratio", "z"])
+
+        return measures.mapInArrow(run, "phrase string, n int, support bigint, id int, ratio double, z double")
+
+
+def _starts(tables: list) -> np.ndarray:
+    """The first phrase's id of each number of words from 2 on."""
+    return np.array([start for by_step in tables for _, start in by_step], np.int64)
+
+
+def _lengths(ids: np.ndarray, tables: list) -> np.ndarray:
+    """Words of each phrase."""
+    return np.searchsorted(_starts(tables), ids, "right") + 1
+
+
+def _pieces(sizes: np.ndarray) -> list[tuple[int, int]]:
+    """first, last + 1 of groups in order, each of about _WORDS_AT_ONCE words."""
+    group = np.cumsum(sizes) // _WORDS_AT_ONCE
+    cuts = np.flatnonzero(group[1:] != group[:-1]) + 1
+    return [(int(a), int(b)) for a, b in zip([0, *cuts], [*cuts, len(sizes)], strict=True) if b > a]
+
+
+def _matrix(ids: np.ndarray, n: int, tables: list, powers: list[tuple[int, np.ndarray]]) -> np.ndarray:
+    """The words' ids of phrases of n words.  powers: first id and words of all phrases of 1, 2, 4, ... words."""
+    if n == 1:
+        return powers[0][1][ids]
+    k = (n - 1).bit_length() - 1
+    m, (base, shorter) = 1 << k, powers[k]
+    keys, start = tables[k][n - m - 1]
+    key = keys[ids - start]
+    return np.hstack([shorter[(key >> 31) - base], shorter[(key & ((1 << 31) - 1)) - base][:, 2 * m - n :]])
+
+
+def _spelled(ids: np.ndarray, tables: list, spelling: tuple[list[str], list]) -> pa.Array:
+    """The texts of phrases."""
+    words, powers = spelling
+    lengths = _lengths(ids, tables)
+    ends = np.cumsum(lengths)
+    codes = np.empty(int(ends[-1]) if len(ends) else 0, np.int32)
+    for n in np.unique(lengths):
+        own = np.flatnonzero(lengths == n)
+        codes[(ends[own] - n)[:, None] + np.arange(n)] = _matrix(ids[own], int(n), tables, powers)
+    lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(words, pa.string()).take(pa.array(codes)))
+    return pc.binary_join(lists, " ")
+
+
+def _lookup(table: tuple[np.ndarray, int], key: np.ndarray) -> np.ndarray:
     """ids of keys, -1 for others."""
-    keys, ids = table
+    keys, start = table
     if not len(keys):
         return np.full(len(key), -1, np.int64)
     place = np.minimum(np.searchsorted(keys, key), len(keys) - 1)
-    return np.where(keys[place] == key, ids[place].astype(np.int64), -1)
+    return np.where(keys[place] == key, place + start, -1)
 
 
 def _doubled(codes: np.ndarray, tables: list) -> np.ndarray:
@@ -226,59 +286,53 @@ def mine(by_doc: DataFrame, min_support: int, max_len: int | None = None) -> Min
         return by_rows()
     table = singles.toArrow().sort_by("term")
     terms, supports, total = table.column("term").combine_chunks(), [table.column("tf").to_numpy()], table.num_rows
-    words, matrices = spark.sparkContext.broadcast(terms.to_pylist()), [np.arange(total, dtype=np.int32)[:, None]]
-    codes = stored(by_doc.mapInArrow(_encoder(words), "doc_id bigint, codes array<int>"), "codes")
-    rows, tables, cells = codes.select("codes", F.lit(1).cast("bigint").alias("places")), [], total
-    while matrices[-1].shape[0] and (most := (1 << len(tables)) if max_len is None else min(1 << len(tables), max_len - (1 << len(tables)))) > 0:
+    words, powers = terms.to_pylist(), [(0, np.arange(total, dtype=np.int32)[:, None])]
+    codes = stored(by_doc.mapInArrow(_encoder(spark.sparkContext.broadcast(words)), "doc_id bigint, codes array<int>"), "codes")
+    rows, tables = codes.select("codes", F.lit(1).cast("bigint").alias("places")), []
+    while len(powers[-1][1]) and (most := (1 << len(tables)) if max_len is None else min(1 << len(tables), max_len - (1 << len(tables)))) > 0:
         m = 1 << len(tables)
         if m == 4:
             found = rows.mapInArrow(_stretcher(spark.sparkContext.broadcast(tables)), "codes array<int>")
             rows = stored(found.groupBy("codes").agg(F.count("*").alias("places")), "stretches")
         pairs = rows.mapInArrow(_pairer(spark.sparkContext.broadcast(tables), most), "d int, h int, t int, c bigint")
         counted = cut(pairs.groupBy("d", "h", "t").agg(F.sum("c").alias("c")).where(F.col("c") >= min_support))
-        sizes = {r.d: r.n for r in counted.groupBy("d").agg(F.count("*").alias("n")).collect()}
-        cells += sum((m + d) * n for d, n in sizes.items())
-        if total + sum(sizes.values()) > PHRASES_SENT or cells > CELLS_SENT:
+        if total + counted.count() > PHRASES_SENT:
             return by_rows()
         table = counted.toArrow()
         d, h, t, c = (table.column(x).to_numpy() for x in ("d", "h", "t", "c"))
-        base, by_step, shorter = int(total - len(matrices[-1])), [], matrices[-1]
+        by_step = []
         for step in range(1, m + 1):
             own = np.flatnonzero(d == step)
             key = (h[own].astype(np.int64) << 31) | t[own]
             own, key = own[order := np.argsort(key)], key[order]
-            by_step.append((key, np.arange(total, total + len(own), dtype=np.int32)))
+            by_step.append((key, total))
             total += len(own)
             supports.append(c[own])
-            matrices.append(np.hstack([shorter[h[own] - base], shorter[t[own] - base][:, m - step :]]))
         tables.append(by_step)
-    bases = np.concatenate([[0], np.cumsum([len(x) for x in matrices])])
-    ratio, z = _measures(matrices, bases, np.concatenate(supports).astype(np.float64), n_tokens_of(by_doc))
-    made = [pa.table({"id": pa.array(np.arange(len(x)) + base, pa.int32()), "n": pa.array(np.full(len(x), x.shape[1]), pa.int32()), "support": pa.array(supports[k], pa.int64()), "words": pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * x.shape[1], pa.int32()), pa.array(x.ravel(), pa.int32())), **{name: pa.array(values[base : base + len(x)]) for name, values in (("ratio", ratio), ("z", z))}}) for k, (x, base) in enumerate(zip(matrices, bases, strict=False))]
-
-    def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = pa.array(words.value, pa.string())
-        for batch in batches:
-            lists = batch.column(3)
-            text = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]), pa.int32()), known.take(lists.flatten()))
-            yield pa.RecordBatch.from_arrays([pc.binary_join(text, " "), *batch.columns[1:3], batch.column(0), *batch.columns[4:]], ["phrase", "n", "support", "id", "ratio", "z"])
+        start = by_step[-1][1]
+        powers.append((start, _matrix(np.arange(start, total), 2 * m, tables, powers)))
+    support = np.concatenate(supports)
+    ratio, z = _measures(tables, powers, support.astype(np.float64), n_tokens_of(by_doc))
+    ids = np.arange(total, dtype=np.int32)
+    made = pa.table({"id": ids, "n": _lengths(ids, tables).astype(np.int32), "support": support, "ratio": ratio, "z": z})
+    return Mined(by_doc, None, codes, tables, total, cut(spark.createDataFrame(made)), spark.sparkContext.broadcast((words, powers)))
 
-    phrases = spark.createDataFrame(pa.concat_tables(made)).mapInArrow(named, "phrase string, n int, support bigint, id int, ratio double, z double")
-    return Mined(by_doc, cut(phrases), codes, tables, total)
 
-
-def _measures(matrices: list[np.ndarray], bases: np.ndarray, support: np.ndarray, n_tokens: int) -> tuple[np.ndarray, np.ndarray]:
-    """ratio and z of all phrases from the ids of their words (a matrix for each length): head and tail lead to every part."""
+def _measures(tables: list, powers: list, support: np.ndarray, n_tokens: int) -> tuple[np.ndarray, np.ndarray]:
+    """ratio and z of all phrases from the ids of their words, a length at a time: head and tail lead to every part."""
     head, tail, most, z = (np.zeros(len(support), x) for x in (np.int32, np.int32, float, float))
-    for n in range(2, len(matrices) + 1):
-        x, own = matrices[n - 1], np.arange(bases[n - 1], bases[n])
-        if not len(x):
+    starts = [0, *_starts(tables).tolist(), len(support)]
+    shorter = powers[0][1]
+    for n in range(2, len(starts)):
+        own = np.arange(starts[n - 1], starts[n])
+        if not len(own):
             break
-        known = {row.tobytes(): k for k, row in enumerate(matrices[n - 2], int(bases[n - 2]))}
+        x = _matrix(own, n, tables, powers)
+        known = {row.tobytes(): k for k, row in enumerate(shorter, starts[n - 2])}
         for side, part in ((head, x[:, :-1]), (tail, x[:, 1:])):
             side[own] = [known[row.tobytes()] for row in part]
             np.maximum.at(most, side[own], support[own])
-        rights, left, worst = [own], own, np.zeros(len(own))
+        rights, left, worst, shorter = [own], own, np.zeros(len(own)), x
         for _ in range(n - 1):
             rights.append(tail[rights[-1]])
         for k in range(1, n):
@@ -355,13 +409,26 @@ def _pairer(sent, most: int):
     return run
 
 
-def _found(batch: pa.RecordBatch, tables: list, size: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
-    """first row, last row + 1, and of these the row (from 0), phrase and occurrences, a group of rows at a time."""
+def _found(batch: pa.RecordBatch, tables: list, size: int, wanted: np.ndarray | None = None) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """first row, last row + 1, and of these the row (from 0), phrase and occurrences, a group of rows at a time.
+
+    wanted: of each phrase whether it is to be found; ids grow with length, so no run longer than theirs is looked up.
+    """
+    last_id = size if wanted is None else int(np.flatnonzero(wanted)[-1]) if wanted.any() else -1
     for first, last, codes, owner in _chunks(batch, 1):
         at = codes.astype(np.int64)
         own = np.flatnonzero(at >= 0)
-        keys = [owner[own] * size + at[own]]
+        keys = []
+
+        def add(own: np.ndarray, ids: np.ndarray) -> None:
+            if wanted is not None:
+                own, ids = own[wanted[ids]], ids[wanted[ids]]
+            keys.append(owner[own] * size + ids)  # noqa: B023
+
+        add(own, at[own])
         for k, by_step in enumerate(tables):
+            if by_step[0][1] > last_id:
+                break
             longer = np.full(len(at), -1, np.int64)
             there = np.flatnonzero(at >= 0)
             for step, table in enumerate(by_step, 1):
@@ -369,7 +436,7 @@ def _found(batch: pa.RecordBatch, tables: list, size: int) -> Iterator[tuple[int
                 own = own[at[own + step] >= 0]
                 ids = _lookup(table, (at[own] << 31) | at[own + step])
                 own, ids = own[ids >= 0], ids[ids >= 0]
-                keys.append(owner[own] * size + ids)
+                add(own, ids)
                 if step == 1 << k:
                     longer[own] = ids
             at = longer
@@ -377,22 +444,33 @@ def _found(batch: pa.RecordBatch, tables: list, size: int) -> Iterator[tuple[int
         yield first, last, key // size, key % size, count
 
 
+def _ids(mined: Mined, phrases: DataFrame) -> DataFrame:
+    """id, phrase of phrases among the mined ones; good_of, Mined.where and Mined.phrases give the ids along."""
+    if "id" in phrases.columns:
+        return phrases.select("id", "phrase")
+    return mined.phrases.select("id", "phrase").join(phrases.select("phrase"), "phrase", "left_semi")
+
+
 def counts_in_place(mined: Mined, phrases: DataFrame | None = None) -> DataFrame:
     """As phrase_counts, of these phrases among the mined ones (by default all of them), without a shuffle of texts."""
     if mined.codes is None:
         phrases = mined.phrases if phrases is None else phrases
         return phrase_counts(sentences_of(mined.by_doc), phrases, longest(phrases))
-    sent, size = mined.sent, mined.size
+    sent, size, spelling, wanted = mined.sent, mined.size, mined.spelling, None
+    if phrases is not None:
+        mask = np.zeros(size, bool)
+        mask[_ids(mined, phrases).select("id").toArrow().column("id").to_numpy()] = True
+        wanted = phrases.sparkSession.sparkContext.broadcast(mask)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for first, last, row, phrase, count in _found(batch, sent.value, size):
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, last - first).take(pa.array(row)), pa.array(phrase, pa.int32()), pa.array(count, pa.int64())], ["doc_id", "id", "c"])
+            for first, last, row, phrase, count in _found(batch, sent.value, size, wanted and wanted.value):
+                docs = batch.column(0).slice(first, last - first)
+                for a, b in _pieces(_lengths(phrase, sent.value)):
+                    own, place = np.unique(phrase[a:b], return_inverse=True)
+                    yield pa.RecordBatch.from_arrays([docs.take(pa.array(row[a:b])), _spelled(own, sent.value, spelling.value).take(pa.array(place)), pa.array(count[a:b], pa.int64())], ["doc_id", "phrase", "c"])
 
-    names = mined.phrases.select("id", "phrase")
-    if phrases is not None:
-        names = names.join(phrases.select("phrase"), "phrase", "left_semi")
-    return mined.codes.mapInArrow(run, "doc_id bigint, id int, c bigint").join(F.broadcast(names) if size <= PHRASES_BROADCAST else names, "id").select("doc_id", "phrase", "c")
+    return mined.codes.mapInArrow(run, "doc_id bigint, phrase string, c bigint")
 
 
 def probability_in_place(mined: Mined, phrases: DataFrame, shares: DataFrame, n_docs: int) -> DataFrame:
@@ -408,16 +486,17 @@ def probability_in_place(mined: Mined, phrases: DataFrame, shares: DataFrame, n_
     spark = own.sparkSession
     nodes = sorted(r.path for r in own.select("path").distinct().collect())
     numbers = F.broadcast(spark.createDataFrame(list(enumerate(nodes)), "node int, path string"))
-    table = own.join(mined.phrases.select("phrase", "id"), "phrase").join(numbers, "path").select("id", "node", "share").toArrow().sort_by([("id", "ascending"), ("node", "ascending")])
+    names = _ids(mined, phrases)
+    table = own.join(names, "phrase").join(numbers, "path").select("id", "node", "share").toArrow().sort_by([("id", "ascending"), ("node", "ascending")])
     at, node, share = (table.column(c).to_numpy() for c in ("id", "node", "share"))
     begins = np.searchsorted(at, np.arange(mined.size + 1)).astype(np.int64)
     words, size, weights, width = mined.sent, mined.size, spark.sparkContext.broadcast((begins, node.astype(np.int16), share)), max(len(nodes), 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         begins, node, share = weights.value
-        sums, seen = np.zeros(len(share)), np.zeros(len(share), bool)
+        sums, seen, wanted = np.zeros(len(share)), np.zeros(len(share), bool), begins[1:] > begins[:-1]
         for batch in batches:
-            for _, _, row, phrase, count in _found(batch, words.value, size):
+            for _, _, row, phrase, count in _found(batch, words.value, size, wanted):
                 many = begins[phrase + 1] - begins[phrase]
                 entry = np.repeat(begins[phrase] - np.cumsum(many) + many, many) + np.arange(many.sum())
                 c = np.repeat(count, many) * share[entry]
@@ -432,7 +511,7 @@ def probability_in_place(mined: Mined, phrases: DataFrame, shares: DataFrame, n_
         yield pa.RecordBatch.from_arrays([pa.array(phrase, pa.int32()), pa.array(node[entry], pa.int32()), pa.array(sums[entry])], ["id", "node", "p"])
 
     summed = mined.codes.where("doc_id is not null").mapInArrow(run, "id int, node int, p double").groupBy("id", "node").agg((F.sum("p") / n_docs).alias("p"))
-    return summed.join(numbers, "node").join(mined.phrases.select("id", "phrase"), "id").select("path", "phrase", "p")
+    return summed.join(numbers, "node").join(names, "id").select("path", "phrase", "p")
 
 
 def phrase_posterior(phrases: DataFrame, words: DataFrame, nodes: DataFrame) -> DataFrame:

@@ -52,8 +52,8 @@ def complete_phrases_whole(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _complete(mined: P.Mined) -> DataFrame:
-    measured = P.complete_ratio(mined.phrases) if mined.codes is None else mined.phrases
-    return measured.where("ratio < 0.9").select("phrase", r6("ratio").alias("ratio"))
+    measured = P.complete_ratio(mined.phrases).where("ratio < 0.9") if mined.codes is None else mined.where("ratio < 0.9")
+    return measured.select("phrase", r6("ratio").alias("ratio"))
 
 
 @query(f"WITH {MINED}, total AS (SELECT CAST(sum(len(words)) AS DOUBLE) AS t FROM sent), w AS (SELECT phrase, n, support, string_split(phrase, ' ') AS parts FROM phr WHERE n > 1), s AS (SELECT phrase, support, array_to_string(list_slice(parts, 1, k), ' ') AS a, array_to_string(list_slice(parts, k + 1, n), ' ') AS b FROM (SELECT *, unnest(range(1, n)) AS k FROM w)) SELECT s.phrase, {r6_sql('min((s.support - x.support * y.support / t) / sqrt(s.support))')} AS z FROM s JOIN phr x ON x.phrase = a JOIN phr y ON y.phrase = b CROSS JOIN total GROUP BY s.phrase")
@@ -67,7 +67,7 @@ def phraseness_whole(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _phraseness(mined: P.Mined) -> DataFrame:
-    measured = P.phraseness(mined.phrases, P.n_tokens_of(mined.by_doc)) if mined.codes is None else mined.phrases.where("n > 1")
+    measured = P.phraseness(mined.phrases, P.n_tokens_of(mined.by_doc)) if mined.codes is None else mined.where("n > 1")
     return measured.select("phrase", r6("z").alias("z"))
 
 
@@ -94,7 +94,7 @@ _BASE = f"{MINED}, {_COUNTS}, {_TOPICS}, {_POST}, {_TOPICAL}, {_PROB}"
 
 def _words(mined: P.Mined, member: DataFrame) -> DataFrame:
     """path, term, phi: the frequent single words by their share in each node; member: doc_id, path."""
-    counts = P.counts_in_place(mined, mined.phrases.where("n = 1")).join(member.select("doc_id", "path"), "doc_id")
+    counts = P.counts_in_place(mined, mined.where("n = 1")).join(member.select("doc_id", "path"), "doc_id")
     summed = counts.groupBy("path", "phrase").agg(F.sum("c").alias("c"))
     return cut(summed.select("path", F.col("phrase").alias("term"), (F.col("c") / F.sum("c").over(Window.partitionBy("path"))).alias("phi")))
 

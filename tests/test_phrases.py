@@ -78,3 +78,15 @@ def test_measures_of_mined_phrases(spark):
     rows = mined.phrases.collect()
     assert {r.phrase: round(r.ratio, 9) for r in rows} == {r.phrase: round(r.ratio, 9) for r in P.complete_ratio(mined.phrases.select("phrase", "n", "support")).collect()}
     assert {r.phrase: round(r.z, 9) for r in rows if r.n > 1} == {r.phrase: round(r.z, 9) for r in P.phraseness(mined.phrases.select("phrase", "n", "support"), n).collect()}
+
+
+def test_words_of_phrases_are_written_where_they_are_wanted(spark):
+    """85M words in 320,400 phrases: still by numbers, and only the phrases asked for are spelled."""
+    line = [f"{chr(97 + k % 26)}{chr(97 + k // 26 % 26)}{chr(97 + k // 676)}" for k in range(800)]
+    by_doc = P.by_document(spark.createDataFrame([(k, " ".join(line)) for k in range(2)], "doc_id bigint, text string"))
+    mined = P.mine(by_doc, 2)
+    assert mined.codes is not None and mined.size == mined.measures.where("support = 2").count() == 800 * 801 // 2
+    for n in (1, 2, 513, 799, 800):
+        assert {r.phrase for r in mined.where(f"n = {n}").collect()} == {" ".join(line[i : i + n]) for i in range(801 - n)}
+    assert {r.phrase for r in mined.where("ratio < 1").collect()} == {" ".join(line)}
+    assert {(r.doc_id, r.phrase, r.c) for r in P.counts_in_place(mined, mined.where("n = 799")).collect()} == {(k, " ".join(line[i : i + 799]), 1) for k in range(2) for i in range(2)}
