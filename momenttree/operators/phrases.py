@@ -519,16 +519,19 @@ def phrase_posterior(phrases: DataFrame, words: DataFrame, nodes: DataFrame) ->
 
     words: path, term, phi; nodes: path, parent, alpha of one level.  It does not depend on the document, so it is
     computed once for each phrase.  Products are sums of logarithms; a word that a topic lacks rules the topic out.
+    Where phrases have ids, a word's row carries the id and not the phrase, which may be thousands of words long.
     """
-    terms = phrases.select("phrase", F.size(F.split("phrase", " ")).alias("size"), F.explode(F.split("phrase", " ")).alias("term"))
+    key = "id" if "id" in phrases.columns else "phrase"
+    terms = phrases.select(key, F.size(F.split("phrase", " ")).alias("size"), F.explode(F.split("phrase", " ")).alias("term"))
     topics = F.broadcast(nodes.select("path", "parent", "alpha"))  # a row for each node
     likely = words.where("phi > 0").select("path", "term", "phi")
     likely = F.broadcast(likely) if likely.count() <= PHRASES_BROADCAST else likely
-    scored = terms.join(likely, "term").groupBy("phrase", "size", "path").agg(F.sum(F.log("phi")).alias("lp"), F.count("*").alias("found"))
+    scored = terms.join(likely, "term").groupBy(key, "size", "path").agg(F.sum(F.log("phi")).alias("lp"), F.count("*").alias("found"))
     possible = scored.where("found = size").join(topics, "path").withColumn("lp", F.col("lp") + F.log("alpha"))
-    own = Window.partitionBy("phrase", "parent")
+    own = Window.partitionBy(key, "parent")
     weight = F.exp(F.col("lp") - F.max("lp").over(own))
-    return possible.withColumn("weight", weight).select("phrase", "path", (F.col("weight") / F.sum("weight").over(own)).alias("share"))
+    shares = possible.withColumn("weight", weight).select(key, "path", (F.col("weight") / F.sum("weight").over(own)).alias("share"))
+    return (shares.join(phrases.select("id", "phrase"), "id") if key == "id" else shares).select("phrase", "path", "share")
 
 
 def path_shares(posterior: DataFrame, height: int) -> DataFrame:

@@ -90,3 +90,15 @@ def test_words_of_phrases_are_written_where_they_are_wanted(spark):
         assert {r.phrase for r in mined.where(f"n = {n}").collect()} == {" ".join(line[i : i + n]) for i in range(801 - n)}
     assert {r.phrase for r in mined.where("ratio < 1").collect()} == {" ".join(line)}
     assert {(r.doc_id, r.phrase, r.c) for r in P.counts_in_place(mined, mined.where("n = 799")).collect()} == {(k, " ".join(line[i : i + 799]), 1) for k in range(2) for i in range(2)}
+
+
+def test_posterior_rows_carry_ids_of_long_phrases(spark):
+    """Shares are the same by ids as by texts; with ids, no row of a word holds its phrase."""
+    nodes = spark.createDataFrame([("o/1", "o", 0.75), ("o/2", "o", 0.25)], "path string, parent string, alpha double")
+    words = spark.createDataFrame([("o/1", "a", 0.5), ("o/1", "b", 0.5), ("o/2", "a", 1.0)], "path string, term string, phi double")
+    phrases = spark.createDataFrame([(7, "a"), (8, "a b"), (9, "a a"), (10, "c")], "id int, phrase string")
+    shares = P.phrase_posterior(phrases, words, nodes)
+    got, by_text = ({(r.phrase, r.path): round(r.share, 9) for r in df.collect()} for df in (shares, P.phrase_posterior(phrases.select("phrase"), words, nodes)))
+    assert got == by_text == {("a", "o/1"): 0.6, ("a", "o/2"): 0.4, ("a b", "o/1"): 1.0, ("a a", "o/1"): 0.428571429, ("a a", "o/2"): 0.571428571}
+    generated = [line for line in shares._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Aggregate" in line]
+    assert generated and not any("phrase#" in line for line in generated)
