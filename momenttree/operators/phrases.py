@@ -560,11 +560,12 @@ def phrase_probability(topical: DataFrame, n_docs: int) -> DataFrame:
 def rank_phrases(probability: DataFrame, top: int | None = None, by: str = "both") -> DataFrame:
     """path, rank, phrase, p_topic, p_parent, score of all nodes but the root.
 
-    popularity: p; ratio: ln(p / parent's p); both: their product.
+    popularity: p; ratio: ln(p / parent's p); both: their product.  Where a p is 0 (of long phrases, shares may be too small
+    for a double) there is no ratio: such rows have no score by it and come last.
     """
     above = probability.select(F.col("path").alias("parent"), "phrase", F.col("p").alias("p_parent"))
     joined = probability.withColumn("parent", paths.parent(F.col("path"))).where("parent is not null").join(above, ["parent", "phrase"])
-    ratio = F.log(F.col("p") / F.col("p_parent"))
+    ratio = F.log(F.try_divide("p", "p_parent"))
     score: Column = {"popularity": F.col("p"), "ratio": ratio, "both": F.col("p") * ratio}[by]
     scored = joined.select("path", "phrase", F.col("p").alias("p_topic"), "p_parent", score.alias("score"))
     ranked = scored.withColumn("rank", F.row_number().over(Window.partitionBy("path").orderBy(F.round("score", 12).desc(), "phrase")))

@@ -102,3 +102,12 @@ def test_posterior_rows_carry_ids_of_long_phrases(spark):
     assert got == by_text == {("a", "o/1"): 0.6, ("a", "o/2"): 0.4, ("a b", "o/1"): 1.0, ("a a", "o/1"): 0.428571429, ("a a", "o/2"): 0.571428571}
     generated = [line for line in shares._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Aggregate" in line]
     assert generated and not any("phrase#" in line for line in generated)
+
+
+def test_phrases_without_probability_come_last(spark):
+    """A share too small for a double leaves a parent's p at 0, too."""
+    rows = [("o", "a", 0.5), ("o", "b", 0.5), ("o/1", "a", 0.9), ("o/1", "b", 0.0), ("o/1/1", "b", 0.0), ("o/1/1", "a", 0.2)]
+    probability = spark.createDataFrame(rows, "path string, phrase string, p double")
+    for by in ("both", "ratio", "popularity"):
+        got = {(r.path, r["rank"], r.phrase, r.p_topic, r.score is None) for r in P.rank_phrases(probability, by=by).collect()}
+        assert got == {(path, k, w, p, by != "popularity" and w == "b") for path, k, w, p in [("o/1", 1, "a", 0.9), ("o/1", 2, "b", 0.0), ("o/1/1", 1, "a", 0.2), ("o/1/1", 2, "b", 0.0)]}
