@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from momenttree.functions import paths
@@ -17,8 +17,9 @@ from momenttree.runtime import cut, ship, stored
 
 #: A phrase table of at most so many rows is broadcast; a larger one is joined by shuffle.
 PHRASES_BROADCAST = 1_000_000
-#: Phrases and shares of phrases in nodes that are sent as arrays (8 and 18 bytes each); beyond, rows are joined.
-PHRASES_SENT, SHARES_SENT = 5_000_000, 4_000_000
+#: Phrases that are sent as arrays (8 bytes each), beyond which rows are joined, and shares of phrases in nodes that are sent
+#: at once (18 bytes each); more take further scans, in groups of nodes, up to SCANS of them.
+PHRASES_SENT, SHARES_SENT, SCANS = 5_000_000, 4_000_000, 16
 #: Words that a worker looks up at once.
 _WORDS_AT_ONCE = 200_000
 
@@ -144,12 +145,15 @@ def phrase_counts(sentences: DataFrame, phrases: DataFrame, max_len: int) -> Dat
     return sentences.select("doc_id", F.explode(F.concat(*runs)).alias("phrase")).join(known, "phrase", "left_semi").groupBy("doc_id", "phrase").agg(F.count("*").alias("c"))
 
 
-def by_document(docs: DataFrame) -> DataFrame:
-    """doc_id, sents (array of arrays of words): one stored row for each doc_id, whose rows, if several, are put together."""
+def by_document(docs: DataFrame, tag: Column | None = None) -> DataFrame:
+    """doc_id, sents (array of arrays of words): one stored row for each doc_id, whose rows, if several, are put together.
+
+    With tag (a string), also tags: that of each of these rows, nulls left out.
+    """
     sents = F.filter(F.transform(T.sentences(F.col("text")), T.words), lambda w: F.size(w) > 0)
-    made = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), sents.alias("sents"))
+    made = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), sents.alias("sents"), *([] if tag is None else [F.array_compact(F.array(tag)).alias("tags")]))
     if not docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").isEmpty():
-        made = made.groupBy("doc_id").agg(F.flatten(F.collect_list("sents")).alias("sents"))
+        made = made.groupBy("doc_id").agg(*(F.flatten(F.collect_list(c)).alias(c) for c in made.columns[1:]))
     return stored(made, "sentences")
 
 
@@ -159,7 +163,7 @@ def sentences_of(by_doc: DataFrame) -> DataFrame:
 
 
 class Mined:
-    """Frequent phrases (phrases: phrase, n, support, id, ratio, z as complete_ratio and phraseness give them), and codes (doc_id, codes): the words' ids, -1 for other words and after sentences.
+    """Frequent phrases (phrases: phrase, n, support, id, ratio, z as complete_ratio and phraseness give them), and codes (doc_id, codes, tags as by_document has them): the words' ids, -1 for other words and after sentences.
 
     A phrase of m + d words, m a power of two and d of at most m, is known by the ids of its first and its last m words.
     tables holds for each m and d the sorted pairs and the first phrase's id, so workers look codes up by numbers alone.
@@ -270,6 +274,25 @@ def _summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return keys[begins], np.add.reduceat(counts[order], begins) if len(keys) else counts
 
 
+def _packed(x: np.ndarray) -> bytes:
+    """Numbers of 8 bytes, compressed a byte place at a time."""
+    return pa.compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).tobytes(), codec="zstd", asbytes=True)
+
+
+def _unpacked(data: bytes, size: int, kind: type = np.int64) -> np.ndarray:
+    planes = np.frombuffer(pa.decompress(data, size * 8, codec="zstd", asbytes=True), np.uint8).reshape(8, size)
+    return np.ascontiguousarray(planes.T).view(kind).ravel()
+
+
+def _partitions(spark: SparkSession) -> int:
+    return int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+
+def _for_sums(codes: DataFrame) -> DataFrame:
+    """codes in at most two tasks a core: each task puts out sums over all it has read, so these follow the cores, not the input."""
+    return codes.coalesce(2 * codes.sparkSession.sparkContext.defaultParallelism)
+
+
 def mine(by_doc: DataFrame, min_support: int, max_len: int | None = None) -> Mined:
     """The phrases that mine_phrases finds, by numbers: each round doubles the length.
 
@@ -287,15 +310,16 @@ def mine(by_doc: DataFrame, min_support: int, max_len: int | None = None) -> Min
     table = singles.toArrow().sort_by("term")
     terms, supports, total = table.column("term").combine_chunks(), [table.column("tf").to_numpy()], table.num_rows
     words, powers = terms.to_pylist(), [(0, np.arange(total, dtype=np.int32)[:, None])]
-    codes = stored(by_doc.mapInArrow(_encoder(spark.sparkContext.broadcast(words)), "doc_id bigint, codes array<int>"), "codes")
+    codes = stored(by_doc.mapInArrow(_encoder(spark.sparkContext.broadcast(words)), "doc_id bigint, codes array<int>" + ", tags array<string>" * ("tags" in by_doc.columns)), "codes")
     rows, tables = codes.select("codes", F.lit(1).cast("bigint").alias("places")), []
     while len(powers[-1][1]) and (most := (1 << len(tables)) if max_len is None else min(1 << len(tables), max_len - (1 << len(tables)))) > 0:
         m = 1 << len(tables)
         if m == 4:
             found = rows.mapInArrow(_stretcher(spark.sparkContext.broadcast(tables)), "codes array<int>")
             rows = stored(found.groupBy("codes").agg(F.count("*").alias("places")), "stretches")
-        pairs = rows.mapInArrow(_pairer(spark.sparkContext.broadcast(tables), most), "d int, h int, t int, c bigint")
-        counted = cut(pairs.groupBy("d", "h", "t").agg(F.sum("c").alias("c")).where(F.col("c") >= min_support))
+        parts = _partitions(spark)
+        pairs = rows.mapInArrow(_pairer(spark.sparkContext.broadcast(tables), most, parts), "part int, d int, size int, keys binary, counts binary")
+        counted = cut(pairs.repartitionById(parts, F.col("part")).mapInArrow(_merger(min_support), "d int, h int, t int, c bigint"))
         if total + counted.count() > PHRASES_SENT:
             return by_rows()
         table = counted.toArrow()
@@ -319,20 +343,28 @@ def mine(by_doc: DataFrame, min_support: int, max_len: int | None = None) -> Min
 
 
 def _measures(tables: list, powers: list, support: np.ndarray, n_tokens: int) -> tuple[np.ndarray, np.ndarray]:
-    """ratio and z of all phrases from the ids of their words, a length at a time: head and tail lead to every part."""
+    """ratio and z of all phrases from the ids of their words, a length at a time: head and tail lead to every part.
+
+    Of m + 1 words, the pair of ids is head and tail; others are looked up by their words.
+    """
     head, tail, most, z = (np.zeros(len(support), x) for x in (np.int32, np.int32, float, float))
     starts = [0, *_starts(tables).tolist(), len(support)]
-    shorter = powers[0][1]
     for n in range(2, len(starts)):
         own = np.arange(starts[n - 1], starts[n])
         if not len(own):
             break
-        x = _matrix(own, n, tables, powers)
-        known = {row.tobytes(): k for k, row in enumerate(shorter, starts[n - 2])}
-        for side, part in ((head, x[:, :-1]), (tail, x[:, 1:])):
-            side[own] = [known[row.tobytes()] for row in part]
+        k = (n - 1).bit_length() - 1
+        if n == (1 << k) + 1:
+            key = tables[k][0][0]
+            head[own], tail[own] = key >> 31, key & ((1 << 31) - 1)
+        else:
+            known = {row.tobytes(): i for i, row in enumerate(_matrix(np.arange(starts[n - 2], starts[n - 1]), n - 1, tables, powers), starts[n - 2])}
+            x = _matrix(own, n, tables, powers)
+            for side, part in ((head, x[:, :-1]), (tail, x[:, 1:])):
+                side[own] = [known[row.tobytes()] for row in part]
+        for side in (head, tail):
             np.maximum.at(most, side[own], support[own])
-        rights, left, worst, shorter = [own], own, np.zeros(len(own)), x
+        rights, left, worst = [own], own, np.zeros(len(own))
         for _ in range(n - 1):
             rights.append(tail[rights[-1]])
         for k in range(1, n):
@@ -354,7 +386,7 @@ def _encoder(sent):
             codes = np.full(len(found) + len(lengths), -1, np.int32)
             codes[np.arange(len(found)) + np.repeat(np.arange(len(lengths)), lengths)] = found
             offsets = np.concatenate([[0], np.cumsum(lengths + 1)])[ends]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(codes))], ["doc_id", "codes"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(codes)), *batch.columns[2:]], ["doc_id", "codes", *batch.schema.names[2:]])
 
     return run
 
@@ -379,14 +411,23 @@ def _stretcher(sent):
     return run
 
 
-def _pairer(sent, most: int):
+def _pairer(sent, most: int, parts: int):
+    """Counted pairs of ids, h << 31 | t, sorted and compressed: a row for each number of words and part, into which all counts of a pair go."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables = sent.value
         held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
         def out() -> Iterator[pa.RecordBatch]:
             for step, (key, count) in held.items():
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), step), pa.int32()), pa.array(key >> 31, pa.int32()), pa.array(key & ((1 << 31) - 1), pa.int32()), pa.array(count, pa.int64())], ["d", "h", "t", "c"])
+                mixed = (key.view(np.uint64) >> np.uint64(31)) * np.uint64(0x9E3779B97F4A7C15) + ((key & ((1 << 31) - 1)) >> 12).view(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
+                part = ((mixed >> np.uint64(32)) % np.uint64(parts)).astype(np.int32)
+                order = np.argsort(part, kind="stable")
+                ends = np.searchsorted(part[order], np.arange(parts + 1))
+                own = np.flatnonzero(ends[1:] > ends[:-1])
+                key, count = key[order], count[order]
+                each = [(_packed(np.diff(key[a:b], prepend=0)), _packed(count[a:b])) for a, b in zip(ends[own], ends[own + 1], strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(own, pa.int32()), pa.array(np.full(len(own), step), pa.int32()), pa.array(ends[own + 1] - ends[own], pa.int32()), pa.array([k for k, _ in each], pa.binary()), pa.array([c for _, c in each], pa.binary())], ["part", "d", "size", "keys", "counts"])
 
         for batch in batches:
             places = batch.column(1).to_numpy(zero_copy_only=False)
@@ -409,6 +450,30 @@ def _pairer(sent, most: int):
     return run
 
 
+def _merger(min_support: int):
+    """The pairs of a part that have the support."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {}
+        settled: dict[int, int] = {}
+
+        def settle(step: int) -> None:
+            held[step] = [_summed(*(np.concatenate(x) for x in zip(*held[step], strict=True)))]
+            settled[step] = len(held[step][0][0])
+
+        for batch in batches:
+            for step, size, keys, counts in zip(*(c.to_pylist() for c in batch.columns[1:]), strict=True):
+                held.setdefault(step, []).append((np.cumsum(_unpacked(keys, size)), _unpacked(counts, size)))
+                if sum(len(k) for k, _ in held[step]) > 2 * settled.get(step, 0) + 1_000_000:
+                    settle(step)
+        for step in sorted(held):
+            settle(step)
+            key, count = (x[held[step][0][1] >= min_support] for x in held[step][0])
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), step), pa.int32()), pa.array(key >> 31, pa.int32()), pa.array(key & ((1 << 31) - 1), pa.int32()), pa.array(count, pa.int64())], ["d", "h", "t", "c"])
+
+    return run
+
+
 def _found(batch: pa.RecordBatch, tables: list, size: int, wanted: np.ndarray | None = None) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
     """first row, last row + 1, and of these the row (from 0), phrase and occurrences, a group of rows at a time.
 
@@ -473,24 +538,83 @@ def counts_in_place(mined: Mined, phrases: DataFrame | None = None) -> DataFrame
     return mined.codes.mapInArrow(run, "doc_id bigint, phrase string, c bigint")
 
 
+def words_by_tag(mined: Mined) -> DataFrame:
+    """tag, term, c: occurrences of the frequent single words in the rows of each tag (by_document), but for rows without a doc_id.
+
+    Summed where the documents are: what leaves a task is one count for each tag and word.
+    """
+    if mined.codes is None:
+        each = mined.by_doc.where("doc_id is not null").select(F.explode("tags").alias("tag"), F.flatten("sents").alias("words")).select("tag", F.explode("words").alias("term"))
+        return each.join(mined.phrases.where("n = 1").select(F.col("phrase").alias("term")), "term", "left_semi").groupBy("tag", "term").agg(F.count("*").alias("c"))
+    starts = _starts(mined.sent.value)
+    singles = max(int(starts[0]) if len(starts) else mined.size, 1)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        numbers: dict[str, int] = {}
+        waiting: list[tuple[np.ndarray, np.ndarray]] = [(np.empty(0, np.int64), np.empty(0, np.int64))]
+
+        def out() -> pa.RecordBatch:
+            key, count = waiting[0]
+            return pa.RecordBatch.from_arrays([pa.array(list(numbers), pa.string()).take(pa.array(key // singles)), pa.array(key % singles, pa.int32()), pa.array(count, pa.int64())], ["tag", "id", "c"])
+
+        for batch in batches:
+            for first, last, codes, owner in _chunks(batch, 1):
+                tags = batch.column(2).slice(first, last - first)
+                row = np.repeat(np.arange(last - first), pc.list_value_length(tags).to_numpy(zero_copy_only=False))
+                tag = np.array([numbers.setdefault(t, len(numbers)) for t in tags.flatten().to_pylist()], np.int64)
+                sizes = np.bincount(owner, minlength=last - first)
+                many = sizes[row]
+                code = codes[np.repeat((np.cumsum(sizes) - sizes)[row] - np.cumsum(many) + many, many) + np.arange(many.sum())]
+                key = (np.repeat(tag, many) * singles + code)[code >= 0]
+                waiting.append(np.unique(key, return_counts=True))
+                if sum(len(k) for k, _ in waiting) > 1_000_000:
+                    waiting[:] = [_summed(*(np.concatenate(x) for x in zip(*waiting, strict=True)))]
+                    if len(waiting[0][0]) > 500_000:
+                        yield out()
+                        waiting[:] = [tuple(x[:0] for x in waiting[0])]
+        waiting[:] = [_summed(*(np.concatenate(x) for x in zip(*waiting, strict=True)))]
+        yield out()
+
+    summed = _for_sums(mined.codes.where("doc_id is not null")).mapInArrow(run, "tag string, id int, c bigint").groupBy("tag", "id").agg(F.sum("c").alias("c"))
+    return summed.join(mined.where("n = 1").select("id", F.col("phrase").alias("term")), "id").select("tag", "term", "c")
+
+
 def probability_in_place(mined: Mined, phrases: DataFrame, shares: DataFrame, n_docs: int) -> DataFrame:
     """As phrase_probability of the topical counts of phrases (those among the mined ones) with these shares (phrase, path, share).
 
     A document's counts, their sums by node and their parts of them are made where the document is; what leaves a task is
-    one sum for each phrase and node.  Documents without a doc_id belong to no sum.
+    one sum for each phrase and node, in arrays.  A node's sums are its own, so more shares than are sent at once take a
+    scan for each group of nodes.  Documents without a doc_id belong to no sum.
     """
     own = cut(phrases.select("phrase", F.lit(paths.ROOT).alias("path"), F.lit(1.0).alias("share")).union(shares.select("phrase", "path", "share")))
-    if mined.codes is None or own.count() > SHARES_SENT:
+    many = {r.path: r.n for r in own.groupBy("path").agg(F.count("*").alias("n")).collect()}
+    groups, room = [], 0
+    for path in sorted(many):
+        if not groups or many[path] > room:
+            groups.append([])
+            room = SHARES_SENT
+        groups[-1].append(path)
+        room -= many[path]
+    if mined.codes is None or len(groups) > SCANS:
         counts = counts_in_place(mined, phrases).where("doc_id is not null")
         return phrase_probability(counts.join(own, "phrase").select("doc_id", "path", "phrase", (F.col("c") * F.col("share")).alias("c")), n_docs)
-    spark = own.sparkSession
-    nodes = sorted(r.path for r in own.select("path").distinct().collect())
-    numbers = F.broadcast(spark.createDataFrame(list(enumerate(nodes)), "node int, path string"))
     names = _ids(mined, phrases)
-    table = own.join(names, "phrase").join(numbers, "path").select("id", "node", "share").toArrow().sort_by([("id", "ascending"), ("node", "ascending")])
-    at, node, share = (table.column(c).to_numpy() for c in ("id", "node", "share"))
+    out = None
+    for group in groups or [[paths.ROOT]]:
+        numbers = F.broadcast(own.sparkSession.createDataFrame(list(enumerate(group)), "node int, path string"))
+        table = own.join(names, "phrase").join(numbers, "path").select("id", "node", "share").toArrow().sort_by([("id", "ascending"), ("node", "ascending")])
+        summed = _summed_shares(mined, *(table.column(c).to_numpy() for c in ("id", "node", "share")), len(group)).join(numbers, "node").select("id", "path", (F.col("p") / n_docs).alias("p"))
+        out = summed if out is None else out.union(summed)
+    return out.join(names, "id").select("path", "phrase", "p")
+
+
+def _summed_shares(mined: Mined, at: np.ndarray, node: np.ndarray, share: np.ndarray, width: int) -> DataFrame:
+    """id, node, p: the documents' parts summed over all of them.  at, node, share: sorted by id and node, which are below width."""
+    spark = mined.codes.sparkSession
     begins = np.searchsorted(at, np.arange(mined.size + 1)).astype(np.int64)
-    words, size, weights, width = mined.sent, mined.size, spark.sparkContext.broadcast((begins, node.astype(np.int16), share)), max(len(nodes), 1)
+    parts = _partitions(spark)
+    cuts = np.linspace(0, len(share), parts + 1).astype(np.int64)
+    words, size, weights = mined.sent, mined.size, spark.sparkContext.broadcast((begins, node.astype(np.int32), share))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         begins, node, share = weights.value
@@ -504,14 +628,28 @@ def probability_in_place(mined: Mined, phrases: DataFrame, shares: DataFrame, n_
                 total = np.bincount(group, c)[group] if len(group) else c
                 some = total > 0
                 entry = entry[some]
-                sums += np.bincount(entry, c[some] / total[some], len(share))
+                np.add.at(sums, entry, c[some] / total[some])
                 seen[entry] = True
-        entry = np.flatnonzero(seen)
-        phrase = np.searchsorted(begins, entry, "right") - 1
-        yield pa.RecordBatch.from_arrays([pa.array(phrase, pa.int32()), pa.array(node[entry], pa.int32()), pa.array(sums[entry])], ["id", "node", "p"])
+        for part, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+            if seen[a:b].any():
+                yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([np.packbits(seen[a:b]).tobytes()], pa.binary()), pa.array([_packed(sums[a:b][seen[a:b]])], pa.binary())], ["part", "seen", "sums"])
 
-    summed = mined.codes.where("doc_id is not null").mapInArrow(run, "id int, node int, p double").groupBy("id", "node").agg((F.sum("p") / n_docs).alias("p"))
-    return summed.join(numbers, "node").join(names, "id").select("path", "phrase", "p")
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        begins, node, _ = weights.value
+        held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        for batch in batches:
+            for part, there, sums in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                n = int(cuts[part + 1] - cuts[part])
+                seen, total = held.setdefault(part, (np.zeros(n, bool), np.zeros(n)))
+                there = np.unpackbits(np.frombuffer(there, np.uint8), count=n).astype(bool)
+                total[there] += _unpacked(sums, int(there.sum()), np.float64)
+                seen |= there
+        for part, (seen, total) in held.items():
+            entry = np.flatnonzero(seen) + cuts[part]
+            yield pa.RecordBatch.from_arrays([pa.array(np.searchsorted(begins, entry, "right") - 1, pa.int32()), pa.array(node[entry], pa.int32()), pa.array(total[seen])], ["id", "node", "p"])
+
+    made = _for_sums(mined.codes.where("doc_id is not null")).mapInArrow(run, "part int, seen binary, sums binary")
+    return made.repartitionById(parts, F.col("part")).mapInArrow(add, "id int, node int, p double")
 
 
 def phrase_posterior(phrases: DataFrame, words: DataFrame, nodes: DataFrame) -> DataFrame:

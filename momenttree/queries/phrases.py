@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from momenttree.operators import phrases as P
@@ -19,8 +19,8 @@ _GRAMS = " UNION ALL ".join(f"SELECT doc_id, array_to_string(list_slice(words, i
 MINED = f"{SENT}, grams AS ({_GRAMS}), phr AS (SELECT phrase, n, count(*) AS support FROM grams GROUP BY ALL HAVING count(*) >= {SUPPORT})"
 
 
-def _mined(spark: SparkSession, sf: str, most: int | None = MOST) -> P.Mined:
-    return P.mine(P.by_document(documents(spark, sf)), SUPPORT, most)
+def _mined(spark: SparkSession, sf: str, most: int | None = MOST, tag: Column | None = None) -> P.Mined:
+    return P.mine(P.by_document(documents(spark, sf), tag), SUPPORT, most)
 
 
 def _frequent(spark: SparkSession, sf: str, most: int | None = MOST) -> DataFrame:
@@ -92,11 +92,19 @@ _PROB = "tt AS (SELECT doc_id, path, sum(c) AS total FROM tc GROUP BY ALL HAVING
 _BASE = f"{MINED}, {_COUNTS}, {_TOPICS}, {_POST}, {_TOPICAL}, {_PROB}"
 
 
-def _words(mined: P.Mined, member: DataFrame) -> DataFrame:
-    """path, term, phi: the frequent single words by their share in each node; member: doc_id, path."""
-    counts = P.counts_in_place(mined, mined.where("n = 1")).join(member.select("doc_id", "path"), "doc_id")
-    summed = counts.groupBy("path", "phrase").agg(F.sum("c").alias("c"))
-    return cut(summed.select("path", F.col("phrase").alias("term"), (F.col("c") / F.sum("c").over(Window.partitionBy("path"))).alias("phi")))
+#: Two levels of a known tree: languages, and in each its short (0) and its long (1) documents.
+LONG_TEXT = 1_000
+
+
+def _tag() -> Column:
+    """0 or 1, then the language; null without one."""
+    return F.concat((F.coalesce("n_chars", F.lit(0)) >= LONG_TEXT).cast("int").cast("string"), F.col("lang"))
+
+
+def _words(mined: P.Mined, tags: DataFrame) -> DataFrame:
+    """path, term, phi: the frequent single words by their share in each node; tags (tag, path): a row for each tag and node of its documents."""
+    summed = P.words_by_tag(mined).join(F.broadcast(tags), "tag").groupBy("path", "term").agg(F.sum("c").alias("c"))
+    return cut(summed.select("path", "term", (F.col("c") / F.sum("c").over(Window.partitionBy("path"))).alias("phi")))
 
 
 def _topics(spark: SparkSession, sf: str, whole: bool = False) -> tuple[P.Mined, DataFrame, DataFrame, DataFrame]:
@@ -104,12 +112,13 @@ def _topics(spark: SparkSession, sf: str, whole: bool = False) -> tuple[P.Mined,
 
     whole: phrases of any length, of these the complete and significant ones; words are of all frequent single words still.
     """
-    mined = _mined(spark, sf, None if whole else MOST)
+    mined = _mined(spark, sf, None if whole else MOST, _tag())
     phrases = cut(P.good_of(mined)) if whole else mined.phrases
     docs = documents(spark, sf).where("lang is not null").select("doc_id", "lang")
     sizes = docs.groupBy("lang").agg(F.count("*").alias("n"))
     nodes = cut(sizes.select(F.concat(F.lit("o/"), F.row_number().over(Window.orderBy("lang")).cast("string")).alias("path"), F.lit("o").alias("parent"), "lang", (F.col("n") / F.sum("n").over(Window.partitionBy())).alias("alpha")))
-    return mined, phrases, nodes, _words(mined, docs.join(F.broadcast(nodes), "lang"))
+    tags = nodes.select(F.explode(F.array(*(F.concat(F.lit(x), "lang") for x in "01"))).alias("tag"), "path")
+    return mined, phrases, nodes, _words(mined, tags)
 
 
 def _topical(spark: SparkSession, sf: str, whole: bool = False) -> DataFrame:
@@ -194,8 +203,6 @@ def plural_collapsed_whole(spark: SparkSession, sf: str) -> DataFrame:
     return P.collapse_plurals(P.rank_phrases(_probability(spark, sf, True))).select("path", "rank", "phrase")
 
 
-#: A known tree of two levels: languages, and in each its short and its long documents.
-LONG_TEXT = 1_000
 _Z = f"total AS (SELECT CAST(sum(len(words)) AS DOUBLE) AS t FROM sent), zs AS (SELECT s.phrase, min((s.support - x.support * y.support / t) / sqrt(s.support)) AS z FROM (SELECT phrase, support, array_to_string(list_slice(parts, 1, k), ' ') AS a, array_to_string(list_slice(parts, k + 1, n), ' ') AS b FROM (SELECT *, unnest(range(1, n)) AS k FROM (SELECT phrase, n, support, string_split(phrase, ' ') AS parts FROM phr WHERE n > 1))) s JOIN phr x ON x.phrase = a JOIN phr y ON y.phrase = b CROSS JOIN total GROUP BY s.phrase)"
 _GOOD = f"{_Z}, {_RATIO}, good AS (SELECT phrase, n FROM ratios LEFT JOIN zs USING (phrase) WHERE ratio < 0.9 AND (n = 1 OR z >= {P.SIGNIFICANT}))"
 _DEEP = f"{MINED}, {_GOOD}, dn AS (SELECT doc_id, l1, l1 || '/' || CASE WHEN coalesce(n_chars, 0) >= {LONG_TEXT} THEN '2' ELSE '1' END AS l2 FROM (SELECT doc_id, n_chars, 'o/' || CAST(dense_rank() OVER (ORDER BY lang) AS VARCHAR) AS l1 FROM documents WHERE lang IS NOT NULL)), nd AS (SELECT l1 AS path, 'o' AS parent, count(*) * 1.0 / (SELECT count(*) FROM dn) AS alpha FROM dn GROUP BY 1 UNION ALL SELECT l2, l1, count(*) * 1.0 / (SELECT count(*) FROM dn) FROM dn GROUP BY 1, 2), c1 AS (SELECT doc_id, phrase AS term, count(*) AS c FROM grams JOIN phr USING (phrase) WHERE phr.n = 1 GROUP BY ALL), wd AS (SELECT path, term, CAST(sum(c) AS DOUBLE) / sum(sum(c)) OVER (PARTITION BY path) AS phi FROM (SELECT l1 AS path, term, c FROM c1 JOIN dn USING (doc_id) UNION ALL SELECT l2, term, c FROM c1 JOIN dn USING (doc_id)) GROUP BY path, term), counts AS (SELECT doc_id, phrase, count(*) AS c FROM grams JOIN good USING (phrase) GROUP BY ALL), lp AS (SELECT phrase, path, parent, sum(ln(phi)) + ln(any_value(alpha)) AS lp FROM (SELECT phrase, n, unnest(string_split(phrase, ' ')) AS term FROM good) JOIN wd USING (term) JOIN nd USING (path) GROUP BY phrase, path, parent, n HAVING count(*) = n), post AS (SELECT phrase, path, parent, exp(lp - m) / sum(exp(lp - m)) OVER (PARTITION BY phrase, parent) AS share FROM (SELECT *, max(lp) OVER (PARTITION BY phrase, parent) AS m FROM lp)), sh AS (SELECT phrase, path, share FROM post WHERE parent = 'o' UNION ALL SELECT b.phrase, b.path, b.share * a.share FROM post b JOIN post a ON a.phrase = b.phrase AND a.path = b.parent), {_TOPICAL.replace('JOIN post', 'JOIN sh')}, {_PROB}"
@@ -209,11 +216,12 @@ def _deep_tree(spark: SparkSession, sf: str, mined: P.Mined) -> tuple[DataFrame,
     member = cut(docs.join(F.broadcast(numbers), "lang").select("doc_id", first.alias("l1"), F.concat(first, F.when(F.col("long"), "/2").otherwise("/1")).alias("l2")))
     each = member.select("doc_id", F.explode(F.array(F.struct(F.col("l1").alias("path"), F.lit("o").alias("parent")), F.struct(F.col("l2").alias("path"), F.col("l1").alias("parent")))).alias("n")).select("doc_id", "n.*")
     nodes = cut(each.groupBy("path", "parent").agg((F.count("*") / member.count()).alias("alpha")))
-    return nodes, _words(mined, each)
+    tags = numbers.select(F.explode(F.array(*(F.struct(F.concat(F.lit(x), "lang").alias("tag"), path.alias("path")) for x in "01" for path in (first, F.concat(first, F.lit(f"/{int(x) + 1}")))))).alias("t")).select("t.*")
+    return nodes, _words(mined, tags)
 
 
 def _hierarchy(spark: SparkSession, sf: str, most: int | None) -> DataFrame:
-    mined = _mined(spark, sf, most)
+    mined = _mined(spark, sf, most, _tag())
     nodes, words = _deep_tree(spark, sf, mined)
     ranked = P.rank_tree(mined, nodes, words, documents(spark, sf).count(), top=20)
     return ranked.select("path", "rank", "phrase", r6("p_topic", 1e4).alias("p_topic"), r6("p_parent", 1e4).alias("p_parent"), r6("score", 1e4).alias("score"))

@@ -3,6 +3,7 @@
 from collections import Counter
 
 import pytest
+from pyspark.sql import functions as F
 
 from momenttree.operators import phrases as P
 from momenttree.queries import QUERIES, load
@@ -111,3 +112,38 @@ def test_phrases_without_probability_come_last(spark):
     for by in ("both", "ratio", "popularity"):
         got = {(r.path, r["rank"], r.phrase, r.p_topic, r.score is None) for r in P.rank_phrases(probability, by=by).collect()}
         assert got == {(path, k, w, p, by != "popularity" and w == "b") for path, k, w, p in [("o/1", 1, "a", 0.9), ("o/1", 2, "b", 0.0), ("o/1/1", 1, "a", 0.2), ("o/1/1", 2, "b", 0.0)]}
+
+
+def test_counts_of_pairs_and_sums_of_shares_travel_in_arrays(spark, monkeypatch):
+    """No row of a shuffle is one pair, or one phrase and node, of one task; groups of nodes in further scans give the same."""
+    import numpy as np
+
+    for x in (np.array([5, 0, -3, 1 << 61]), np.array([0.1, -2.0, 0.0])):
+        assert (P._unpacked(P._packed(x), len(x), x.dtype.type) == x).all()
+    texts = ["a b c d a b", "b c d", "a b", "c d a"] * 5
+    by_doc = P.by_document(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(7))
+    made = []
+    monkeypatch.setattr(P, "cut", lambda df, f=P.cut: made.append(df) or f(df))
+    mined = P.mine(by_doc, 5)
+    plans = [df._jdf.queryExecution().optimizedPlan().toString() for df in made]
+    assert any("RepartitionById" in p or "RepartitionByExpression" in p for p in plans) and not any("Aggregate [d#" in p for p in plans)
+    shares = spark.createDataFrame([(p, f"o/{k}", w) for p in ("a", "a b", "c d") for k, w in ((1, 0.25), (2, 0.75))], "phrase string, path string, share double")
+    got = []
+    for most, scans in ((4_000_000, 16), (3, 16), (3, 1)):  # one scan, one for each node, by rows
+        monkeypatch.setattr(P, "SHARES_SENT", most)
+        monkeypatch.setattr(P, "SCANS", scans)
+        df = P.probability_in_place(mined, mined.phrases, shares, 20)
+        got.append({(r.path, r.phrase): round(r.p, 12) for r in df.collect()})
+    assert got[0] == got[1] == got[2] and got[0]["o/1", "a"] > 0
+
+
+def test_words_are_counted_by_tag_where_documents_are(spark):
+    """Rows of one doc_id with several tags count for each; null tags and ids for none.  No counts of documents are shuffled."""
+    docs = spark.createDataFrame([(1, "a b. a", "x"), (1, "b", "y"), (2, "a a", "x"), (3, "b b", None), (None, "a", "x"), (4, "", "y"), (5, None, "y")], "doc_id bigint, text string, t string")
+    want = {("x", "a"): 4, ("x", "b"): 2, ("y", "a"): 2, ("y", "b"): 2}
+    by_doc = P.by_document(docs, F.col("t"))
+    mined = P.mine(by_doc, 2)
+    by_rows = P.Mined(by_doc, P.mine_phrases(P.sentences_of(by_doc), 2))
+    for m in (mined, by_rows):
+        assert {(r.tag, r.term): r.c for r in P.words_by_tag(m).collect()} == want
+    assert P.words_by_tag(P.mine(by_doc, 100)).count() == 0
