@@ -194,8 +194,8 @@ def doc_share(spark: SparkSession, sf: str) -> DataFrame:
     return long.select("doc_id", "term_id", r6(F.col("c") / F.sum("c").over(Window.partitionBy("doc_id"))).alias("share"))
 
 
-@query(f"WITH {TOK}, {CNT}, {vocab_sql(500)} SELECT term, CAST(rank() OVER (ORDER BY tf DESC) AS INT) AS rank, CAST(dense_rank() OVER (ORDER BY tf DESC) AS INT) AS dense_rank, round(percent_rank() OVER (ORDER BY tf DESC), 6) AS percent_rank, round(cume_dist() OVER (ORDER BY tf DESC), 6) AS cume_dist, CAST(ntile(10) OVER (ORDER BY tf DESC, term) AS INT) AS ntile FROM vocab")
+@query(f"WITH {TOK}, {CNT}, {vocab_sql()} SELECT term, CAST(rank() OVER (ORDER BY tf DESC) AS INT) AS rank, CAST(dense_rank() OVER (ORDER BY tf DESC) AS INT) AS dense_rank, round(percent_rank() OVER (ORDER BY tf DESC), 6) AS percent_rank, round(cume_dist() OVER (ORDER BY tf DESC), 6) AS cume_dist, CAST(ntile(10) OVER (ORDER BY tf DESC, term) AS INT) AS ntile FROM vocab")
 def rank_functions(spark: SparkSession, sf: str) -> DataFrame:
-    vocab = C.vocabulary(tokens(spark, sf), top=500)
-    w, tie = Window.orderBy(F.col("tf").desc()), Window.orderBy(F.col("tf").desc(), "term")
-    return vocab.select("term", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("dense_rank"), F.round(F.percent_rank().over(w), 6).alias("percent_rank"), F.round(F.cume_dist().over(w), 6).alias("cume_dist"), F.ntile(10).over(tie).alias("ntile"))
+    """Ranks of all words by their occurrences."""
+    ranked = C.frequency_ranks(C.vocabulary(tokens(spark, sf)), "term")
+    return ranked.select("term", "rank", "dense_rank", F.round("percent_rank", 6).alias("percent_rank"), F.round("cume_dist", 6).alias("cume_dist"), "ntile")

@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from momenttree.baselines import gibbs, network
@@ -334,3 +335,25 @@ def test_plans(spark):
     near, far = C.bags(tok, vocab, size=100), C.bags(tok, vocab, size=C.VOCABULARY_BROADCAST + 1)
     assert "Exchange" not in plan(near) and "Join" in plan(far) and "partial_count" in plan(far)
     assert near.exceptAll(far).count() == 0 and far.exceptAll(near).count() == 0
+
+
+@pytest.mark.parametrize("n", [0, 1, 7, 10, 23, 60])
+def test_ranks_are_those_of_the_window_functions(spark, n):
+    """Ties, fewer rows than buckets and one row; in ranges as in one window."""
+    rows = spark.createDataFrame([(f"w{i:02}", i * i % 7) for i in range(n)], "term string, tf bigint")
+    w, tie = Window.orderBy(F.col("tf").desc()), Window.orderBy(F.col("tf").desc(), "term")
+    want = rows.select("term", F.rank().over(w), F.dense_rank().over(w), F.percent_rank().over(w), F.cume_dist().over(w), F.ntile(10).over(tie))
+    got = C.frequency_ranks(rows, "term")
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and [f.dataType for f in got.schema] == [f.dataType for f in want.schema]
+
+
+def test_rank_functions_rank_every_word(spark):
+    """Not the 500 words of most documents only."""
+    from momenttree.queries import QUERIES, load
+    from momenttree.queries.shared import tokens
+
+    load()
+    sf = "/root/testdata/sf0.001"
+    ranked = QUERIES["rank_functions"](spark, sf)
+    words = tokens(spark, sf).select(F.explode("words").alias("term")).distinct()
+    assert words.count() > 500 and ranked.select("term").exceptAll(words).count() == words.exceptAll(ranked.select("term")).count() == 0
