@@ -357,3 +357,53 @@ def test_rank_functions_rank_every_word(spark):
     ranked = QUERIES["rank_functions"](spark, sf)
     words = tokens(spark, sf).select(F.explode("words").alias("term")).distinct()
     assert words.count() > 500 and ranked.select("term").exceptAll(words).count() == words.exceptAll(ranked.select("term")).count() == 0
+
+
+def test_chains_run_together_as_alone_and_find_the_topics(spark, flat, monkeypatch):
+    """Over cuts and several blocks: counts stay those of the labels, topics are near the truth, and only the last state is kept."""
+    import glob
+
+    truth, bags, _ = flat
+    monkeypatch.setattr(gibbs, "SWEEPS_A_CUT", 4)
+    monkeypatch.setattr(gibbs, "BLOCK_WORDS", 9_000)
+    part = bags.where("doc_id < 1500").cache()
+    kept = lambda: set(glob.glob(spark.sparkContext._jsc.sc().getCheckpointDir().get().removeprefix("file:") + "/rdd-*"))
+    spark.sparkContext.parallelize([1]).checkpoint()
+    gibbs.lda_gibbs(part, 30, 3, iters=0)
+    before = kept()
+    made = gibbs.lda_chains(part, 30, 3, (8, 9), iters=100)
+    assert len(kept() - before) == 1
+    phi, shares, state = made[1]
+    alone = gibbs.lda_gibbs(part, 30, 3, iters=100, seed=9)
+    assert (alone[0] == phi).all() and alone[2].exceptAll(state).count() == 0 and not (made[0][0] == phi).all()
+    counts = gibbs.counts_of(state, 30, 3)
+    assert np.allclose(((counts + 0.01) / (counts + 0.01).sum(axis=1, keepdims=True)).T, phi) and np.allclose(counts.sum(axis=1) / counts.sum(), shares)
+    words = state.select("doc_id", F.array_sort("words")).exceptAll(gibbs.tokens_of(part).select("doc_id", F.array_sort("words"))).count()
+    assert words == 0 and state.where("size(words) <> size(z)").count() == 0 and state.count() == part.count()
+    found = TT.TopicTree({"o": TT.Node("o", np.zeros(30))} | {f"o/{z + 1}": TT.Node(f"o/{z + 1}", phi[:, z], float(shares[z])) for z in range(3)})
+    assert max(e for e, _ in measures.recovery_error(found, truth).values()) < 0.5  # sequential chains: 0.40 to 0.43, their prior is not that of the corpus
+    assert gibbs.lda_chains(part.where("doc_id < 0"), 30, 3, (8,), iters=2)[0][2].count() == 0
+
+
+def test_run_variance_leaves_no_sweep_out(spark, monkeypatch):
+    """All sweeps of ten chains and all steps of EM are asked for (few are made here), over the words of the other spectral queries."""
+    from momenttree.queries import trees
+
+    asked = []
+
+    def spy(module, name):
+        real = getattr(module, name)
+
+        def call(rows, v, *args, **options):
+            full = options.get("iters", real.__kwdefaults__["iters"])
+            asked.append((name, v, full, len(args[1]) if name == "lda_chains" else 1))
+            return real(rows, v, *args, **(options | {"iters": 2}))
+
+        monkeypatch.setattr(module, name, call)
+
+    spy(gibbs, "lda_chains")
+    spy(network, "cluster")
+    rows = trees.run_variance(spark, "/root/testdata/sf0.001").collect()
+    v = trees.spectral_bags(spark, "/root/testdata/sf0.001")[2]
+    assert v > trees.SMALL and asked.count(("lda_chains", v, 1_000, 10)) == 1 and asked.count(("cluster", v, 50, 1)) == 10 and len(asked) == 11
+    assert rows[0].lean_is_steadier
